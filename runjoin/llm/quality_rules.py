@@ -39,19 +39,6 @@ def repeated_words(words: Column) -> Column:
     return F.when(F.size(words) >= 4, let(F.array_sort(spots), covered)).otherwise(F.lit(0).cast("long"))
 
 
-def with_counts(docs: DataFrame) -> DataFrame:
-    """Every row packed as ``row``, its words, and the plain counts of the whole text."""
-    text = F.coalesce(F.col("text"), F.lit(""))
-    lines = F.filter(F.split(text, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    return docs.select(
-        F.struct(*docs.columns).alias("row"),
-        words_of(F.col("text")).alias("words"),
-        F.length(F.regexp_replace(text, BLANKS, "")).cast("long").alias("word_chars"),
-        (F.length(text) - F.length(F.translate(text, "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
-        let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
-    )
-
-
 def bucket_counts(docs: DataFrame, trusted: DataFrame, broadcast_ids: int = 1 << 20) -> DataFrame:
     """Rows (bucket, raw, good): grams of all documents and of the trusted ones. At most BUCKETS rows.
 
@@ -79,19 +66,21 @@ def log_ratios(counts: DataFrame) -> list[float]:
     return [round(math.log(g) - math.log(r) + shift, 5) for g, r in zip(good, raw, strict=True)]
 
 
-def _judged(docs: DataFrame, trusted: DataFrame, least: float) -> DataFrame:
-    ratios = log_ratios(bucket_counts(docs, trusted))
+def measured(text: Column, ratios: list[float]) -> Column:
+    """Struct of n_words, n_repeat_words and llr. The words are bound once, so that no rewrite splits a text again."""
     # one constant-folded array: BUCKETS doubles whatever the corpus
     known = F.split(F.lit(",".join(map(str, ratios))), ",").cast("array<double>")
-    total = F.aggregate(gram_buckets(F.col("words")), F.lit(0.0), lambda s, b: s + F.get(known, b))
-    n = F.size("words").cast("long")
-    counted = with_counts(docs).select(
-        "row", n.alias("n_words"), "word_chars", "n_symbols", "n_dup_lines",
-        repeated_words(F.col("words")).alias("n_repeat_words"),
-        F.when(n > 0, total / (2 * n - 1)).otherwise(F.lit(0.0)).alias("llr"),
-    )
-    failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return counted.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & (F.col("llr") >= least))
+
+    def of(words: Column) -> Column:
+        n = F.size(words).cast("long")
+        total = F.aggregate(gram_buckets(words), F.lit(0.0), lambda s, b: s + F.get(known, b))
+        return F.struct(n.alias("n_words"), repeated_words(words).alias("n_repeat_words"), F.when(n > 0, total / (2 * n - 1)).otherwise(F.lit(0.0)).alias("llr"))
+
+    return let(words_of(text), of)
+
+
+def _failed(m: Column) -> Column:
+    return (m["n_words"] < 50) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
 
 
 def judge(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFrame:
@@ -103,14 +92,26 @@ def judge(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFram
     fewer than 50 words, more than half of its words lie in repeated runs, or ``llr`` is below ``least``. Null texts
     have no words; repeated rows are judged each; extra columns are ignored; an empty table gives no rows.
     """
-    return _judged(docs.select("doc_id", "text"), trusted, least).select(
-        "row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "llr"
-    )
+    ratios = log_ratios(bucket_counts(docs, trusted))
+    text = F.coalesce(F.col("text"), F.lit(""))
+    lines = F.filter(F.split(text, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
+    m = F.col("m")
+    return docs.select(
+        "doc_id",
+        measured(F.col("text"), ratios).alias("m"),
+        F.length(F.regexp_replace(text, BLANKS, "")).cast("long").alias("word_chars"),
+        (F.length(text) - F.length(F.translate(text, "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
+        let(lines, lambda x: F.size(x) - F.size(F.array_distinct(x))).cast("long").alias("n_dup_lines"),
+    ).select(
+        "doc_id", m["n_words"].alias("n_words"), "word_chars", "n_symbols", "n_dup_lines", m["n_repeat_words"].alias("n_repeat_words"),
+        _failed(m).alias("base_failed"), (~_failed(m) & (m["llr"] >= least)).alias("kept"), m["llr"].alias("llr"),
+    )
 
 
 def keep_ruled(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFrame:
     """Rows the rules keep, all columns, without a shuffle."""
-    return _judged(docs, trusted, least).filter("kept").select("row.*")
+    ratios = log_ratios(bucket_counts(docs, trusted))
+    return docs.filter(let(measured(F.col("text"), ratios), lambda m: ~_failed(m) & (m["llr"] >= least)))
 
 
 def trusted_of(labels: DataFrame) -> DataFrame:
