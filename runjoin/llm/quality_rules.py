@@ -18,10 +18,10 @@ def words_of(text: Column) -> Column:
 
 
 def gram_buckets(words: Column) -> Column:
-    """Bucket of every word and of every pair of neighbours."""
-    single = F.transform(words, lambda w: F.pmod(F.xxhash64(w), F.lit(BUCKETS)).cast("int"))
-    pairs = F.transform(F.arrays_zip(F.slice(words, F.lit(1), F.greatest(F.lit(0), F.size(words) - 1)).alias("a"), F.slice(words, F.lit(2), F.greatest(F.lit(0), F.size(words) - 1)).alias("b")), lambda p: F.pmod(F.xxhash64(p["a"], p["b"]), F.lit(BUCKETS)).cast("int"))
-    return F.concat(single, pairs)
+    """Bucket of every word and of every pair of neighbours. ``words`` must be bound (see ``let``)."""
+    bucket = lambda *w: F.xxhash64(*w).bitwiseAND(F.lit(BUCKETS - 1).cast("long")).cast("int")
+    first = F.slice(words, F.lit(1), F.greatest(F.lit(0), F.size(words) - 1))
+    return F.concat(F.transform(words, lambda w: bucket(w)), F.transform(first, lambda w, i: bucket(w, F.get(words, i + 1))))
 
 
 def repeated_words(words: Column) -> Column:
@@ -34,9 +34,9 @@ def repeated_words(words: Column) -> Column:
 
     def covered(s: Column) -> Column:
         twice = F.filter(s, lambda x, i: (F.get(s, i - 1)["h"] == x["h"]) & (i > 0) | F.coalesce(F.get(s, i + 1)["h"] == x["h"], F.lit(False)))
-        return let(F.array_sort(F.transform(twice, lambda x: x["at"])), lambda p: F.aggregate(p, F.struct(F.lit(0).cast("long").alias("n"), F.lit(-9).alias("last")), lambda a, x: F.struct((a["n"] + F.least(F.lit(3), x - a["last"])).alias("n"), x.alias("last")), lambda a: a["n"]))
+        return let(F.sort_array(F.transform(twice, lambda x: x["at"])), lambda p: F.aggregate(p, F.struct(F.lit(0).cast("long").alias("n"), F.lit(-9).alias("last")), lambda a, x: F.struct((a["n"] + F.least(F.lit(3), x - a["last"])).alias("n"), x.alias("last")), lambda a: a["n"]))
 
-    return F.when(F.size(words) >= 4, let(F.array_sort(spots), covered)).otherwise(F.lit(0).cast("long"))
+    return F.when(F.size(words) >= 4, let(F.sort_array(spots), covered)).otherwise(F.lit(0).cast("long"))
 
 
 def bucket_counts(docs: DataFrame, trusted: DataFrame, broadcast_ids: int = 1 << 20) -> DataFrame:
@@ -49,7 +49,7 @@ def bucket_counts(docs: DataFrame, trusted: DataFrame, broadcast_ids: int = 1 <<
     if chosen.count() <= broadcast_ids:
         chosen = F.broadcast(chosen)
     flagged = docs.select("doc_id", "text").join(chosen, "doc_id", "left")
-    grams = flagged.select(F.coalesce("good", F.lit(0)).alias("good"), F.explode(gram_buckets(words_of(F.col("text")))).alias("bucket"))
+    grams = flagged.select(F.coalesce("good", F.lit(0)).alias("good"), F.explode(let(words_of(F.col("text")), gram_buckets)).alias("bucket"))
     return grams.groupBy("bucket").agg(F.count(F.lit(1)).alias("raw"), F.sum("good").alias("good"))
 
 
