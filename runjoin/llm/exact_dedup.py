@@ -74,7 +74,7 @@ def exact_groups(docs: DataFrame, bucket_entries: int = 1024, verify_bytes: bool
     empty table gives an empty result.
 
     The scan leaves one slim entry a row on shared files. Copies collapse before any shuffle (partial
-    aggregation), so a hot group costs one entry a task. The key is the first 64 bits of the SHA-256; the
+    aggregation), so a hot group costs one entry a task. The key is the first 60 bits of the SHA-256; the
     directory is grown from prefix counts, buckets are key ranges, and each is walked by its owner, which chains
     entries of one key by their digest bytes. With ``verify_bytes`` the normalised texts of every key held by
     more than one row are compared in full (one row a distinct text is left after partial aggregation), so that
@@ -117,9 +117,10 @@ def exact_groups(docs: DataFrame, bucket_entries: int = 1024, verify_bytes: bool
     if verify_bytes:
         several = index.filter("group_size > 1").select("digest")
         members = entries.join(several, "digest", "left_semi").select("doc_id", "digest")
-        clash = scratch.save(_clashing(texts, members), "clashes")
+        clash = _clashing(scratch, texts, members)
         if not clash.isEmpty():
             raise ValueError("two different texts share a SHA-256 digest")
+        scratch.drop("members")
     return found.select(
         "doc_id",
         "keep_id",
@@ -129,10 +130,13 @@ def exact_groups(docs: DataFrame, bucket_entries: int = 1024, verify_bytes: bool
     )
 
 
-def _clashing(texts: DataFrame, members: DataFrame) -> DataFrame:
-    """Digests of several rows whose texts differ in their bytes."""
+def _clashing(scratch: Scratch, texts: DataFrame, members: DataFrame) -> DataFrame:
+    """Digests of several rows whose texts differ in their bytes.
+
+    The join is written before it is grouped: a hot digest's rows stay spread over tasks and collapse in each.
+    """
     digest = F.unhex(F.sha2(F.col("plain").cast("binary"), 256))
-    held = texts.select(digest.alias("digest"), "plain").join(members.select("digest").distinct(), "digest", "left_semi")
+    held = scratch.save(texts.select(digest.alias("digest"), "plain").join(members.select("digest").distinct(), "digest", "left_semi"), "members")
     return held.groupBy("digest", "plain").agg(F.count(F.lit(1)).alias("n")).groupBy("digest").count().filter("count > 1")
 
 

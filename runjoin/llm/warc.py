@@ -20,6 +20,8 @@ from .common import Scratch, commit_file, opened, table
 ROLL_BYTES, REVISIT_BYTES = 64 << 20, 1000
 #: Ranges of page_id whose payload bytes are counted to cut shards of like size.
 RANGES = 4096
+#: Payload bytes of a shard before more shards are cut.
+SHARD_BYTES = 256 << 20
 _EPOCH = "2000-01-01T00:00:00Z"
 # Record version and the profile of revisit records in the archive standard.
 _VERSION = b"WARC/1.1"
@@ -154,6 +156,8 @@ def revisits(pages: DataFrame, least: int = REVISIT_BYTES) -> DataFrame:
 def shard_of(pages: DataFrame, shards: int) -> tuple[int, int, np.ndarray]:
     """Least page_id, width of a range, and the shard of each of RANGES ranges, balanced by payload bytes.
 
+    There are more than ``shards`` of them where these would hold over SHARD_BYTES each.
+
     Counts are exact, so the same table is cut the same way on any cluster.
     """
     ends = pages.agg(F.min("page_id"), F.max("page_id")).first()
@@ -163,6 +167,7 @@ def shard_of(pages: DataFrame, shards: int) -> tuple[int, int, np.ndarray]:
     weights = np.zeros(RANGES)
     for r in pages.filter("page_id is not null").groupBy(place.alias("p")).agg(F.sum(F.octet_length(F.coalesce("html", F.lit(""))) + 500).alias("w")).collect():
         weights[r["p"]] = r["w"]
+    shards = max(shards, int(weights.sum() // SHARD_BYTES))
     before = np.cumsum(weights) - weights
     return low, width, np.minimum(shards - 1, before * shards // max(1.0, weights.sum())).astype(int)
 
@@ -186,7 +191,7 @@ def write_archives(pages: DataFrame, uri: str, shards: int | None = None, roll:
     digest = F.sha1(F.coalesce(F.col("html"), F.lit("")).cast("binary"))
     rows = pages.select(shard.alias("shard"), "page_id", F.lit(1).alias("kind"), digest.alias("digest"), F.lit(None).cast("long").alias("refers_to"), "url", "html")
     decisions = revisits(pages).select(shard.alias("shard"), "page_id", F.lit(0).alias("kind"), "digest", "refers_to", F.lit(None).cast("string").alias("url"), F.lit(None).cast("string").alias("html"))
-    dealt = rows.unionByName(decisions).repartition(shards, "shard").sortWithinPartitions("shard", F.col("page_id").asc_nulls_first(), "kind", "digest", F.col("url").asc_nulls_first())
+    dealt = rows.unionByName(decisions).repartition(max(shards, int(cuts.max()) + 1), "shard").sortWithinPartitions("shard", F.col("page_id").asc_nulls_first(), "kind", "digest", F.col("url").asc_nulls_first())
     made = dealt.mapInArrow(partial(_write, base=uri, roll=roll), "shard long, number long, file string, n_records long, n_bytes long")
     schema = made.schema
     made.write.mode("overwrite").parquet(f"{uri}/manifest")
