@@ -14,8 +14,10 @@ from pyspark.sql import functions as F
 from .common import Scratch, table, text_rows
 
 #: Signature coordinates, and how many of them a pair must share. A pair at 0.8 shares Bin(64, 0.8) of them:
-#: 51 on average, fewer than 36 about twice in a million pairs.
-COORDINATES, AGREE = 64, 36
+#: 51 on average, and fewer than 38 in 7 of 100,000 pairs; a pair at 0.85 in 3 of 100 million.
+COORDINATES, AGREE = 64, 38
+#: Shingles of a block of full sets in the last merge.
+BLOCK_SHINGLES = 400_000
 _SEEDS = np.random.default_rng(20240229).integers(0, 1 << 63, (2, COORDINATES, 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _STIR = [np.uint64(x) for x in np.random.default_rng(11).integers(1 << 62, 1 << 63, 3)]
 
@@ -101,20 +103,86 @@ def components(scratch: Scratch, edges: DataFrame, name: str) -> DataFrame:
         seen = tuple(state)
 
 
+def _agreeing(a: Column, b: Column) -> Column:
+    """Coordinates on which two signatures agree."""
+    return F.aggregate(F.zip_with(a, b, lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
+
+
 def _linked(pairs: DataFrame, sides: DataFrame, agree: int, percent: int) -> DataFrame:
     """Pairs (a, b) that share enough coordinates and, on their full sets, enough shingles."""
     left = sides.select(F.col("id").alias("a"), F.col("found").alias("fa"), F.col("signature").alias("sa"))
     right = sides.select(F.col("id").alias("b"), F.col("found").alias("fb"), F.col("signature").alias("sb"))
     both = pairs.join(left, "a").join(right, "b")
-    same = F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
+    same = _agreeing(F.col("sa"), F.col("sb"))
     inter = F.size(F.array_intersect("fa", "fb"))
     enough = F.when(same >= agree, 100 * inter >= percent * (F.size("fa") + F.size("fb") - inter)).otherwise(False)
     return both.filter(enough).select("a", "b")
 
 
-def _near(size_a: Column, size_b: Column, percent: int) -> Column:
-    """Sizes that allow the threshold at all."""
-    return 100 * F.least(size_a, size_b) >= percent * F.greatest(size_a, size_b)
+def _possible(size_a: Column, own_a: Column, size_b: Column, own_b: Column, percent: int) -> Column:
+    """Whether sets of these sizes can reach the threshold when ``own`` members of each lie in no other set."""
+    most = F.least(size_a - own_a, size_b - own_b)
+    return 100 * most >= percent * (size_a + size_b - most)
+
+
+def _hubs(hits: DataFrame, keep: int) -> DataFrame:
+    """The ``keep`` partners b that meet each a most often."""
+    counted = hits.groupBy("a", "b").agg(F.count(F.lit(1)).alias("hits"))
+    best = counted.groupBy("a").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("hits")).alias("minus"), "b"))), 1, keep).alias("h"))
+    return best.select("a", F.explode("h").alias("h")).select("a", "h.b")
+
+
+def _mixed(placed: DataFrame) -> DataFrame:
+    """Rows of the lists that hold several components, with the list's largest one as ``main``."""
+    per_root = placed.groupBy("token", "root").agg(F.count(F.lit(1)).alias("c"))
+    main = per_root.groupBy("token").agg(F.count(F.lit(1)).alias("roots"), F.max(F.struct("c", (-F.col("root")).alias("minus"))).alias("m"))
+    return placed.join(main.filter("roots > 1").select("token", (-F.col("m.minus")).alias("main")), "token")
+
+
+def _met(left: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) between classes of different roots that stand in lists of one largest component ``main``.
+
+    For each main, rows outside it meet all rows: both sides are dealt into blocks of about BLOCK_SHINGLES by a hash,
+    and every pair of blocks is counted in a task of its own.
+    """
+    side = left.withColumn("odd", F.col("root") != F.col("main"))
+    size = side.groupBy("main").agg(F.sum("n").alias("all_n"), F.sum(F.when(F.col("odd"), F.col("n"))).alias("odd_n")).filter("odd_n > 0")
+    blocks = size.select("main", F.ceil(F.col("all_n") / BLOCK_SHINGLES).alias("all_b"), F.ceil(F.col("odd_n") / BLOCK_SHINGLES).alias("odd_b"))
+    dealt = side.join(blocks, "main").withColumn("h", F.xxhash64("id"))
+    to = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), n - 1))
+    asking = dealt.filter("odd").select("main", "id", "root", F.lit(True).alias("asks"), F.pmod("h", "odd_b").alias("x"), to(F.col("all_b")).alias("y"))
+    asked = dealt.select("main", "id", "root", F.lit(False).alias("asks"), F.pmod("h", "all_b").alias("y"), to(F.col("odd_b")).alias("x"))
+    rows = asking.unionByName(asked).join(sets, "id").select("main", "x", "y", "id", "root", "asks", "found")
+
+    def run(block: pa.Table) -> pa.Table:
+        return _count_block(block, percent)
+
+    return rows.groupBy("main", "x", "y").applyInArrow(run, "a long, b long").distinct()
+
+
+def _count_block(rows: pa.Table, percent: int) -> pa.Table:
+    """Shared shingles of every asking and asked class of a block, by an inverted list of the asking ones."""
+    asks = rows["asks"].to_numpy(zero_copy_only=False)
+    ids, roots = rows["id"].to_numpy(), rows["root"].to_numpy()
+    sets = rows["found"].combine_chunks()
+    values, ends = sets.flatten().to_numpy(), np.concatenate([[0], np.cumsum(sets.value_lengths().to_numpy())])
+    ours, theirs = np.flatnonzero(asks), np.flatnonzero(~asks)
+    sizes = np.diff(ends)
+    held = np.concatenate([values[ends[i] : ends[i + 1]] for i in ours]) if len(ours) else values[:0]
+    owner = np.repeat(np.arange(len(ours)), sizes[ours])
+    order = np.argsort(held, kind="stable")
+    held, owner = held[order], owner[order]
+    a, b = [], []
+    for i in theirs:
+        mine = values[ends[i] : ends[i + 1]]
+        low, high = np.searchsorted(held, mine), np.searchsorted(held, mine, side="right")
+        runs = high - low
+        spots = np.repeat(low - np.cumsum(runs) + runs, runs) + np.arange(runs.sum())
+        inter = np.bincount(owner[spots], minlength=len(ours))
+        close = np.flatnonzero((100 * inter >= percent * (sizes[ours] + sizes[i] - inter)) & (roots[ours] != roots[i]))
+        a += ids[ours[close]].tolist()
+        b += [int(ids[i])] * len(close)
+    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
 
 def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
@@ -131,13 +199,16 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     2. Every class posts itself under its coordinate values; values of one class only are dropped. Values are ordered
        by how many classes hold them, rarest first: two classes that agree on ``AGREE`` of the coordinates must share
        one of each other's first COORDINATES - AGREE + 1, so only these are merged.
-    3. A first merge links each class with the least classes of its lists (at most two), chosen by shared values.
-       These links are linear in the classes, and put groups of near copies into one component.
-    4. A second merge takes what is left, without loss: in each list only classes outside the list's largest component
-       meet the others of another component. Two unlinked components have a member outside the largest one, so no
-       link between different components is missed, and no list is expanded into all its pairs.
-    5. Pairs must agree on ``AGREE`` coordinates, then are confirmed on full sets, which are built for classes with
-       a candidate only.
+    3. A first merge links each class with the least classes of its lists (at most two), chosen by shared values; in
+       lists that still hold several components a second one does so with the class of fewest shingles of its own
+       (likely what the others were copied from). These links are linear in the classes.
+    4. A last merge takes what is left, without loss: classes outside the largest component of a list are counted
+       against all classes of the lists with that largest component, in blocks of bounded size that hold full sets
+       and give links only. Two unlinked components have a member outside the largest one, so no link between
+       components is missed, and no list is expanded into its pairs. A class whose own shingles (held by no other
+       class in question) leave too few for the threshold has no partner.
+    5. Pairs of the first two merges must agree on ``AGREE`` coordinates, then are confirmed on full sets, which are
+       built for classes with a candidate only.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
@@ -154,11 +225,10 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     shared = posted.groupBy("token").agg(F.count(F.lit(1)).alias("held"), F.min("id").alias("hub")).filter("held > 1")
     lists = posted.join(shared, "token").groupBy("id").agg(F.first("n").alias("n"), F.sort_array(F.collect_list(F.struct("held", "token", "hub"))).alias("tokens"))
     reach = F.greatest(F.lit(0), F.lit(1 - AGREE) + F.size("tokens"))  # coordinates less those held alone, less AGREE, plus 1
-    prefixes = scratch.save(lists.filter(F.size("tokens") >= AGREE).select("id", "n", F.explode(F.slice("tokens", F.lit(1), reach)).alias("t")).select("id", "n", "t.token", "t.hub"), "prefixes")
+    ranked = scratch.save(lists.filter(F.size("tokens") >= AGREE).select("id", "n", F.slice("tokens", F.lit(1), reach).alias("tokens")), "ranked")
+    prefixes = ranked.select("id", "n", F.explode("tokens").alias("t")).select("id", "n", "t.token", "t.hub")
     # first merge: hubs of each class
-    hubs = prefixes.filter("hub <> id").groupBy("id", "hub").agg(F.count(F.lit(1)).alias("hits"))
-    best = hubs.groupBy("id").agg(F.slice(F.reverse(F.sort_array(F.collect_list(F.struct("hits", (-F.col("hub")).alias("minus"))))), 1, 2).alias("h"))
-    stars = scratch.save(best.select(F.col("id").alias("a"), F.explode("h").alias("h")).select("a", (-F.col("h.minus")).alias("b")), "stars")
+    stars = scratch.save(_hubs(prefixes.filter("hub <> id").select(F.col("id").alias("a"), F.col("hub").alias("b")), 2), "stars")
     wanted = prefixes.groupBy("token").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("token")
     active = prefixes.join(wanted, "token").select("id").unionByName(stars.select(F.col("a").alias("id"))).unionByName(stars.select(F.col("b").alias("id"))).distinct()
     held = classes.join(active, "id", "left_semi")
@@ -170,18 +240,26 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     )
     first = scratch.save(_linked(stars, sides, AGREE, percent), "links-1")
     roots = scratch.save(components(scratch, first, "early"), "roots-1")
-    placed = scratch.save(prefixes.select("id", "n", "token").join(roots, "id", "left").select("id", "n", "token", F.coalesce("root", "id").alias("root")), "placed")
-    per_root = placed.groupBy("token", "root").agg(F.count(F.lit(1)).alias("c"))
-    main = per_root.groupBy("token").agg(F.count(F.lit(1)).alias("roots"), F.max(F.struct(F.col("c"), -F.col("root"))).alias("m")).filter("roots > 1").select("token", (-F.col("m.col2")).alias("main"))
-    mixed = scratch.save(placed.join(main, "token"), "mixed")
-    x = mixed.filter("root <> main").select("token", F.col("id").alias("a"), F.col("n").alias("na"), F.col("root").alias("ra"))
-    y = mixed.select("token", F.col("id").alias("b"), F.col("n").alias("nb"), F.col("root").alias("rb"), (F.col("root") == F.col("main")).alias("big"))
-    open_pairs = x.join(y, "token").filter((F.col("ra") != F.col("rb")) & (F.col("big") | (F.col("a") < F.col("b"))) & _near(F.col("na"), F.col("nb"), percent))
-    rest = scratch.save(open_pairs.select("a", "b").distinct(), "pairs-2")
-    second = scratch.save(_linked(rest, sides, AGREE, percent), "links-2")
-    named = scratch.save(components(scratch, first.unionByName(second), "late"), "roots-2")
+    mixed = scratch.save(_mixed(prefixes.select("id", "n", "token").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))), "mixed-1")
+    # shingles that one class in question has alone
+    asked = mixed.select("id").distinct()
+    alone = sides.join(asked, "id", "left_semi").select("id", F.explode("found").alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).filter("c = 1")
+    owned = asked.join(alone.groupBy("id").agg(F.count(F.lit(1)).alias("own")), "id", "left").select("id", F.coalesce("own", F.lit(0)).alias("own"))
+    known = scratch.save(owned, "known")
+    # second merge: the plainest class of each list
+    weighed = mixed.join(known.select("id", "own"), "id")
+    plain = weighed.groupBy("token").agg(F.min(F.struct("own", "id", "root", "n")).alias("p"))
+    toward = weighed.join(plain, "token").filter((F.col("root") != F.col("p.root")) & _possible(F.col("n"), F.col("own"), F.col("p.n"), F.col("p.own"), percent))
+    nearer = scratch.save(_hubs(toward.select(F.col("id").alias("a"), F.col("p.id").alias("b")), 4), "pairs-2")
+    second = scratch.save(_linked(nearer, sides, AGREE, percent), "links-2")
+    merged = scratch.save(components(scratch, first.unionByName(second), "middle"), "roots-2")
+    # last merge: all that may still be linked
+    left = _mixed(mixed.select("id", "n", "token").join(merged, "id", "left").withColumn("root", F.coalesce("root", "id"))).join(known, "id")
+    left = scratch.save(left.filter(100 * (F.col("n") - F.col("own")) >= percent * F.col("n")).groupBy("main", "id", "n", "root").agg(F.count(F.lit(1)).alias("lists")), "mixed-2")
+    third = scratch.save(_met(left, sides.select("id", "found"), percent), "links-3")
+    named = scratch.save(components(scratch, first.unionByName(second).unionByName(third), "late"), "roots-3")
     owner = classes.select("id", "key").join(named, "id", "left").select("key", F.coalesce("root", "id").alias("root"))
-    scratch.drop("prefixes", "placed", "mixed", "pairs-2", "links-1", "links-2", "sides", "stars", "roots-1")
+    scratch.drop("ranked", "mixed-1", "mixed-2", "known", "stars", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2")
     out = signed.select("doc_id", "n_shingles", "key").join(owner, "key", "left")
     return out.select("doc_id", "n_shingles", F.coalesce("root", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
