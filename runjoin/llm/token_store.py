@@ -54,16 +54,24 @@ class WordPieces(dict):
     a text's ids are those of its chunks one after another.
     """
 
-    def __init__(self, path: str, room: int = 700_000) -> None:
+    def __init__(self, path: str, room: int = 1_000_000) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
+        # two bytes an id on the way to the files, if these do
+        self.kind = "H" if self.library.get_vocab_size() <= 1 << 16 else "I"
         self.room = room
 
     def __missing__(self, chunk: str) -> bytes:
-        ids = self.library.encode(chunk, add_special_tokens=False).ids
-        packed = array("I", ids).tobytes()
+        """Ids of a chunk. A-Z are lower-cased as the tokenizer does; a mark after a letter is a word of its own."""
+        plain = chunk.lower() if chunk.isascii() else chunk[0].lower() + chunk[1:] if chunk[0].isascii() else chunk
+        if plain != chunk:
+            packed = self[plain]
+        elif len(chunk) > 1 and chunk[-1] in ".," and chunk[-2].lower().isalpha():
+            packed = self[chunk[:-1]] + self[chunk[-1]]
+        else:
+            packed = array(self.kind, self.library.encode(chunk, add_special_tokens=False).ids).tobytes()
         if len(self) >= self.room:
             self.clear()
         self[chunk] = packed
@@ -79,17 +87,18 @@ def word_pieces(path: str) -> WordPieces:
 
 
 def _tokenise(batches: Iterator[pa.RecordBatch], path: str, end_id: int) -> Iterator[pa.RecordBatch]:
-    coder, end = word_pieces(path), np.array([end_id], dtype="<u4").tobytes()
+    coder = word_pieces(path)
+    end = array(coder.kind, [end_id]).tobytes()
     for batch, texts in text_rows(batches):
         ids = [coder.encode(x) + end for x in texts]
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.binary())], ["doc_id", "ids"])
 
 
-def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _count(batches: Iterator[pa.RecordBatch], kind: str) -> Iterator[pa.RecordBatch]:
     total = np.zeros(0, dtype=np.int64)
     for batch in batches:
         for ids in batch.column(0).to_pylist():
-            found = np.bincount(np.frombuffer(ids, dtype="<u4"))
+            found = np.bincount(np.frombuffer(ids, dtype=kind))
             if len(found) > len(total):
                 total = np.concatenate([total, np.zeros(len(found) - len(total), dtype=np.int64)])
             total[: len(found)] += found
@@ -107,7 +116,7 @@ def _block(doc_ids: list[int | None], arrays: list[np.ndarray]) -> bytes:
     return struct.pack("<qqqqI", len(doc_ids), len(ranks), len(control), len(data), zlib.crc32(body)) + body
 
 
-def _write(batches: Iterator[pa.RecordBatch], base: str, rank_of: np.ndarray) -> Iterator[pa.RecordBatch]:
+def _write(batches: Iterator[pa.RecordBatch], base: str, rank_of: np.ndarray, kind: str) -> Iterator[pa.RecordBatch]:
     """One shard a task: blocks of documents in the order they come in (ascending doc_id)."""
     task = TaskContext.get()
     shard, docs, ids = task.partitionId(), 0, 0
@@ -120,7 +129,7 @@ def _write(batches: Iterator[pa.RecordBatch], base: str, rank_of: np.ndarray) ->
         for batch in batches:
             for doc_id, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 held.append(doc_id)
-                arrays.append(rank_of[np.frombuffer(raw, dtype="<u4")])
+                arrays.append(rank_of[np.frombuffer(raw, dtype=kind)])
                 size += len(arrays[-1])
                 if size >= BLOCK_IDS:
                     out.write(_block(held, arrays))
@@ -174,16 +183,17 @@ def write_ids(docs: DataFrame, uri: str, path: str | None = None, end_id: int =
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "token-ids")
-    run = partial(_tokenise, path=path or public_tokenizers.path("word_bpe_49k.json"), end_id=end_id)
+    path = path or public_tokenizers.path("word_bpe_49k.json")
+    run, kind = partial(_tokenise, path=path, end_id=end_id), word_pieces(path).kind
     ids = scratch.save(docs.select("doc_id", "text").mapInArrow(run, "doc_id long, ids binary"), "ids")
-    counts = ids.select("ids").mapInArrow(_count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    counts = ids.select("ids").mapInArrow(partial(_count, kind=kind), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
     order = [r[0] for r in counts.orderBy(F.desc("n"), "id").collect()]  # as many rows as the vocabulary has ids
     id_of = np.array(order, dtype="<u4")
     rank_of = np.zeros(max(order, default=0) + 1, dtype="<u4")
     rank_of[id_of] = np.arange(len(order), dtype="<u4")
     shards = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
     ordered = ids.repartitionByRange(shards, F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "ids")
-    written = scratch.save(ordered.mapInArrow(partial(_write, base=uri, rank_of=rank_of), "shard long, file string, n_docs long, n_ids long"), "written")
+    written = scratch.save(ordered.mapInArrow(partial(_write, base=uri, rank_of=rank_of, kind=kind), "shard long, file string, n_docs long, n_ids long"), "written")
     manifest, base = [], 0
     for row in written.orderBy("shard").collect():  # one row a shard
         manifest.append(row.asDict() | {"base": base})
