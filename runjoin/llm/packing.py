@@ -27,7 +27,7 @@ class Pieces(dict):
     The library splits by the same pattern and merges inside each match only, so a text's ids are those of its matches.
     """
 
-    def __init__(self, path: str, room: int = 700_000) -> None:
+    def __init__(self, path: str, room: int = 1_000_000) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
@@ -123,7 +123,11 @@ def pack(docs: DataFrame, limit: int = 1024, end_id: int = 0, path: str | None =
     rests = pieces.filter(F.col("length") < limit)
     groups = -(-rests.count() // group_pieces) or 1
     dealt = rests.withColumn("pack", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", F.monotonically_increasing_id() % 64), F.lit(groups)) + 1)
-    packed = dealt.groupBy("pack").applyInPandas(partial(_pack, limit=limit), "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
+
+    def lay(group: pd.DataFrame) -> pd.DataFrame:
+        return _pack(group, limit)
+
+    packed = dealt.groupBy("pack").applyInPandas(lay, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
     full = pieces.filter(F.col("length") == limit).withColumns({"sequence_id": -1 - F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")})
     return packed.unionByName(full)
 
