@@ -19,7 +19,7 @@ from .common import Scratch, fold, table, text_rows
 CLASSES, MEMBERS = 32, 32
 VOCABULARY = CLASSES * MEMBERS
 #: Width of the word vectors' gates, steps of a window, lanes of a training batch.
-HIDDEN, WINDOW, LANES = 24, 16, 512
+HIDDEN, WINDOW, LANES = 24, 16, 1024
 #: Frequent words whose counts every worker holds; the counts of all others are joined.
 HELD_WORDS = 1 << 16
 #: Documents of the first fit on the driver (then every training document is learned from where it lies).
@@ -48,7 +48,11 @@ def fresh(seed: int = 5) -> dict[str, np.ndarray]:
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
-    return 1 / (1 + np.exp(-x))
+    """In place."""
+    np.negative(x, out=x)
+    np.exp(x, out=x)
+    x += 1
+    return np.reciprocal(x, out=x)
 
 
 def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, keep: bool = False) -> tuple[np.ndarray, list[tuple]]:
@@ -68,23 +72,35 @@ def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, ke
     return out, trace
 
 
-def _log_softmax(logits: np.ndarray) -> np.ndarray:
-    logits = logits - logits.max(axis=1, keepdims=True)
-    return logits - np.log(np.exp(logits).sum(axis=1, keepdims=True))
+_ONES = np.ones(max(CLASSES, MEMBERS), np.float32)
 
 
-def log_probs(model: dict[str, np.ndarray], states: np.ndarray, targets: np.ndarray) -> np.ndarray:
-    """Natural log probability of each target word: its class, then itself in the class."""
-    kind, member = targets // MEMBERS, targets % MEMBERS
-    row = np.arange(len(targets))
-    out = _log_softmax(states @ model["class_w"] + model["class_b"])[row, kind]
-    order = np.argsort(kind, kind="stable")
+def _weights(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """exp of the logits and their sums by row; the sums are a product with ones, much faster than short-row sums."""
+    if logits.size and logits.max() > 60:
+        logits -= logits.max(axis=1, keepdims=True)
+    weights = np.exp(logits)
+    return weights, weights @ _ONES[: logits.shape[1]]
+
+
+def _by_class(kind: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    order = np.argsort(kind.astype(np.uint8), kind="stable")
     ends = np.cumsum(np.bincount(kind, minlength=CLASSES))
     for c, end in enumerate(ends):
         own = order[ends[c - 1] if c else 0 : end]
         if len(own):
-            out[own] += _log_softmax(states[own] @ model["word_w"][c] + model["word_b"][c])[np.arange(len(own)), member[own]]
-    return out
+            yield c, own
+
+
+def log_probs(model: dict[str, np.ndarray], states: np.ndarray, targets: np.ndarray) -> np.ndarray:
+    """Natural log probability of each target word: its class, then itself in the class."""
+    kind, member = targets // MEMBERS, targets % MEMBERS
+    weights, sums = _weights(states @ model["class_w"] + model["class_b"])
+    share = weights[np.arange(len(targets)), kind] / sums
+    for c, own in _by_class(kind):
+        weights, sums = _weights(states[own] @ model["word_w"][c] + model["word_b"][c])
+        share[own] *= weights[np.arange(len(own)), member[own]] / sums
+    return np.log(np.maximum(share, 1e-37))
 
 
 def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, state: np.ndarray) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
@@ -96,26 +112,22 @@ def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray
     grads = {k: np.zeros_like(v) for k, v in model.items()}
     kind, member = goal // MEMBERS, goal % MEMBERS
     row = np.arange(len(goal))
-    logs = _log_softmax(states @ model["class_w"] + model["class_b"])
-    loss = -float(logs[row, kind].sum())
-    slope = np.exp(logs)
-    slope[row, kind] -= 1
-    slope /= max(1, len(goal))
+    slope, sums = _weights(states @ model["class_w"] + model["class_b"])
+    share = slope[row, kind] / sums
+    slope /= sums[:, None] * len(goal)
+    slope[row, kind] -= 1 / max(1, len(goal))
     grads["class_w"], grads["class_b"] = states.T @ slope, slope.sum(axis=0)
     back = slope @ model["class_w"].T
-    order = np.argsort(kind, kind="stable")
-    ends = np.cumsum(np.bincount(kind, minlength=CLASSES))
-    for c, end in enumerate(ends):
-        own = order[ends[c - 1] if c else 0 : end]
-        if len(own):
-            part = _log_softmax(states[own] @ model["word_w"][c] + model["word_b"][c])
-            at = np.arange(len(own)), member[own]
-            loss -= float(part[at].sum())
-            part = np.exp(part)
-            part[at] -= 1
-            part /= max(1, len(goal))
-            grads["word_w"][c], grads["word_b"][c] = states[own].T @ part, part.sum(axis=0)
-            back[own] += part @ model["word_w"][c].T
+    for c, own in _by_class(kind):
+        mine = states[own]
+        part, sums = _weights(mine @ model["word_w"][c] + model["word_b"][c])
+        at = np.arange(len(own)), member[own]
+        share[own] *= part[at] / sums
+        part /= sums[:, None] * len(goal)
+        part[at] -= 1 / max(1, len(goal))
+        grads["word_w"][c], grads["word_b"][c] = mine.T @ part, part.sum(axis=0)
+        back[own] += part @ model["word_w"][c].T
+    loss = -float(np.log(np.maximum(share, 1e-37)).sum())
     full = np.zeros((ids.size, HIDDEN), np.float32)
     full[real] = back
     full = full.reshape(out.shape)
@@ -280,31 +292,42 @@ def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], numb
     # the share of a word among those the network doesn't name
     shift = scale - np.log10(rare[0] + 0.5 * (rare[1] + 1))
     task, row = TaskContext.get().partitionId(), 0
+    ids, streams, fields = [], [], []
+
+    def scored() -> pa.RecordBatch:
+        logs = score_streams(model, streams) / np.log(10)
+        c = list(zip(*fields, strict=True))
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+        made = pa.RecordBatch.from_arrays(
+            [pa.array(ids, pa.int64()), *(pa.array(v, k) for v, k in zip(c, kinds, strict=True)), pa.array(logs)], ["doc_id", "row", "n_tokens", "n_known", "base", "rest", "words", "times", "logs"]
+        )
+        for held_rows in (ids, streams, fields):
+            held_rows.clear()
+        return made
+
     for batch, texts in text_rows(batches):
-        streams, fields = [], []
+        ids += batch.column(0).to_pylist()
         for text in texts:
             words = tokens(text)
-            ids = np.fromiter(map(number.__getitem__, words), np.int32, len(words))
-            streams.append(ids)
+            streams.append(np.fromiter(map(number.__getitem__, words), np.int32, len(words)))
             base, n_known, other, shared, hidden = 0.0, 0, 0, 0.0, Counter()
             for w, k in Counter(words).items():
                 if (x := known.get(w)) is not None:
-                    base += k * (x[0] - scale)
+                    part = k * (x[0] - scale)
+                    base += part
                     n_known += k
                     if w not in number:
-                        shared += k * (x[0] - scale)
+                        shared += part
                         other += k
                 else:
                     hidden[xxhash.xxh3_64_intdigest(w) - (1 << 63)] += k
                     other += k
             fields.append((task << 36 | row, len(words), n_known, base, shared + other * shift, list(hidden), list(hidden.values())))
             row += 1
-        logs = score_streams(model, streams) / np.log(10) if streams else np.zeros(0)
-        c = list(zip(*fields, strict=True)) or [()] * 7
-        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int64())]
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), *(pa.array(v, k) for v, k in zip(c, kinds, strict=True)), pa.array(logs)], ["doc_id", "row", "n_tokens", "n_known", "base", "rest", "words", "times", "logs"]
-        )
+        if len(ids) >= 8192:  # lanes of like length: the more texts, the fewer steps are taken for a long one alone
+            yield scored()
+    if ids:
+        yield scored()
 
 
 def _streams(batches: Iterator[pa.RecordBatch], number: Numbers) -> Iterator[pa.RecordBatch]:
