@@ -73,7 +73,7 @@ class PerfectHash:
 class ByteBpe(dict):
     """Encoder and decoder of one rank file. As a dictionary: pre-token to its ids' bytes, forgotten when full."""
 
-    def __init__(self, path: str, pattern: str, room: int = 700_000) -> None:
+    def __init__(self, path: str, pattern: str, room: int = 500_000) -> None:
         with open(path, "rb") as lines:
             pairs = [line.split() for line in lines if line.strip()]
         self.ranks = {base64.b64decode(a): int(b) for a, b in pairs}

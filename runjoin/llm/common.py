@@ -93,8 +93,25 @@ def commit_file(uri: str, temporary: str, write: Callable[[pa.NativeFile], None]
     fs.move(draft, path)
 
 
-def text_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
-    """Batches with their texts as Python strings, null as the empty text."""
-    for batch in batches:
-        texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
-        yield batch, [x or "" for x in texts]
+def text_rows(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[tuple[pa.RecordBatch, list[str]]]:
+    """Parts of batches with their texts as Python strings, null as the empty text; few rows are held at a time."""
+    for whole in batches:
+        for at in range(0, max(1, whole.num_rows), rows):
+            batch = whole.slice(at, rows)
+            texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
+            yield batch, [x or "" for x in texts]
+
+
+def _byte_letters() -> dict[int, str]:
+    """Byte-level vocabularies write printable Latin-1 bytes as themselves, the others as letters from 256 on."""
+    plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+    other = [b for b in range(256) if b not in plain]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(other)}
+
+
+_BYTE_LETTERS = str.maketrans({chr(b): letter for b, letter in _byte_letters().items()})
+
+
+def byte_level(text: str) -> str:
+    """A text's bytes in the letters of byte-level vocabularies."""
+    return text.encode().decode("latin-1").translate(_BYTE_LETTERS)

@@ -15,7 +15,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, table, text_rows
+from .common import Scratch, byte_level, table, text_rows
 
 #: Rest pieces a group holds on average; small enough for one task, large enough for tight bins.
 GROUP_PIECES = 2048
@@ -24,19 +24,21 @@ GROUP_PIECES = 2048
 class Pieces(dict):
     """Pre-token to the bytes of its ids by the tokenizers library; forgotten when full.
 
-    The library splits by the same pattern and merges inside each match only, so a text's ids are those of its matches.
+    The library splits by the same pattern and merges inside each match only, so a text's ids are those of its matches;
+    these go to the library's model directly, in its byte letters.
     """
 
-    def __init__(self, path: str, room: int = 1_000_000) -> None:
+    def __init__(self, path: str, room: int = 500_000) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
+        self.model = self.library.model
         self.split = regex.compile(public_tokenizers.PATTERN).findall
         self.room = room
 
     def __missing__(self, piece: str) -> bytes:
-        packed = array("I", self.library.encode(piece, add_special_tokens=False).ids).tobytes()
+        packed = array("I", [t.id for t in self.model.tokenize(byte_level(piece))]).tobytes()
         if len(self) >= self.room:
             self.clear()
         self[piece] = packed

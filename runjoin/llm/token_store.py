@@ -16,7 +16,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, commit_file, opened, table, text_rows
+from .common import Scratch, byte_level, commit_file, opened, table, text_rows
 
 MAGIC = b"VBYTEID1"
 #: Ids of a block after which a new one starts; a block holds whole documents.
@@ -54,22 +54,27 @@ class WordPieces(dict):
     a text's ids are those of its chunks one after another.
     """
 
-    def __init__(self, path: str, room: int = 1_000_000) -> None:
+    def __init__(self, path: str, room: int = 900_000) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
+        self.model = self.library.model
         # two bytes an id on the way to the files, if these do
         self.kind = "H" if self.library.get_vocab_size() <= 1 << 16 else "I"
         self.room = room
 
     def __missing__(self, chunk: str) -> bytes:
         """Ids of a chunk. A-Z are lower-cased as the tokenizer does; a mark after a letter is a word of its own."""
+        if not chunk:
+            return b""
         plain = chunk.lower() if chunk.isascii() else chunk[0].lower() + chunk[1:] if chunk[0].isascii() else chunk
         if plain != chunk:
             packed = self[plain]
         elif len(chunk) > 1 and chunk[-1] in ".," and chunk[-2].lower().isalpha():
             packed = self[chunk[:-1]] + self[chunk[-1]]
+        elif chunk.isalpha() and max(chunk) <= "\xff":  # one word of Latin-1 letters: only its case is normalised
+            packed = array(self.kind, [t.id for t in self.model.tokenize(byte_level(chunk.lower()))]).tobytes()
         else:
             packed = array(self.kind, self.library.encode(chunk, add_special_tokens=False).ids).tobytes()
         if len(self) >= self.room:
@@ -78,7 +83,9 @@ class WordPieces(dict):
         return packed
 
     def encode(self, text: str) -> bytes:
-        return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ")))
+        # Python's white space is the tokenizer's, but for four separators
+        odd = any(c in text for c in "\x1c\x1d\x1e\x1f")
+        return b"".join(map(self.__getitem__, text.replace("\n", " ").split(" ") if odd else text.split()))
 
 
 @lru_cache(maxsize=2)
