@@ -336,6 +336,19 @@ def _streams(batches: Iterator[pa.RecordBatch], number: Numbers) -> Iterator[pa.
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "ids"])
 
 
+def _frequent(counts: DataFrame, words: int) -> DataFrame:
+    """Rows that hold the ``words`` most frequent ones: a cut by bands of the logarithm, so few others come along."""
+    named = counts.filter(F.octet_length("word") > 0)
+    band = F.floor(F.log2("n") * 8)
+    bands = sorted(((r[0], r[1]) for r in named.groupBy(band.alias("band")).count().collect()), reverse=True)  # 512 at most
+    seen, cut = 0, 0
+    for b, n in bands:
+        seen, cut = seen + n, b
+        if seen >= words:
+            break
+    return named.filter(band >= cut)
+
+
 def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = HELD_WORDS) -> DataFrame:
     """log10 probabilities of every whole text by the network and by word counts.
 
@@ -353,7 +366,7 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
     training = docs.filter(fold(F.col("doc_id")) != 1)
     counts = scratch.save(training.select("text").mapInArrow(_count, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")), "counts")
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    top = counts.filter(F.octet_length("word") > 0).orderBy(F.desc("n"), "word").limit(held_words).collect()  # HELD_WORDS rows at most
+    top = _frequent(counts, held_words).orderBy(F.desc("n"), "word").limit(held_words).collect()  # HELD_WORDS rows at most
     held = {bytes(r["word"]): r["n"] for r in top}
     ends = counts.filter(F.octet_length("word") == 0).first()
     held[END] = ends["n"] if ends else 0
