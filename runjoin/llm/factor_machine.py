@@ -27,19 +27,6 @@ _CLASSES[[32, 9, 10, 11, 12, 13]] = 4
 _CLASSES[list(range(128, 256))] = 5
 
 
-class Buckets(dict):
-    """Word to its bucket; forgotten when full."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= 500_000:
-            self.clear()
-        self[word] = bucket = zlib.crc32(word) % WORDS
-        return bucket
-
-
-_BUCKETS = Buckets()
-
-
 def features(text: str, n_chars: int | None) -> tuple[np.ndarray, np.ndarray]:
     """Feature numbers and values of one whole text: its distinct word buckets share weight 1, each statistic has 1."""
     raw = text.encode()
@@ -54,8 +41,7 @@ def features(text: str, n_chars: int | None) -> tuple[np.ndarray, np.ndarray]:
     )
     sizes = (len(words), (len(raw) - kinds[4] * len(raw)) / max(1, len(words)) * 8, len(lines), n_chars or 0)
     bins = [min(BINS - 1, int(np.ceil(s * (BINS - 1)))) for s in shares] + [min(BINS - 1, int(np.log2(1 + max(0, s)))) for s in sizes]
-    index = np.fromiter(map(_BUCKETS.__getitem__, distinct), dtype=np.int32, count=len(distinct))
-    index = np.unique(index)
+    index = np.unique(np.fromiter(map(zlib.crc32, distinct), dtype=np.uint32, count=len(distinct)) % WORDS).astype(np.int32)
     value = np.full(len(index) + STATS, 1.0, dtype=np.float32)
     value[: len(index)] = 1 / np.sqrt(max(1, len(index)))
     return np.concatenate([index, WORDS + np.arange(STATS, dtype=np.int32) * BINS + np.array(bins, dtype=np.int32)]), value

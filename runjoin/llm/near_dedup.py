@@ -22,24 +22,11 @@ _SEEDS = np.random.default_rng(20240229).integers(0, 1 << 63, (2, COORDINATES, 1
 _STIR = [np.uint64(x) for x in np.random.default_rng(11).integers(1 << 62, 1 << 63, 3)]
 
 
-class WordHashes(dict):
-    """Word to a 64-bit hash; forgotten when full."""
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= 500_000:
-            self.clear()
-        self[word] = h = xxhash.xxh3_64_intdigest(word)
-        return h
-
-
-_HASHES = WordHashes()
-
-
 def shingles(words: list[bytes], width: int) -> np.ndarray:
     """Sorted distinct 64-bit hashes of all runs of ``width`` words; a shorter text is one run, no word gives none."""
     if not words:
         return np.zeros(0, np.uint64)
-    h = np.fromiter(map(_HASHES.__getitem__, words), dtype=np.uint64, count=len(words))
+    h = np.fromiter(map(xxhash.xxh3_64_intdigest, words), dtype=np.uint64, count=len(words))
     span = min(width, len(words))
     n = len(words) - span + 1
     out = np.full(n, np.uint64(span), np.uint64)
