@@ -349,10 +349,10 @@ def _pivot(s, d):
     return _wide(pipeline.summarise(w10(s, d)).deepest.groupBy("segment").pivot("flag", ["A", "N", "R"]).agg(F.sum("freq")), "A", "N", "R")
 
 
-_RANK = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
-_add("e26_top_orders", lambda s, d: table(s, d, "orders").select("o_custkey", "o_orderkey", F.row_number().over(_RANK).cast("long").alias("k"), F.ntile(4).over(_RANK).cast("long").alias("q")).filter("k <= 3"), "SELECT o_custkey, o_orderkey, k, q FROM (SELECT o_custkey, o_orderkey, row_number() OVER w AS k, ntile(4) OVER w AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)) WHERE k <= 3")
-_GAP = Window.partitionBy("user_id").orderBy("ts", "event_id")
-_add("e27_event_steps", lambda s, d: table(s, d, "events").select("event_id", F.lag("event_id").over(_GAP).alias("before"), F.lead("event_id").over(_GAP).alias("after")), "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+_rank = lambda: Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")  # noqa: E731  a window needs a session
+_add("e26_top_orders", lambda s, d: table(s, d, "orders").select("o_custkey", "o_orderkey", F.row_number().over(_rank()).cast("long").alias("k"), F.ntile(4).over(_rank()).cast("long").alias("q")).filter("k <= 3"), "SELECT o_custkey, o_orderkey, k, q FROM (SELECT o_custkey, o_orderkey, row_number() OVER w AS k, ntile(4) OVER w AS q FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)) WHERE k <= 3")
+_gap = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
+_add("e27_event_steps", lambda s, d: table(s, d, "events").select("event_id", F.lag("event_id").over(_gap()).alias("before"), F.lead("event_id").over(_gap()).alias("after")), "SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 _add("e29_prefix_sum_w05", lambda s, d: summary.prefix_sum(pipeline.summarise(w05(s, d)).runs("art1"), ["u1", "art1"], "freq", "start"), f"SELECT u1, art1, freq, CAST(sum(freq) OVER (ORDER BY u1, art1) - freq AS BIGINT) AS start FROM (SELECT u1, art1, count(*) AS freq FROM {_nest('w05')} j GROUP BY 1, 2)")
 _add("e33_intersect", lambda s, d: table(s, d, "customer").select(F.col("c_custkey").alias("k")).intersect(table(s, d, "events").select(F.col("user_id").alias("k"))), "SELECT c_custkey AS k FROM customer INTERSECT SELECT user_id FROM events")
 _add("e33_except_all", lambda s, d: table(s, d, "orders").select(F.col("o_custkey").alias("k")).exceptAll(table(s, d, "customer").select(F.col("c_custkey").alias("k"))), "SELECT o_custkey AS k FROM orders EXCEPT ALL SELECT c_custkey FROM customer")
