@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections import Counter
 from collections.abc import Iterator
 from functools import partial
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +23,11 @@ VOCABULARY = CLASSES * MEMBERS
 HIDDEN, WINDOW, LANES = 24, 16, 1024
 #: Frequent words whose counts every worker holds; the counts of all others are joined.
 HELD_WORDS = 1 << 16
-#: Documents of the first fit on the driver (then every training document is learned from where it lies).
-START_DOCS = 400
+#: Documents whose pieces may enter the first fit on the driver, and pieces that do (then every training document is learned
+#: from whole, where it lies).
+START_DOCS, START_PIECES = 400, 1000
+#: Words of a piece: longer documents are learned from in several lanes.
+PIECE = 1024
 END = b""
 _NAMES = ("embed", "update", "bias", "class_w", "class_b", "word_w", "word_b")
 
@@ -222,16 +226,24 @@ def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray]) -> np
     return out
 
 
-class Numbers(dict):
-    """Word to its number in the network: 0 is the end, the last stands for every word not listed."""
+def numbered(words: list[bytes]) -> dict[bytes, int]:
+    """Places of an end (0) and of ``words``, the most frequent first; a word's number in the network is its place, cut by ``named``."""
+    return {END: 0} | {w: i + 1 for i, w in enumerate(words)}
 
-    def __missing__(self, word: bytes) -> int:
-        return VOCABULARY - 1
 
+def placed(words: list[bytes], places: dict[bytes, int]) -> np.ndarray:
+    """Places of words, ``len(places)`` for those without one."""
+    return np.fromiter(map(places.get, words, repeat(len(places))), np.int32, len(words))
 
-def numbered(words: list[bytes]) -> Numbers:
-    """``words``: the most frequent ones without the end, at most VOCABULARY - 2."""
-    return Numbers({END: 0} | {w: i + 1 for i, w in enumerate(words[: VOCABULARY - 2])})
+
+def named(places: np.ndarray, listed: int) -> np.ndarray:
+    """Numbers in the network: the last stands for every word beyond it and for those without a place (``listed``)."""
+    ids = np.minimum(places, VOCABULARY - 1)
+    return ids if listed >= VOCABULARY - 1 else np.where(places == listed, np.int32(VOCABULARY - 1), ids)
+
+
+def pieces(ids: np.ndarray) -> list[np.ndarray]:
+    return [ids[a : a + PIECE] for a in range(0, len(ids), PIECE)]
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -251,7 +263,7 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     yield flush()
 
 
-def _learn(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], number: Numbers, rate: float) -> Iterator[pa.RecordBatch]:
+def _learn(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], number: dict[bytes, int], rate: float) -> Iterator[pa.RecordBatch]:
     """Go on learning from all documents of a task; gives its weights times the words seen, and those."""
     learner, seen = Learner({k: v.copy() for k, v in model.items()}, rate), 0
     streams, size = [], 0
@@ -264,10 +276,9 @@ def _learn(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], numb
 
     for _, texts in text_rows(batches):
         for text in texts:
-            words = tokens(text)
-            ids = np.fromiter(map(number.__getitem__, words), np.int32, len(words))
+            ids = named(placed(tokens(text), number), len(number))
             # long documents go on in further lanes, so that a batch's lanes are of like length
-            streams += [ids[a : a + 1024] for a in range(0, len(ids), 1024)]
+            streams += pieces(ids)
             size += len(ids)
             if size >= 1_000_000:
                 learn()
@@ -286,9 +297,12 @@ def _packed(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarr
     return out
 
 
-def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], number: Numbers, held: dict[bytes, int], total: int, distinct: int, rare: tuple[int, int]) -> Iterator[pa.RecordBatch]:
-    """Scores of whole documents; words whose counts aren't held leave as hashes, to be joined."""
-    scale, known = np.log10(total + 0.5 * (distinct + 1)), {w: (np.log10(c + 0.5), c) for w, c in held.items()}
+def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], places: dict[bytes, int], counts: np.ndarray, total: int, distinct: int, rare: tuple[int, int]) -> Iterator[pa.RecordBatch]:
+    """Scores of whole documents; words without a place leave as hashes, to be joined. ``counts``: by place."""
+    scale, listed = np.log10(total + 0.5 * (distinct + 1)), len(places)
+    # by place, and nothing for words without one
+    logs_of = np.append(np.log10(counts + 0.5) - scale, 0.0)
+    known = np.append(counts > 0, False)
     # the share of a word among those the network doesn't name
     shift = scale - np.log10(rare[0] + 0.5 * (rare[1] + 1))
     task, row = TaskContext.get().partitionId(), 0
@@ -309,20 +323,14 @@ def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], numb
         ids += batch.column(0).to_pylist()
         for text in texts:
             words = tokens(text)
-            streams.append(np.fromiter(map(number.__getitem__, words), np.int32, len(words)))
-            base, n_known, other, shared, hidden = 0.0, 0, 0, 0.0, Counter()
-            for w, k in Counter(words).items():
-                if (x := known.get(w)) is not None:
-                    part = k * (x[0] - scale)
-                    base += part
-                    n_known += k
-                    if w not in number:
-                        shared += part
-                        other += k
-                else:
-                    hidden[xxhash.xxh3_64_intdigest(w) - (1 << 63)] += k
-                    other += k
-            fields.append((task << 36 | row, len(words), n_known, base, shared + other * shift, list(hidden), list(hidden.values())))
+            at = placed(words, places)
+            streams.append(named(at, listed))
+            parts = logs_of[at]
+            other = streams[-1] == VOCABULARY - 1
+            hidden = Counter(words[i] for i in np.flatnonzero(at == listed).tolist())
+            hashes = [xxhash.xxh3_64_intdigest(w) - (1 << 63) for w in hidden]
+            rest = float(parts[other].sum()) + int(other.sum()) * shift
+            fields.append((task << 36 | row, len(words), int(known[at].sum()), float(parts.sum()), rest, hashes, list(hidden.values())))
             row += 1
         if len(ids) >= 8192:  # lanes of like length: the more texts, the fewer steps are taken for a long one alone
             yield scored()
@@ -330,10 +338,16 @@ def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], numb
         yield scored()
 
 
-def _streams(batches: Iterator[pa.RecordBatch], number: Numbers) -> Iterator[pa.RecordBatch]:
-    for batch, texts in text_rows(batches):
-        ids = [[number[w] for w in tokens(x)[:-1][:2047]] + [0] for x in texts]
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], ["doc_id", "ids"])
+def _pieces(batches: Iterator[pa.RecordBatch], number: dict[bytes, int]) -> Iterator[pa.RecordBatch]:
+    """All pieces of whole texts."""
+    for batch, texts in text_rows(batches, 32):
+        ids, nth, cut = [], [], []
+        for doc_id, text in zip(batch.column(0).to_pylist(), texts, strict=True):
+            for i, part in enumerate(pieces(named(placed(tokens(text), number), len(number)))):
+                ids.append(doc_id)
+                nth.append(i)
+                cut.append(part)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nth, pa.int64()), pa.array(cut, pa.list_(pa.int32()))], ["doc_id", "nth", "ids"])
 
 
 def _frequent(counts: DataFrame, words: int) -> DataFrame:
@@ -349,12 +363,12 @@ def _frequent(counts: DataFrame, words: int) -> DataFrame:
     return named.filter(band >= cut)
 
 
-def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = HELD_WORDS) -> DataFrame:
+def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = HELD_WORDS, start_pieces: int = START_PIECES) -> DataFrame:
     """log10 probabilities of every whole text by the network and by word counts.
 
     Columns: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score. Documents whose crc32(doc_id) mod 5
     is 1 are held out; all others are learned from: word counts are summed over all of them; the network starts from
-    ``start_docs`` of them fitted on the driver, then every task goes on over all training documents it reads, and
+    ``start_pieces`` pieces, drawn by hash from ``start_docs`` of them, fitted on the driver, then every task goes on over all training documents it reads, and
     the weights are averaged by words seen. A word the network doesn't name has the probability of the last member
     times the word's share among such words (smoothed as the base), so scores are those of whole texts. Null and
     empty texts are an end alone; repeated rows are scored each; extra columns are ignored; an empty table gives no
@@ -367,21 +381,22 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
     counts = scratch.save(training.select("text").mapInArrow(_count, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")), "counts")
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
     top = _frequent(counts, held_words).orderBy(F.desc("n"), "word").limit(held_words).collect()  # HELD_WORDS rows at most
-    held = {bytes(r["word"]): r["n"] for r in top}
     ends = counts.filter(F.octet_length("word") == 0).first()
-    held[END] = ends["n"] if ends else 0
-    number = numbered(list(held)[: VOCABULARY - 2])
-    named = sum(held[w] for w in number if w in held)
-    rare = (total - named, distinct - sum(1 for w in number if held.get(w)))
+    places = numbered([bytes(r["word"]) for r in top])
+    held = np.array([ends["n"] if ends else 0, *(r["n"] for r in top)], np.int64)
+    number = dict(list(places.items())[: VOCABULARY - 1])
+    in_network = held[: len(number)]
+    rare = (total - int(in_network.sum()), distinct - int((in_network > 0).sum()))
     first = training.filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(start_docs)
-    rows = first.mapInArrow(partial(_streams, number=number), "doc_id long, ids array<int>").collect()
+    cut = first.mapInArrow(partial(_pieces, number=number), "doc_id long, nth long, ids array<int>")
+    rows = cut.orderBy(F.xxhash64("doc_id", "nth"), "doc_id", "nth").limit(start_pieces).collect()  # PIECE numbers each at most
     learner = Learner(fresh(), 0.01)
     if rows:
-        base = np.array([held.get(w, 0) for w in [END, *list(number)[1:]]] + [max(0, rare[0])], float) + 0.5
+        base = np.append(in_network, max(0, rare[0])) + 0.5
         base = np.concatenate([base[:-1], np.full(VOCABULARY - len(base), 1e-3), base[-1:]]).reshape(CLASSES, MEMBERS)
         learner.model["class_b"][:] = np.log(base.sum(axis=1) / base.sum())
         learner.model["word_b"][:] = np.log(base / base.sum(axis=1, keepdims=True))
-        streams = [np.array(r["ids"], np.int32) for r in sorted(rows, key=lambda r: r["doc_id"])]
+        streams = [np.array(r["ids"], np.int32) for r in sorted(rows, key=lambda r: (r["doc_id"], r["nth"]))]
         for _ in range(4):
             for at in range(0, len(streams), 64):
                 learner.learn(streams[at : at + 64])
@@ -391,7 +406,7 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
     if mean:
         size = len(mean) - 1
         model = _packed(np.array([mean[i] for i in range(size)]) / mean[size], model)
-    run = partial(_score, model=model, number=number, held={w: c for w, c in held.items() if c}, total=total, distinct=distinct, rare=rare)
+    run = partial(_score, model=model, places=places, counts=held, total=total, distinct=distinct, rare=rare)
     scored = scratch.save(docs.mapInArrow(run, "doc_id long, row long, n_tokens long, n_known long, base double, rest double, words array<long>, times array<long>, logs double"), "scored")
     apart = scored.select("row", F.explode(F.arrays_zip("words", "times")).alias("x")).select("row", F.col("x.words").alias("hash"), F.col("x.times").alias("k"))
     # the same hash for counted words, made where they are; frequent ones are known already
