@@ -33,6 +33,6 @@ def rle_encode(df: DataFrame, group: str, order: str, value: str) -> DataFrame:
 
 
 def register(spark: SparkSession) -> None:
-    """rle_expand (table function), run_sum and heaviest (SQL functions)."""
+    """rle_expand (table function) and run_sum (SQL function)."""
     spark.udtf.register("rle_expand", RleExpand)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION run_sum(runs ARRAY<STRUCT<value: BIGINT, freq: BIGINT>>) RETURNS BIGINT RETURN aggregate(runs, 0L, (s, r) -> s + r.value * r.freq)")
