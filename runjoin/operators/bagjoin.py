@@ -10,6 +10,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.scratch import materialise
 from .potentials import COUNT, joined, product, scope
 
 
@@ -80,7 +81,8 @@ def _extend(phis: list[DataFrame], order: list[str], safe: set[str]) -> DataFram
                 counted = joined(counted, fan, k, safe)
             least = F.least(*[F.col(f"fan{i}") for i in range(len(offers))])
             choice = reduce(lambda w, i: w.when(F.col(f"fan{i}") == least, i), range(1, len(offers)), F.when(F.col("fan0") == least, 0))
-            counted = counted.withColumn("choice", choice).drop(*[f"fan{i}" for i in range(len(offers))])
+            # each offer's branch reads its share of the prefixes: computed once, not once a branch
+            counted = materialise(counted.withColumn("choice", choice).drop(*[f"fan{i}" for i in range(len(offers))]))
             grown = []
             for i, (o, k) in enumerate(zip(offers, keys, strict=True)):
                 part = joined(counted.filter(F.col("choice") == i).drop("choice"), o, k, safe)

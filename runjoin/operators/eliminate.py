@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..plans import graph
 from ..plans.spec import JoinQuery
+from ..sources.scratch import materialise
 from .bagjoin import potential_join
 from .potentials import COUNT, joined, of_query, scope
 
@@ -86,7 +87,8 @@ def build_generator(query: JoinQuery, order: list[str] | None = None, root: str
     """Eliminate all variables, keeping a conditional for each that the output shows.
 
     Trees, chains and cycles go the same way: eliminating a variable joins the potentials and messages that hold it and
-    all others that fit into its bag, so fill-ins never become tables. ``project``: ``early`` deletes join variables
+    all others that fit into its bag, so fill-ins never become tables. Joins of cyclic bags are computed here and kept
+    on the shared folder; all else is lazy. ``project``: ``early`` deletes join variables
     that the output lacks before all others; ``skip`` keeps them in the generator, to be left out when runs are written.
     """
     hidden = query.hidden if project == "early" else []
@@ -116,6 +118,7 @@ def build_generator(query: JoinQuery, order: list[str] | None = None, root: str
             frame = potential_join([*parts, *bare], [*given, v], strategy, safe).withColumnRenamed(COUNT, "bucket")
             for s, p, _ in marked:
                 frame = joined(frame, p, sorted(s), safe)
+            frame = materialise(frame)  # read by the message and by each level generated from it
         else:
             pieces = [(p.withColumnRenamed(COUNT, "bucket"), "bucket") for p in parts] + [(p.withColumnRenamed(COUNT, f"m_{c}"), None) for _, p, c in open_ones]
             for p, _ in pieces:
