@@ -182,7 +182,7 @@ for _w in ("w01", "w03", "w05", "w09", "w10"):
     for _i, _c in enumerate(OUT[_w]):
         _own = OUT[_w][: _i + 1]
         _add(
-            f"a36_column_{_w}_{_c}", lambda s, d, w=_w, c=_c: pipeline.summarise(BUILD[w](s, d)).column(c),
+            f"a36_column_{_w}_{_c}", lambda s, d, w=_w, c=_c: pipeline.summarise(BUILD[w](s, d), cut=True).column(c),
             f"WITH r AS (SELECT {_q(_own)}, count(*) AS freq FROM {_nest(_w)} j GROUP BY {_q(_own)}) SELECT CAST(coalesce(sum(freq) OVER (ORDER BY {_q(_own)} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start, freq, \"{_c}\" AS value FROM r",
         )
 _W04 = "WITH pf AS (SELECT l_partkey AS part, l_returnflag AS flag, count(*) AS n FROM lineitem GROUP BY 1, 2), ps AS (SELECT l_partkey AS part, l_suppkey AS supp, count(*) AS n FROM lineitem GROUP BY 1, 2), sf AS (SELECT supp, flag, sum(pf.n * ps.n) AS n FROM pf JOIN ps USING (part) GROUP BY 1, 2)"
@@ -329,14 +329,15 @@ _add("e14_anti_join", lambda s, d: table(s, d, "customer", ["c_custkey"]).join(t
 
 
 def _asof(s, d):
-    """Last event of each customer before an order: events and orders in one ordered window."""
+    """Last event of each customer before an order: events and orders in one ordered window. Orders end in 2001 and
+    events begin in 2024, so orders are moved by 23 years."""
     ev = table(s, d, "events").select(F.col("user_id").alias("cust"), F.col("ts").alias("at"), "event_id", F.lit(None).cast("long").alias("o_orderkey"))
-    od = table(s, d, "orders").select(F.col("o_custkey").alias("cust"), F.col("o_orderdate").alias("at"), F.lit(None).cast("long").alias("event_id"), "o_orderkey")
+    od = table(s, d, "orders").select(F.col("o_custkey").alias("cust"), (F.col("o_orderdate") + F.expr("INTERVAL 23 YEARS")).alias("at"), F.lit(None).cast("long").alias("event_id"), "o_orderkey")
     w = Window.partitionBy("cust").orderBy("at", F.col("o_orderkey").asc_nulls_first(), "event_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return ev.unionByName(od).withColumn("event_id", F.last("event_id", ignorenulls=True).over(w)).filter("o_orderkey is not null and event_id is not null").select("o_orderkey", "event_id")
 
 
-_add("e17_asof_join", _asof, "SELECT o_orderkey, event_id FROM (SELECT o_orderkey, event_id, row_number() OVER (PARTITION BY o_orderkey ORDER BY ts DESC, event_id DESC) AS k FROM orders JOIN events ON user_id = o_custkey AND ts <= o_orderdate) WHERE k = 1")
+_add("e17_asof_join", _asof, "SELECT o_orderkey, event_id FROM (SELECT o_orderkey, event_id, row_number() OVER (PARTITION BY o_orderkey ORDER BY ts DESC, event_id DESC) AS k FROM orders JOIN events ON user_id = o_custkey AND ts <= o_orderdate + INTERVAL 23 YEAR) WHERE k = 1")
 _add("e20_pricing", lambda s, d: table(s, d, "lineitem").filter("l_shipdate <= timestamp'1998-09-02'").groupBy("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("qty"), F.round(F.avg("l_extendedprice"), 4).alias("price"), F.count(F.lit(1)).alias("n")), "SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS qty, round(avg(l_extendedprice), 4) AS price, count(*) AS n FROM lineitem WHERE l_shipdate <= TIMESTAMP '1998-09-02' GROUP BY 1, 2")
 _add("e22_distinct_parts", lambda s, d: table(s, d, "lineitem").groupBy("l_suppkey").agg(F.countDistinct("l_partkey").alias("parts")), "SELECT l_suppkey, count(DISTINCT l_partkey) AS parts FROM lineitem GROUP BY 1")
 _add("e23_rollup_w10", lambda s, d: _wide(pipeline.summarise(w10(s, d)).deepest.rollup("segment", "priority").agg(F.sum("freq").alias("n")), "n"), f"SELECT segment, priority, count(*) AS n FROM {_nest('w10')} j GROUP BY ROLLUP (segment, priority)")
