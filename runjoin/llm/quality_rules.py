@@ -4,13 +4,15 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 
-from .common import BLANKS, let, table
+from .common import BLANKS, fold, let, table
 
-#: Buckets of the multinomials, pseudo-count of each, and the least mean log ratio of a document that stays.
-BUCKETS, PRIOR, LEAST = 1 << 13, 1.0, -0.3
+#: Buckets of the multinomials and pseudo-count of each.
+BUCKETS, PRIOR = 1 << 13, 1.0
+#: Share of trusted documents that may fall below the least mean log ratio, and steps of one in which it is set.
+LOST, STEPS = 0.01, 1000
 
 
 def words_of(text: Column) -> Column:
@@ -40,26 +42,34 @@ def repeated_words(words: Column) -> Column:
 
 
 def bucket_counts(docs: DataFrame, trusted: DataFrame, broadcast_ids: int = 1 << 20) -> DataFrame:
-    """Rows (bucket, raw, good): grams of all documents and of the trusted ones. At most BUCKETS rows.
+    """Rows (bucket, raw, good, fit): grams of all documents, of the trusted ones and of those not set apart. At most BUCKETS rows.
 
     Up to ``broadcast_ids`` trusted ids are broadcast, so the scan is counted where it is; beyond that they meet the
     documents in a shuffle join. Either way grams are summed by bucket before they leave a task.
     """
-    chosen = trusted.filter(F.col("doc_id").isNotNull()).select("doc_id").distinct().withColumn("good", F.lit(1))
-    if chosen.count() <= broadcast_ids:
-        chosen = F.broadcast(chosen)
+    chosen = _chosen(trusted, broadcast_ids).withColumn("good", F.lit(1)).withColumn("fit", (~_apart()).cast("int"))
     flagged = docs.select("doc_id", "text").join(chosen, "doc_id", "left")
-    grams = flagged.select(F.coalesce("good", F.lit(0)).alias("good"), F.explode(let(words_of(F.col("text")), gram_buckets)).alias("bucket"))
-    return grams.groupBy("bucket").agg(F.count(F.lit(1)).alias("raw"), F.sum("good").alias("good"))
+    flags = [F.coalesce(x, F.lit(0)).alias(x) for x in ("good", "fit")]
+    grams = flagged.select(*flags, F.explode(let(words_of(F.col("text")), gram_buckets)).alias("bucket"))
+    return grams.groupBy("bucket").agg(F.count(F.lit(1)).alias("raw"), F.sum("good").alias("good"), F.sum("fit").alias("fit"))
 
 
-def log_ratios(counts: DataFrame) -> list[float]:
+def _apart() -> Column:
+    """Whether a trusted document is one that only sets the least ratio."""
+    return fold(F.col("doc_id")) == 1
+
+
+def _chosen(trusted: DataFrame, broadcast_ids: int) -> DataFrame:
+    ids = trusted.filter(F.col("doc_id").isNotNull()).select("doc_id").distinct()
+    return F.broadcast(ids) if ids.count() <= broadcast_ids else ids
+
+
+def log_ratios(counts: list[Row], of: str = "good") -> list[float]:
     """log(trusted share / raw share) of every bucket, with PRIOR added to each count; no trusted text: all 0."""
-    rows = counts.collect()
     raw, good = [PRIOR] * BUCKETS, [PRIOR] * BUCKETS
-    for r in rows:
+    for r in counts:
         raw[r["bucket"]] += r["raw"]
-        good[r["bucket"]] += r["good"]
+        good[r["bucket"]] += r[of]
     if all(g == PRIOR for g in good):
         return [0.0] * BUCKETS
     shift = math.log(sum(raw)) - math.log(sum(good))
@@ -83,16 +93,44 @@ def _failed(m: Column) -> Column:
     return (m["n_words"] < 50) | (100 * m["n_repeat_words"] > 50 * m["n_words"])
 
 
-def judge(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFrame:
+def least_ratio(docs: DataFrame, trusted: DataFrame, ratios: list[float], broadcast_ids: int = 1 << 20) -> float:
+    """The ratio that all but LOST of the trusted documents set apart reach, rounded down to a step.
+
+    ``ratios`` must not have counted these documents: a document's own grams raise its ratio, the more the fewer texts
+    are trusted, and those never labelled have no such help. Documents the counts fail don't vote. Without voters
+    nothing can be told, and no ratio is too low.
+    """
+    voters = _chosen(trusted.filter(_apart()), broadcast_ids)
+    # null for failed ones: a filter would move below the join and measure every document
+    step = let(measured(F.col("text"), ratios), lambda m: F.when(~_failed(m), F.floor(m["llr"] * STEPS)))
+    votes = docs.select("doc_id", "text").join(voters, "doc_id", "left_semi").groupBy(step.alias("step")).count().collect()  # some 10,000 rows at most
+    steps = sorted((r[0], r[1]) for r in votes if r[0] is not None)
+    left = int(LOST * sum(n for _, n in steps))
+    for step, n in steps:
+        left -= n
+        if left < 0:
+            return step / STEPS
+    return -math.inf
+
+
+def _learned(docs: DataFrame, trusted: DataFrame, least: float | None) -> tuple[list[float], float]:
+    """Ratios of all trusted text, and the least one unless it is given."""
+    counts = bucket_counts(docs, trusted).collect()
+    if least is None:
+        least = least_ratio(docs, trusted, log_ratios(counts, "fit")) if any(r["fit"] for r in counts) else -math.inf
+    return log_ratios(counts), least
+
+
+def judge(docs: DataFrame, trusted: DataFrame, least: float | None = None) -> DataFrame:
     """Counts, score and verdict of every document.
 
     Columns: doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, kept, llr. ``trusted``
     names (doc_id) the documents whose grams make the target multinomial; all documents make the raw one. ``llr`` is
     the mean log ratio over the words and word pairs of the whole text, 0 without words. A row stays unless it has
-    fewer than 50 words, more than half of its words lie in repeated runs, or ``llr`` is below ``least``. Null texts
-    have no words; repeated rows are judged each; extra columns are ignored; an empty table gives no rows.
+    fewer than 50 words, more than half of its words lie in repeated runs, or ``llr`` is below ``least`` (without one,
+    what ``least_ratio`` finds by trusted documents that a fit leaves out). Null texts have no words; repeated rows are judged each; extra columns are ignored; an empty table gives no rows.
     """
-    ratios = log_ratios(bucket_counts(docs, trusted))
+    ratios, least = _learned(docs, trusted, least)
     text = F.coalesce(F.col("text"), F.lit(""))
     lines = F.filter(F.split(text, "\n", -1), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
     m = F.col("m")
@@ -108,9 +146,9 @@ def judge(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFram
     )
 
 
-def keep_ruled(docs: DataFrame, trusted: DataFrame, least: float = LEAST) -> DataFrame:
+def keep_ruled(docs: DataFrame, trusted: DataFrame, least: float | None = None) -> DataFrame:
     """Rows the rules keep, all columns, without a shuffle."""
-    ratios = log_ratios(bucket_counts(docs, trusted))
+    ratios, least = _learned(docs, trusted, least)
     return docs.filter(let(measured(F.col("text"), ratios), lambda m: ~_failed(m) & (m["llr"] >= least)))
 
 

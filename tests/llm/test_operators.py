@@ -10,6 +10,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers
 import pytest
+import xxhash
 
 from runjoin.llm import bpe, exact_dedup, factor_machine, license_scan, near_dedup, packing, quality_rules, recurrent_lm, token_store, warc
 
@@ -190,6 +191,45 @@ def test_quality_rules(spark, docs):
     assert quality_rules.keep_ruled(docs, docs.limit(0)).columns == docs.columns
 
 
+def test_least_ratio_parts_labels(spark):
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    got = quality_rules.judge(docs, quality_rules.trusted_of(labels)).join(labels, "doc_id").filter("not base_failed").collect()
+    good, bad = ([r["kept"] for r in got if r["quality"] == q] for q in (1, 0))
+    assert np.mean(good) > 0.97 and np.mean(bad) < 0.2
+
+
+def test_ratios_and_verdict_by_brute_force(spark):
+    rng = np.random.default_rng(4)
+    texts = [" ".join(rng.choice([f"{kind}{i}" for i in range(300)], 80)) for kind in "ab" for _ in range(60)] + ["a1 a2", None, "a1 " * 90]
+    trusted = set(range(40)) | {120, 121}
+    words = [(t or "").split() for t in texts]
+    h = lambda w, seed=42: xxhash.xxh64_intdigest(w.encode(), seed)
+    size = quality_rules.BUCKETS
+    grams = [[h(w) % size for w in ws] + [h(v, h(w)) % size for w, v in zip(ws, ws[1:])] for ws in words]
+    apart = {d for d in trusted if zlib.crc32(str(d).encode()) % 5 == 1}
+
+    def means(chosen):
+        raw, good = np.ones(size), np.ones(size)
+        for d, g in enumerate(grams):
+            np.add.at(raw, g, 1)
+            np.add.at(good, g, int(d in chosen))
+        ratio = np.log(good / good.sum()) - np.log(raw / raw.sum())
+        return [ratio[g].mean() if g else 0.0 for g in grams]
+
+    voters = sorted(x for d, x in enumerate(means(trusted - apart)) if d in apart and len(words[d]) >= 50)
+    least = np.floor(voters[int(0.01 * len(voters))] * 1000) / 1000
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    ids = spark.createDataFrame([(d,) for d in [*trusted, None]], "doc_id long")
+    got = {r["doc_id"]: r for r in quality_rules.judge(df, ids).collect()}
+    own = means(trusted)
+    for d, r in got.items():
+        assert np.isclose(r["llr"], own[d], atol=1e-4) and r["kept"] == (len(words[d]) >= 50 and d != 122 and own[d] >= least)
+    assert {r["doc_id"] for r in quality_rules.keep_ruled(df, ids).collect()} == {d for d, r in got.items() if r["kept"]} != set()
+    # no trusted document is set apart: the ratio fails none
+    one = quality_rules.judge(df, ids.filter(f"doc_id = {min(trusted - apart)}")).collect()
+    assert all(r["kept"] != r["base_failed"] for r in one)
+
+
 def test_archives(spark, tmp_path):
     big, pages = "<p>" + "x" * 2000, None
     pages = spark.createDataFrame([(1, "http://a", big), (2, None, big), (3, "http://c\r\n", "small"), (4, "u", None), (5, "u", big), (None, "u", big), (6, "u", "small")], "page_id long, url string, html string")
