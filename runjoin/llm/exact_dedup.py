@@ -6,7 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import BLANKS, Scratch, table
@@ -141,12 +141,18 @@ def _clashing(scratch: Scratch, texts: DataFrame, members: DataFrame) -> DataFra
 
 
 def drop_exact_copies(docs: DataFrame) -> DataFrame:
-    """One row of every group of equal texts, with all columns of the input.
+    """One row of every group of equal texts, with all columns of the input, whatever the ids of its rows.
 
-    Of rows repeated with the id that stays, all but one go too.
+    A group's row is one of its keep_id, the longest of these. Further ties go by the columns in their order, maps
+    left out, so that task order decides nothing.
     """
-    kept = exact_groups(docs).filter("kept").select(F.col("doc_id").alias("_id")).distinct()
-    return docs.join(kept, docs["doc_id"].eqNullSafe(kept["_id"]), "left_semi").dropDuplicates(["doc_id"])
+    kept = exact_groups(docs).filter("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha")).distinct()
+    plain = F.regexp_replace(F.coalesce(F.col("text"), F.lit("")), BLANKS, "")
+    marked = docs.withColumn("_digest", F.sha2(plain.cast("binary"), 256))
+    chosen = marked.join(kept, marked["doc_id"].eqNullSafe(kept["_id"]) & (marked["_digest"] == kept["_sha"]), "left_semi")
+    ties = [F.col(f"`{f.name}`") for f in docs.schema.fields if "map<" not in f.dataType.simpleString()]
+    first = Window.partitionBy("_digest").orderBy(F.length(F.coalesce("text", F.lit(""))).desc(), *ties)
+    return chosen.withColumn("_place", F.row_number().over(first)).filter("_place = 1").drop("_digest", "_place")
 
 
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -46,6 +46,17 @@ def test_exact_groups(spark, docs):
     assert kept.columns == docs.columns and kept.count() == len(size)
 
 
+def test_one_row_of_every_group_stays(spark):
+    data = [(None, "one text"), (None, "other text"), (None, "onetext"), (None, None), (1, "a b c"), (1, "d e f"), (1, "abc"), (2, "abc"), (2, "g  h"), (2, "g   h"), (3, "other text"), (4, " "), (5, "gh")]
+    df = spark.createDataFrame([(i, t, n) for n, (i, t) in enumerate(data)], "doc_id long, text string, n int").repartition(4)
+    best = {}
+    for n, (i, t) in enumerate(data):
+        rank = (-len(t or ""), i is None, i or 0, t or "", n)
+        key = re.sub(r"[\x20\x09-\x0D]", "", t or "")
+        best[key] = min(best.get(key, (rank, n)), (rank, n))
+    assert sorted(r["n"] for r in exact_dedup.drop_exact_copies(df).collect()) == sorted(n for _, n in best.values())
+
+
 def test_directory_splits():
     depth, slots = exact_dedup.directory({0: 5, 1: 5, 8: 1, 15: 1}, 6, 4)
     assert depth == 4 and len(slots) == 16 and slots[0] != slots[1] and slots[8] == slots[15]
