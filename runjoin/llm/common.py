@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import atexit
 import uuid
 from collections.abc import Callable, Iterator
 
+import numpy as np
 import pyarrow as pa
+import pyarrow.dataset as pads
 import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -37,12 +40,12 @@ def let(value: Column, body: Callable[[Column], Column]) -> Column:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where none is configured."""
+    """The folder that driver and executors share. Only a session on one machine may do without: it gets a local one."""
     context = spark.sparkContext
-    root = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = context.getCheckpointDir()
+    root = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not root:
+        if not (context.master or "").startswith("local") or context.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         root = "file:///tmp/checkpoints"
         context.setCheckpointDir(root)
     return root.rstrip("/")
@@ -54,11 +57,15 @@ def opened(uri: str) -> tuple[pafs.FileSystem, str]:
 
 
 class Scratch:
-    """A folder of its own under the shared root, for tables that cut lineage and files of tasks."""
+    """A folder of its own under the shared root, for tables that cut lineage and files of tasks.
+
+    Tables that a returned (lazy) frame still reads stay until the driver's Python ends; all others go by ``drop``.
+    """
 
     def __init__(self, spark: SparkSession, label: str) -> None:
         self.spark = spark
         self.base = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
+        atexit.register(_delete, self.base)
 
     def path(self, name: str) -> str:
         return f"{self.base}/{name}"
@@ -72,11 +79,110 @@ class Scratch:
     def drop(self, *names: str) -> None:
         """Delete tables no later plan reads; where the store can't be reached they stay for its own clean-up."""
         for name in names or ("",):
-            try:
-                fs, path = opened(self.path(name).rstrip("/"))
-                fs.delete_dir(path)
-            except (OSError, pa.ArrowException):
-                continue
+            _delete(self.path(name).rstrip("/"))
+
+    def last(self, df: DataFrame, *done: str) -> DataFrame:
+        """Save a result and delete all that only led to it."""
+        out = self.save(df, "result")
+        self.drop(*done)
+        return out
+
+
+def _delete(uri: str) -> None:
+    try:
+        fs, path = opened(uri)
+        fs.delete_dir(path)
+    except (OSError, pa.ArrowException):
+        pass
+
+
+def unused(df: DataFrame, name: str) -> str:
+    """A column name that ``df`` does not have, whatever its case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def numbered(scratch: Scratch, df: DataFrame, name: str) -> tuple[DataFrame, str]:
+    """The table kept on shared files with a number for every row, and that column's name.
+
+    Rows are told apart by it whatever their ids are. Its upper bits (from ROW_BITS) name the task that wrote the row.
+    """
+    row = unused(df, "row_number")
+    return scratch.save(df.withColumn(row, F.monotonically_increasing_id()), name), row
+
+
+#: Bits of ``monotonically_increasing_id`` below the number of the partition.
+ROW_BITS = 33
+
+
+def listed(scratch: Scratch, numbers: DataFrame, name: str, bits: int = ROW_BITS) -> str:
+    """Row numbers (one column) as lists on shared files, one for each task that gave the numbers; returns where.
+
+    Numbers travel to their lists; the (far larger) rows that they name stay where they are: see ``picked``.
+    """
+    own = numbers.select(F.col(numbers.columns[0]).alias("number"))
+    parts = max(1, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
+    apart = own.withColumn("task", F.shiftright("number", bits)).repartition(parts, "task")
+    apart.write.mode("overwrite").partitionBy("task").parquet(scratch.path(name))
+    return scratch.path(name)
+
+
+def picked(lists: str, bits: int = ROW_BITS) -> Callable[[np.ndarray], np.ndarray]:
+    """A test of row numbers against ``listed`` ones, for use in a task; it holds the list of one task at a time."""
+    fs, root = opened(lists)
+    held: dict[int, np.ndarray] = {}
+
+    def of(task: int) -> np.ndarray:
+        if task not in held:
+            held.clear()
+            path = f"{root}/task={task}"
+            there = fs.get_file_info(path).type == pafs.FileType.Directory
+            held[task] = pads.dataset(path, filesystem=fs, format="parquet").to_table(columns=["number"])["number"].to_numpy() if there else np.zeros(0, np.int64)
+        return held[task]
+
+    def test(numbers: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(numbers), bool)
+        tasks = numbers >> bits
+        for t in np.unique(tasks).tolist():
+            here = tasks == t
+            out[here] = np.isin(numbers[here], of(t))
+        return out
+
+    return test
+
+
+def rows_of(saved: DataFrame, row: str, lists: str) -> DataFrame:
+    """Rows of a ``numbered`` table whose numbers are ``listed``, without that column; nothing is shuffled."""
+    kept = [c for c in saved.columns if c != row]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        test = picked(lists)
+        for batch in batches:
+            mask = test(batch.column(batch.num_columns - 1).to_numpy())
+            rest = batch.filter(pa.array(mask))
+            yield pa.RecordBatch.from_arrays(rest.columns[:-1], schema=pa.schema(list(rest.schema)[:-1]))
+
+    columns = [F.col(f"`{c}`") for c in kept]
+    return saved.select(*columns, row).mapInArrow(run, saved.select(*columns).schema)
+
+
+def looked_up(rows: DataFrame, found: DataFrame, key: str, weight: str) -> DataFrame:
+    """Inner join with ``found``, whose ``weight`` says how many of the rows hold each ``key`` (or at least bounds their order).
+
+    Keys of over 1 in HOT_SHARE rows are at most HOT_SHARE many: they are broadcast and their rows stay where they are.
+    All other keys meet in a shuffle, where none is hot.
+    """
+    total = found.agg(F.sum(weight)).first()[0] or 0
+    bar = max(1000, total // HOT_SHARE)
+    hot, cold = found.filter(F.col(weight) > bar), found.filter(F.col(weight) <= bar)
+    near = rows.join(F.broadcast(hot), key)
+    return near.unionByName(rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(cold, key))
+
+
+#: See ``looked_up``.
+HOT_SHARE = 4096
 
 
 def commit_file(uri: str, temporary: str, write: Callable[[pa.NativeFile], None]) -> None:

@@ -11,11 +11,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, table, text_rows
+from .common import Scratch, listed, looked_up, numbered, picked, rows_of, table, text_rows
 
-#: Signature coordinates, and how many of them a pair must share. A pair at 0.8 shares Bin(64, 0.8) of them:
-#: 51 on average, and fewer than 38 in 7 of 100,000 pairs; a pair at 0.85 in 3 of 100 million.
-COORDINATES, AGREE = 64, 38
+#: Signature coordinates, and how many of them a pair must share. A pair at 0.8 shares Bin(64, 0.8) of them: 51 on
+#: average, and fewer than 36 with probability 4e-6; a pair at 0.85 with 7e-9.
+COORDINATES, AGREE = 64, 36
 #: Shingles of a block of full sets in the last merge.
 BLOCK_SHINGLES = 400_000
 _SEEDS = np.random.default_rng(20240229).integers(0, 1 << 63, (2, COORDINATES, 1), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -51,6 +51,9 @@ def _words(text: str) -> list[bytes]:
     return text.encode().lower().split()  # of bytes: A to Z only, ASCII white space only
 
 
+_SIGNED = "row long, doc_id long, n_shingles long, key binary, signature array<int>, text string"
+
+
 def _sign(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
     for batch, texts in text_rows(batches):
         counts, keys, signs = [], [], []
@@ -59,17 +62,17 @@ def _sign(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBa
             counts.append(len(found))
             keys.append(xxhash.xxh3_128_digest(found.tobytes()) if len(found) else None)
             signs.append(signature(found) if len(found) else None)
-        yield pa.RecordBatch.from_arrays(
-            [batch.column(0), pa.array(counts, pa.int64()), pa.array(keys, pa.binary()), pa.array(signs, pa.list_(pa.int32()))], ["doc_id", "n_shingles", "key", "signature"]
-        )
+        made = [batch.column(0), batch.column(1), pa.array(counts, pa.int64()), pa.array(keys, pa.binary()), pa.array(signs, pa.list_(pa.int32())), batch.column(2)]
+        yield pa.RecordBatch.from_arrays(made, ["row", "doc_id", "n_shingles", "key", "signature", "text"])
 
 
 def components(scratch: Scratch, edges: DataFrame, name: str) -> DataFrame:
     """Smallest reachable id of every node that has an edge: (id, root). ``edges``: columns a, b.
 
     Each round links nodes to the least neighbour of their neighbourhood (large-star and small-star steps), which
-    takes a number of rounds logarithmic in the longest chain; rounds are written to shared files, and a node with
-    very many edges is only ever aggregated.
+    takes a number of rounds logarithmic in the longest chain; rounds are written to shared files. The edges of a node
+    with very many are summed before they are shuffled and then meet its one row of results in a plain inner join,
+    which adaptive execution splits.
     """
     pairs = scratch.save(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), f"{name}-0")
     seen, step = None, 0
@@ -172,60 +175,28 @@ def _count_block(rows: pa.Table, percent: int) -> pa.Table:
     return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
 
-def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """Groups of near duplicates: doc_id, n_shingles, component_id, kept, for every row.
-
-    A text's set holds the distinct runs of ``width`` words (A-Z lower-cased; words end at a space or tab to carriage
-    return); shorter texts are one run; texts without words, null ones too, are linked with nothing. Two texts are
-    linked when 100 * intersection >= percent * union; a component is what links reach; its id is its smallest doc_id,
-    and that row is kept. Repeated rows share a component and are all kept if their id is the smallest. A row with a
-    null doc_id never stands for others while its group holds an id. Extra columns are ignored; an empty table gives
-    no rows.
-
-    1. One scan signs every text; texts with equal sets collapse to one class before anything is joined.
-    2. Every class posts itself under its coordinate values; values of one class only are dropped. Values are ordered
-       by how many classes hold them, rarest first: two classes that agree on ``AGREE`` of the coordinates must share
-       one of each other's first COORDINATES - AGREE + 1, so only these are merged.
-    3. A first merge links each class with the least classes of its lists (at most two), chosen by shared values; in
-       lists that still hold several components a second one does so with the class of fewest shingles of its own
-       (likely what the others were copied from). These links are linear in the classes.
-    4. A last merge takes what is left, without loss: classes outside the largest component of a list are counted
-       against all classes of the lists with that largest component, in blocks of bounded size that hold full sets
-       and give links only. Two unlinked components have a member outside the largest one, so no link between
-       components is missed, and no list is expanded into its pairs. A class whose own shingles (held by no other
-       class in question) leave too few for the threshold has no partner.
-    5. Pairs of the first two merges must agree on ``AGREE`` coordinates, then are confirmed on full sets, which are
-       built for classes with a candidate only.
-    """
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "near")
-    texts = docs.select("doc_id", "text")
-    signed = scratch.save(texts.mapInArrow(partial(_sign, width=width), "doc_id long, n_shingles long, key binary, signature array<int>"), "signed")
-    # aggregates of fixed size only, so that copies collapse in hash aggregation before the shuffle
-    heads = signed.filter("key is not null").groupBy("key").agg(F.min("doc_id").alias("id"))
+def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agree: int) -> DataFrame:
+    """row, doc_id, n_shingles, root, component_id of every row of ``rows`` (row, doc_id, text); root: a row number of the component, null without words."""
+    signed = scratch.save(rows.mapInArrow(partial(_sign, width=width), _SIGNED), "signed")
+    # aggregates of fixed size only, so that copies collapse in hash aggregation before the shuffle; a class goes by the number of its first row
+    heads = scratch.save(signed.filter("key is not null").groupBy("key").agg(F.min("row").alias("id"), F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("rows")), "heads")
     classes = scratch.save(
-        signed.filter("doc_id is not null").join(heads.filter("id is not null").select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-        .dropDuplicates(["doc_id", "key"]).filter("key is not null").select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), "key", "signature"),
-        "classes",
-    )
+        signed.filter("key is not null").join(heads.select(F.col("id").alias("row")), "row", "left_semi").select(F.col("row").alias("id"), F.col("n_shingles").alias("n"), "key", "signature"), "classes"
+    )
     posted = classes.select("id", "n", F.posexplode("signature").alias("place", "value")).select("id", "n", (F.shiftleft(F.col("place").cast("long"), 32) + F.col("value").bitwiseAND(F.lit(0xFFFFFFFF).cast("long"))).alias("token"))
     shared = posted.groupBy("token").agg(F.count(F.lit(1)).alias("held"), F.min("id").alias("hub")).filter("held > 1")
     lists = posted.join(shared, "token").groupBy("id").agg(F.first("n").alias("n"), F.sort_array(F.collect_list(F.struct("held", "token", "hub"))).alias("tokens"))
-    reach = F.greatest(F.lit(0), F.lit(1 - AGREE) + F.size("tokens"))  # coordinates less those held alone, less AGREE, plus 1
-    ranked = scratch.save(lists.filter(F.size("tokens") >= AGREE).select("id", "n", F.slice("tokens", F.lit(1), reach).alias("tokens")), "ranked")
+    reach = F.greatest(F.lit(0), F.lit(1 - agree) + F.size("tokens"))  # coordinates less those held alone, less agree, plus 1
+    ranked = scratch.save(lists.filter(F.size("tokens") >= agree).select("id", "n", F.slice("tokens", F.lit(1), reach).alias("tokens")), "ranked")
     prefixes = ranked.select("id", "n", F.explode("tokens").alias("t")).select("id", "n", "t.token", "t.hub")
     # first merge: hubs of each class
     stars = scratch.save(_hubs(prefixes.filter("hub <> id").select(F.col("id").alias("a"), F.col("hub").alias("b")), 2), "stars")
     wanted = prefixes.groupBy("token").agg(F.count(F.lit(1)).alias("c")).filter("c > 1").select("token")
     active = prefixes.join(wanted, "token").select("id").unionByName(stars.select(F.col("a").alias("id"))).unionByName(stars.select(F.col("b").alias("id"))).distinct()
-    held = classes.join(active, "id", "left_semi")
-    sides = scratch.save(
-        texts.withColumnRenamed("doc_id", "id").join(held.select("id", "key", "signature"), "id").select(F.col("id").alias("doc_id"), "text", "key", "signature")
-        .mapInArrow(partial(_sets_of, width=width), "id long, key binary, signature array<int>, found array<long>")
-        .dropDuplicates(["id"]).drop("key"),
-        "sides",
-    )
-    first = scratch.save(_linked(stars, sides, AGREE, percent), "links-1")
+    # full sets of these classes, made where their texts lie
+    run = partial(_sets_of, width=width, lists=listed(scratch, active, "active"))
+    sides = scratch.save(signed.select("row", "signature", "text").mapInArrow(run, "id long, signature array<int>, found array<long>"), "sides")
+    first = scratch.save(_linked(stars, sides, agree, percent), "links-1")
     roots = scratch.save(components(scratch, first, "early"), "roots-1")
     mixed = scratch.save(_mixed(prefixes.select("id", "n", "token").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))), "mixed-1")
     # shingles that one class in question has alone
@@ -238,33 +209,81 @@ def near_groups(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame
     plain = weighed.groupBy("token").agg(F.min(F.struct("own", "id", "root", "n")).alias("p"))
     toward = weighed.join(plain, "token").filter((F.col("root") != F.col("p.root")) & _possible(F.col("n"), F.col("own"), F.col("p.n"), F.col("p.own"), percent))
     nearer = scratch.save(_hubs(toward.select(F.col("id").alias("a"), F.col("p.id").alias("b")), 4), "pairs-2")
-    second = scratch.save(_linked(nearer, sides, AGREE, percent), "links-2")
+    second = scratch.save(_linked(nearer, sides, agree, percent), "links-2")
     merged = scratch.save(components(scratch, first.unionByName(second), "middle"), "roots-2")
     # last merge: all that may still be linked
     left = _mixed(mixed.select("id", "n", "token").join(merged, "id", "left").withColumn("root", F.coalesce("root", "id"))).join(known, "id")
     left = scratch.save(left.filter(100 * (F.col("n") - F.col("own")) >= percent * F.col("n")).groupBy("main", "id", "n", "root").agg(F.count(F.lit(1)).alias("lists")), "mixed-2")
     third = scratch.save(_met(left, sides.select("id", "found"), percent), "links-3")
     named = scratch.save(components(scratch, first.unionByName(second).unionByName(third), "late"), "roots-3")
-    owner = classes.select("id", "key").join(named, "id", "left").select("key", F.coalesce("root", "id").alias("root"))
-    scratch.drop("ranked", "mixed-1", "mixed-2", "known", "stars", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2")
-    out = signed.select("doc_id", "n_shingles", "key").join(owner, "key", "left")
-    return out.select("doc_id", "n_shingles", F.coalesce("root", "doc_id").alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    # components by their smallest doc_id; a hot class or component is not joined in one task
+    rooted = scratch.save(heads.join(named, "id", "left").select("key", "low", "rows", F.coalesce("root", "id").alias("root")), "rooted")
+    lows = rooted.groupBy("root").agg(F.min("low").alias("component_id"), F.count(F.lit(1)).alias("classes"))
+    owner = scratch.save(looked_up(rooted.select("key", "rows", "root"), lows, "root", "classes").select("key", "root", "component_id", "rows"), "owner")
+    slim = signed.select("row", "doc_id", "n_shingles", "key")
+    grouped = looked_up(slim.filter("key is not null"), owner, "key", "rows").select("row", "doc_id", "n_shingles", "root", "component_id")
+    wordless = slim.filter("key is null").select("row", "doc_id", "n_shingles", F.lit(None).cast("long").alias("root"), F.col("doc_id").alias("component_id"))
+    out = scratch.save(grouped.unionByName(wordless), "rows")
+    done = ["signed", "heads", "classes", "ranked", "mixed-1", "mixed-2", "known", "stars", "active", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2", "roots-3", "rooted", "owner"]
+    scratch.drop(*done)
+    return out
+
+
+def near_groups(docs: DataFrame, width: int = 5, percent: int = 80, agree: int = AGREE) -> DataFrame:
+    """Groups of near duplicates: doc_id, n_shingles, component_id, kept, for every row.
 
+    A text's set holds the distinct runs of ``width`` words (A-Z lower-cased; words end at a space or tab to carriage
+    return); shorter texts are one run; texts without words, null ones too, are linked with nothing. Two texts are
+    linked when 100 * intersection >= percent * union; a component is what links reach; its id is its smallest doc_id,
+    and that row is kept. Repeated rows share a component and are all kept if their id is the smallest. Different texts
+    under one id (or under none) are texts like others: rows go by a number of their own. A row with a null doc_id
+    never stands for others while its group holds an id; a group without any has a null component_id. Extra columns
+    are ignored; an empty table gives no rows.
 
-def _sets_of(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
-    """Full sets of rows whose set is the wanted one (rows that repeat an id may hold another text)."""
-    for batch, texts in text_rows(batches):
-        found = [shingles(_words(x), width) for x in texts]
-        right = pa.array([xxhash.xxh3_128_digest(f.tobytes()) == k for f, k in zip(found, batch.column(2).to_pylist(), strict=True)], pa.bool_())
-        sets = pa.array([f.view(np.int64) for f in found], pa.list_(pa.int64()))
-        made = pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), sets], ["id", "key", "signature", "found"])
-        yield made.filter(right)
+    1. One scan signs every text; texts with equal sets collapse to one class before anything is joined.
+    2. Every class posts itself under its coordinate values; values of one class only are dropped. Values are ordered
+       by how many classes hold them, rarest first: two classes that agree on ``agree`` of the coordinates must share
+       one of each other's first COORDINATES - agree + 1, so only these are merged. With ``agree=1`` every list is
+       merged whole and a pair is missed only if its signatures agree nowhere.
+    3. A first merge links each class with the least classes of its lists (at most two), chosen by shared values; in
+       lists that still hold several components a second one does so with the class of fewest shingles of its own
+       (likely what the others were copied from). These links are linear in the classes.
+    4. A last merge takes what is left, without loss: classes outside the largest component of a list are counted
+       against all classes of the lists with that largest component, in blocks of bounded size that hold full sets
+       and give links only. Two unlinked components have a member outside the largest one, so no link between
+       components is missed, and no list is expanded into its pairs. A class whose own shingles (held by no other
+       class in question) leave too few for the threshold has no partner.
+    5. Pairs of the first two merges must agree on ``agree`` coordinates, then are confirmed on full sets, which are
+       built for classes with a candidate only, where their texts lie.
+    """
+    scratch = Scratch(docs.sparkSession, "near")
+    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), "text")
+    out = _named_rows(scratch, rows, width, percent, agree)
+    return out.select("doc_id", "n_shingles", "component_id", F.col("doc_id").eqNullSafe(F.col("component_id")).alias("kept"))
 
 
-def drop_near_copies(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """One row of every group of near duplicates, with all columns; rows without words all stay."""
-    gone = near_groups(docs, width, percent).filter("not kept").select(F.col("doc_id").alias("_id"))
-    return docs.join(gone, docs["doc_id"] == gone["_id"], "left_anti")
+def _sets_of(batches: Iterator[pa.RecordBatch], width: int, lists: str) -> Iterator[pa.RecordBatch]:
+    """Full sets of the listed rows."""
+    test = picked(lists)
+    for batch in batches:
+        for chosen, texts in text_rows(iter([batch.filter(pa.array(test(batch.column(0).to_numpy())))])):
+            sets = pa.array([shingles(_words(x), width).view(np.int64) for x in texts], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([chosen.column(0), chosen.column(1), sets], ["id", "signature", "found"])
+
+
+def drop_near_copies(docs: DataFrame, width: int = 5, percent: int = 80, agree: int = AGREE) -> DataFrame:
+    """One row of every group of near duplicates, with all columns; rows without words all stay.
+
+    Of a group's rows with its smallest doc_id (all rows, if none has an id) the first of the table stays. Groups are of
+    rows, not of ids: rows of one id with unlike texts lie in different groups.
+    """
+    scratch = Scratch(docs.sparkSession, "near-drop")
+    saved, row = numbered(scratch, docs, "docs")
+    found = _named_rows(scratch, saved.select(F.col(row).alias("row"), F.col("doc_id").cast("long").alias("doc_id"), "text"), width, percent, agree)
+    first = found.filter("root is not null and doc_id <=> component_id").groupBy("root").agg(F.min("row").alias("row")).select("row")
+    lists = listed(scratch, found.filter("root is null").select("row").unionByName(first), "kept")
+    scratch.drop("rows")
+    return rows_of(saved, row, lists)
 
 
 def op6_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -64,11 +64,28 @@ def test_directory_splits():
     assert exact_dedup.directory({3: 100}, 6, 4)[0] == 4
 
 
-def test_chains_tell_digests_apart():
+def test_owners_chain_texts_of_one_key():
     import pyarrow as pa
 
-    batch = pa.RecordBatch.from_pydict({"key": [1, 1, 1, 2], "digest": [b"a", b"b", b"a", b"a"]})
-    assert next(exact_dedup._chain(iter([batch])))["link"].to_pylist() == [0, 1, 0, 0]
+    rows = [(1, 10, 0, 5, 3, 2, b"A", b"abc"), (1, 11, 0, 4, 9, 1, b"B", b"abd"), (1, 12, 0, 2, 3, 4, b"A", b"abc"), (2, 13, 0, None, 1, 1, b"C", None)]
+    batch = pa.RecordBatch.from_arrays([pa.array(c, t.type) for c, t in zip(zip(*rows), exact_dedup._SCAN_ARROW)], schema=exact_dedup._SCAN_ARROW)
+    got = [r for b in exact_dedup._own(iter([batch])) for r in b.to_pylist()]
+    assert {r["ref"]: (r["group"], r["link"], r["keep_id"], r["group_size"]) for r in got} == {10: (10, 0, 2, 6), 11: (11, 1, 4, 1), 12: (10, 0, 2, 6), 13: (13, 0, None, 1)}
+    assert [r for b in exact_dedup._shared(iter([batch.select(["key", "ref"])])) for r in b.to_pylist()] == [{"ref": 10}, {"ref": 11}, {"ref": 12}]
+
+
+def test_short_keys_collide_and_change_nothing(spark, docs):
+    """Three key bits throw unlike texts into one chain; a room of one byte makes every batch write its classes."""
+    want = rows(exact_dedup.exact_groups(docs), "doc_id", "keep_id", "group_size", "kept", "text_sha256")
+    assert rows(exact_dedup.exact_groups(docs.repartition(5), bucket_entries=2, key_bits=3, room=1), "doc_id", "keep_id", "group_size", "kept", "text_sha256") == want
+    assert exact_dedup.drop_exact_copies(docs, key_bits=1).count() == exact_dedup.drop_exact_copies(docs).count()
+
+
+def test_clashing_columns_survive(spark):
+    df = spark.createDataFrame([(1, "a b", 5, {"k": 1}), (1, "a  b", 6, None), (2, None, 7, {}), (None, "c", 8, {})], "doc_id int, text string, row_number int, place_of_row map<string,int>")
+    for drop in (exact_dedup.drop_exact_copies, near_dedup.drop_near_copies):
+        got = drop(df)
+        assert got.columns == df.columns and got.count() == 3
 
 
 def test_bpe_is_tiktoken(spark, docs):
@@ -160,6 +177,45 @@ def test_near_groups_are_exact(spark):
     assert all(r["n_shingles"] == len(sets[d]) and r["kept"] == (d == r["component_id"]) for d, r in got.items())
 
 
+def brute_near(data, width=5, percent=80):
+    """Root (place of the first row) of every (doc_id, text)."""
+    def shingles(t):
+        w = (t or "").lower().split()
+        return frozenset(tuple(w[i : i + width]) for i in range(len(w) - width + 1)) if len(w) >= width else frozenset([tuple(w)] if w else [])
+
+    sets, root = [shingles(t) for _, t in data], list(range(len(data)))
+    for i in range(len(data)):
+        for j in range(i):
+            k = len(sets[i] & sets[j])
+            if sets[i] and sets[j] and 100 * k >= percent * (len(sets[i]) + len(sets[j]) - k):
+                a, b = sorted((root[i], root[j]))
+                root = [a if r == b else r for r in root]
+    return root, sets
+
+
+def test_near_copies_go_by_row_not_by_id(spark):
+    words = lambda k, n=60: [f"{k}{i}" for i in range(n)]
+    near = lambda k: " ".join([*words(k)[:58], "x", "y"])
+    text = {k: " ".join(words(k)) for k in "abcdefgh"}
+    data = [
+        (None, text["a"]), (None, text["b"]), (None, text["c"]), (5, text["d"]), (5, text["e"]), (3, near("d")), (7, text["f"]), (7, text["f"]), (7, near("f")), (8, text["f"]),
+        (None, text["g"]), (None, near("g")), (9, text["h"]), (None, near("h")), (4, None), (4, ""), (4, " \n"), (None, None), (6, "one two"), (6, "one  two"), (6, "One three"),
+    ]
+    root, sets = brute_near(data)
+    low = {}
+    for (i, _), r in zip(data, root):
+        low[r] = min(low.get(r, 99), 99 if i is None else i)
+    df = spark.createDataFrame([(i, t, n) for n, (i, t) in enumerate(data)], "doc_id long, text string, n int")
+    got = sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in near_dedup.near_groups(df.repartition(3)).collect()), key=str)
+    want = [(i, len(sets[n]), (None if low[root[n]] == 99 else low[root[n]]) if sets[n] else i) for n, (i, _) in enumerate(data)]
+    assert got == sorted(want, key=str)
+    kept = [r["n"] for r in near_dedup.drop_near_copies(df.repartition(3)).collect()]
+    wordless = {n for n, s in enumerate(sets) if not s}
+    assert wordless <= set(kept) and sorted(root[n] for n in kept if n not in wordless) == sorted({r for n, r in enumerate(root) if n not in wordless})
+    assert all(data[n][0] == (None if low[root[n]] == 99 else low[root[n]]) for n in kept if n not in wordless)
+    assert rows(near_dedup.near_groups(df, agree=1), "doc_id", "component_id") == rows(near_dedup.near_groups(df), "doc_id", "component_id")
+
+
 def test_near_groups_edges(spark, docs):
     got = near_dedup.near_groups(docs)
     assert got.count() == docs.count() and near_dedup.near_groups(docs.limit(0)).count() == 0
