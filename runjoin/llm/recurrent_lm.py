@@ -3,13 +3,12 @@
 from __future__ import annotations
 
 from collections import Counter
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import partial
 from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,15 +18,15 @@ from .common import Scratch, fold, table, text_rows
 #: The network's words: CLASSES x MEMBERS, by corpus frequency; the last one stands for all others.
 CLASSES, MEMBERS = 32, 32
 VOCABULARY = CLASSES * MEMBERS
-#: Width of the word vectors' gates, steps of a window, lanes of a training batch.
-HIDDEN, WINDOW, LANES = 24, 16, 1024
+#: Width of the word vectors' gates, steps of a window, lanes that go through windows together.
+HIDDEN, WINDOW, LANES = 24, 16, 512
 #: Frequent words whose counts every worker holds; the counts of all others are joined.
 HELD_WORDS = 1 << 16
-#: Documents whose pieces may enter the first fit on the driver, and pieces that do (then every training document is learned
-#: from whole, where it lies).
-START_DOCS, START_PIECES = 400, 1000
-#: Words of a piece: longer documents are learned from in several lanes.
-PIECE = 1024
+#: Documents whose pieces may enter the first fit on the driver, pieces that do and words of one (then every training
+#: document is learned from whole, where it lies, its state carried from its first word to its last).
+START_DOCS, START_PIECES, PIECE = 400, 1000, 1024
+#: Words that a task lays out or scores at a time, documents it scores at a time.
+ROOM, ROWS = 1 << 20, 8192
 END = b""
 _NAMES = ("embed", "update", "bias", "class_w", "class_b", "word_w", "word_b")
 
@@ -107,19 +106,21 @@ def log_probs(model: dict[str, np.ndarray], states: np.ndarray, targets: np.ndar
     return np.log(np.maximum(share, 1e-37))
 
 
-def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, state: np.ndarray) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
-    """Mean-loss gradients through one window, the state carried out, and the summed loss. Targets of -1 don't count."""
+def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, state: np.ndarray, share_of: int | None = None) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
+    """Gradients through one window of the loss over ``share_of`` (the words counted, if not given), the state carried
+    out, and the summed loss. Targets of -1 don't count."""
     out, trace = forward(model, ids, state, keep=True)
     real = np.flatnonzero(targets.reshape(-1) >= 0)
     goal = targets.reshape(-1)[real]
     states = out.reshape(-1, HIDDEN)[real]
+    over = share_of or max(1, len(goal))
     grads = {k: np.zeros_like(v) for k, v in model.items()}
     kind, member = goal // MEMBERS, goal % MEMBERS
     row = np.arange(len(goal))
     slope, sums = _weights(states @ model["class_w"] + model["class_b"])
     share = slope[row, kind] / sums
-    slope /= sums[:, None] * len(goal)
-    slope[row, kind] -= 1 / max(1, len(goal))
+    slope /= sums[:, None] * over
+    slope[row, kind] -= 1 / over
     grads["class_w"], grads["class_b"] = states.T @ slope, slope.sum(axis=0)
     back = slope @ model["class_w"].T
     for c, own in _by_class(kind):
@@ -127,8 +128,8 @@ def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray
         part, sums = _weights(mine @ model["word_w"][c] + model["word_b"][c])
         at = np.arange(len(own)), member[own]
         share[own] *= part[at] / sums
-        part /= sums[:, None] * len(goal)
-        part[at] -= 1 / max(1, len(goal))
+        part /= sums[:, None] * over
+        part[at] -= 1 / over
         grads["word_w"][c], grads["word_b"][c] = mine.T @ part, part.sum(axis=0)
         back[own] += part @ model["word_w"][c].T
     loss = -float(np.log(np.maximum(share, 1e-37)).sum())
@@ -166,21 +167,17 @@ class Learner:
         self.first = {k: np.zeros_like(v) for k, v in model.items()}
         self.second = {k: np.zeros_like(v) for k, v in model.items()}
 
-    def learn(self, streams: list[np.ndarray]) -> float:
-        """Go once through streams of word numbers, in lanes of like length; returns the summed loss."""
-        total = 0.0
-        streams = sorted(streams, key=len, reverse=True)
-        for at in range(0, len(streams), LANES):
-            lanes = streams[at : at + LANES]
-            ids, goals = laid(lanes)
-            state = np.zeros((len(lanes), HIDDEN), np.float32)
-            lengths = np.array([len(x) for x in lanes])
-            for w in range(0, len(ids), WINDOW):
-                live = int((lengths > w).sum())
-                grads, state, loss = gradients(self.model, ids[w : w + WINDOW, :live], goals[w : w + WINDOW, :live], state[:live])
-                total += loss
-                self._step(grads)
-        return total
+    def learn(self, streams: Iterable[np.ndarray], lanes: int = LANES) -> tuple[float, int]:
+        """Go once through streams of word numbers; returns the summed loss and the words. A window with few lanes left
+        weighs as little as it has words."""
+        total, words = 0.0, 0
+        state = np.zeros((lanes, HIDDEN), np.float32)
+        for live, fresh, ids, goals in windows(streams, lanes):
+            state[live[fresh]] = 0
+            grads, state[live], loss = gradients(self.model, ids, goals, state[live], lanes * WINDOW)
+            total, words = total + loss, words + int((goals >= 0).sum())
+            self._step(grads)
+        return total, words
 
     def _step(self, grads: dict[str, np.ndarray]) -> None:
         self.steps += 1
@@ -194,35 +191,68 @@ class Learner:
             self.model[k] -= (rate * self.first[k] / (np.sqrt(self.second[k]) + 1e-6)).astype(np.float32)
 
 
-def laid(lanes: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    """Words read (an end first) and words to come, a column a lane; -1 where a lane has ended."""
-    longest = max(len(x) for x in lanes)
-    goals = np.full((longest, len(lanes)), -1, np.int32)
-    for i, x in enumerate(lanes):
-        goals[: len(x), i] = x
-    ids = np.empty_like(goals)
-    ids[0] = 0
-    ids[1:] = np.maximum(goals[:-1], 0)
-    return ids, goals
+def windows(streams: Iterable[np.ndarray], lanes: int = LANES, room: int = ROOM) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Streams laid on lanes: (live lanes, which of them begin a stream, words read, words to come), a window at a time.
 
-
-def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray]) -> np.ndarray:
+    A lane goes through its stream from window to window (so its state can be carried) and then takes the next one. The
+    first word read is an end; a target of -1 stands where a stream has ended. Only ``room`` words and the rests of the
+    streams on lanes are held, and only one window is laid out, however long a stream is.
+    """
+    streams, span = iter(streams), np.arange(WINDOW)
+    flat = np.zeros(0, np.int32)
+    at, left = np.zeros(lanes, np.int64), np.zeros(lanes, np.int64)
+    starts, lengths, taken, more = np.zeros(0, np.int64), np.zeros(0, np.int64), 0, True
+    while True:
+        idle = np.flatnonzero(left == 0)
+        if len(idle) and taken == len(starts) and more:
+            new, size = [], 0
+            for x in streams:
+                new.append(x)
+                size += len(x)
+                if size >= room:
+                    break
+            else:
+                more = False
+            busy = np.flatnonzero(left)
+            rests = [flat[at[k] : at[k] + left[k] + 1] for k in busy]  # the word read next, and all to come
+            sizes = np.array([*(len(x) for x in rests), *(len(x) + 1 for x in new)], np.int64)
+            place = np.cumsum(sizes) - sizes
+            first = np.zeros(1, np.int32)
+            flat = np.concatenate([*rests, *(p for x in new for p in (first, x)), np.zeros(WINDOW + 1, np.int32)])
+            at[busy] = place[: len(busy)]
+            starts, lengths, taken = place[len(busy) :], sizes[len(busy) :] - 1, 0
+        n = min(len(idle), len(starts) - taken)
+        begun = idle[:n]
+        at[begun], left[begun] = starts[taken : taken + n], lengths[taken : taken + n]
+        taken += n
+        live = np.flatnonzero(left)
+        if not len(live):
+            return
+        where = span[:, None] + at[live]
+        goals = np.where(span[:, None] < left[live], flat[where + 1], -1)
+        yield live, np.isin(live, begun), flat[where], goals
+        step = np.minimum(left, WINDOW)
+        at += step
+        left -= step
+
+
+def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray], lanes: int = LANES) -> np.ndarray:
     """Natural log probability of every stream, its state carried from window to window until the stream ends."""
     out = np.zeros(len(streams))
-    order = sorted(range(len(streams)), key=lambda i: -len(streams[i]))
-    for at in range(0, len(order), 1024):
-        chosen = np.array(order[at : at + 1024])
-        lengths = np.array([len(streams[i]) for i in chosen])
-        ids, goals = laid([streams[i] for i in chosen])
-        state = np.zeros((len(chosen), HIDDEN), np.float32)
-        for w in range(0, len(ids), WINDOW):
-            live = int((lengths > w).sum())
-            states, _ = forward(model, ids[w : w + WINDOW, :live], state[:live])
-            state = states[-1]
-            want = goals[w : w + WINDOW, :live].reshape(-1)
-            real = np.flatnonzero(want >= 0)
-            logs = log_probs(model, states.reshape(-1, HIDDEN)[real], want[real])
-            out[chosen[:live]] += np.bincount(real % live, weights=logs, minlength=live)
+    order = sorted(range(len(streams)), key=lambda i: -len(streams[i]))  # long ones first, so that they don't go on alone
+    owner, begun = np.zeros(lanes, np.int64), 0
+    state = np.zeros((lanes, HIDDEN), np.float32)
+    for live, fresh, ids, goals in windows((streams[i] for i in order), lanes):
+        new = live[fresh]
+        owner[new] = order[begun : begun + len(new)]
+        begun += len(new)
+        state[new] = 0
+        states, _ = forward(model, ids, state[live])
+        state[live] = states[-1]
+        want = goals.reshape(-1)
+        real = np.flatnonzero(want >= 0)
+        logs = log_probs(model, states.reshape(-1, HIDDEN)[real], want[real])
+        out[owner[live]] += np.bincount(real % len(live), weights=logs, minlength=len(live))
     return out
 
 
@@ -242,10 +272,6 @@ def named(places: np.ndarray, listed: int) -> np.ndarray:
     return ids if listed >= VOCABULARY - 1 else np.where(places == listed, np.int32(VOCABULARY - 1), ids)
 
 
-def pieces(ids: np.ndarray) -> list[np.ndarray]:
-    return [ids[a : a + PIECE] for a in range(0, len(ids), PIECE)]
-
-
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Partial word counts, given up whenever they get large."""
     held: Counter = Counter()
@@ -264,29 +290,34 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _learn(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], number: dict[bytes, int], rate: float) -> Iterator[pa.RecordBatch]:
-    """Go on learning from all documents of a task; gives its weights times the words seen, and those."""
-    learner, seen = Learner({k: v.copy() for k, v in model.items()}, rate), 0
-    streams, size = [], 0
-
-    def learn() -> None:
-        nonlocal streams, size, seen
-        learner.learn(streams)
-        seen += size
-        streams, size = [], 0
-
-    for _, texts in text_rows(batches):
-        for text in texts:
-            ids = named(placed(tokens(text), number), len(number))
-            # long documents go on in further lanes, so that a batch's lanes are of like length
-            streams += pieces(ids)
-            size += len(ids)
-            if size >= 1_000_000:
-                learn()
-    if streams:
-        learn()
+    """Go on learning from all documents of a task; gives its weights times the words seen, and those, as one row."""
+    learner = Learner({k: v.copy() for k, v in model.items()}, rate)
+    _, seen = learner.learn(named(placed(tokens(text), number), len(number)) for _, texts in text_rows(batches) for text in texts)
     if seen:
         flat = np.concatenate([learner.model[k].reshape(-1) for k in _NAMES]).astype(np.float64) * seen
-        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat) + 1), pa.int32()), pa.array(np.append(flat, seen))], ["slot", "value"])
+        yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([seen], pa.int64()), pa.array([flat.tobytes()], pa.binary())], ["task", "seen", "weights"])
+
+
+def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One row for all rows of a task, added in their order."""
+    total, seen, task = None, 0, 0
+    for batch in batches:
+        for t, n, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+            weights = np.frombuffer(raw)
+            total = weights.copy() if total is None else total + weights
+            seen, task = seen + n, t
+    if total is not None:
+        yield pa.RecordBatch.from_arrays([pa.array([task], pa.int64()), pa.array([seen], pa.int64()), pa.array([total.tobytes()], pa.binary())], ["task", "seen", "weights"])
+
+
+def _averaged(learned: DataFrame, groups: int) -> tuple[np.ndarray, int] | None:
+    """Weights of all tasks by the words each has seen: arrays are added in ``groups`` tasks, then in 8, then on the driver."""
+    for n in (groups, min(8, groups)):
+        learned = learned.repartition(n, "task").sortWithinPartitions("task").mapInArrow(_summed, "task long, seen long, weights binary")
+    rows = sorted(learned.collect(), key=lambda r: r["task"])  # 8 rows at most
+    if not rows:
+        return None
+    return sum(np.frombuffer(r["weights"]) for r in rows) / sum(r["seen"] for r in rows), len(rows)
 
 
 def _packed(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
@@ -298,20 +329,20 @@ def _packed(flat: np.ndarray, like: dict[str, np.ndarray]) -> dict[str, np.ndarr
 
 
 def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], places: dict[bytes, int], counts: np.ndarray, total: int, distinct: int, rare: tuple[int, int]) -> Iterator[pa.RecordBatch]:
-    """Scores of whole documents; words without a place leave as hashes, to be joined. ``counts``: by place."""
+    """Scores of whole documents; words without a place leave with their times, to be joined. ``counts``: by place."""
     scale, listed = np.log10(total + 0.5 * (distinct + 1)), len(places)
     # by place, and nothing for words without one
     logs_of = np.append(np.log10(counts + 0.5) - scale, 0.0)
     known = np.append(counts > 0, False)
     # the share of a word among those the network doesn't name
     shift = scale - np.log10(rare[0] + 0.5 * (rare[1] + 1))
-    task, row = TaskContext.get().partitionId(), 0
+    task, row, size = TaskContext.get().partitionId(), 0, 0
     ids, streams, fields = [], [], []
 
     def scored() -> pa.RecordBatch:
         logs = score_streams(model, streams) / np.log(10)
         c = list(zip(*fields, strict=True))
-        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.int64()), pa.list_(pa.int64())]
+        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.list_(pa.binary()), pa.list_(pa.int64())]
         made = pa.RecordBatch.from_arrays(
             [pa.array(ids, pa.int64()), *(pa.array(v, k) for v, k in zip(c, kinds, strict=True)), pa.array(logs)], ["doc_id", "row", "n_tokens", "n_known", "base", "rest", "words", "times", "logs"]
         )
@@ -320,24 +351,28 @@ def _score(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], plac
         return made
 
     for batch, texts in text_rows(batches):
-        ids += batch.column(0).to_pylist()
-        for text in texts:
+        for doc_id, text in zip(batch.column(0).to_pylist(), texts, strict=True):
             words = tokens(text)
             at = placed(words, places)
+            ids.append(doc_id)
             streams.append(named(at, listed))
             parts = logs_of[at]
             other = streams[-1] == VOCABULARY - 1
             hidden = Counter(words[i] for i in np.flatnonzero(at == listed).tolist())
-            hashes = [xxhash.xxh3_64_intdigest(w) - (1 << 63) for w in hidden]
             rest = float(parts[other].sum()) + int(other.sum()) * shift
-            fields.append((task << 36 | row, len(words), int(known[at].sum()), float(parts.sum()), rest, hashes, list(hidden.values())))
-            row += 1
-        if len(ids) >= 8192:  # lanes of like length: the more texts, the fewer steps are taken for a long one alone
-            yield scored()
+            fields.append((task << 36 | row, len(words), int(known[at].sum()), float(parts.sum()), rest, list(hidden), list(hidden.values())))
+            row, size = row + 1, size + len(words)
+            if len(ids) >= ROWS or size >= 2 * ROOM:  # the more texts, the fewer steps are taken for a long one alone
+                yield scored()
+                size = 0
     if ids:
         yield scored()
 
 
+def pieces(ids: np.ndarray) -> list[np.ndarray]:
+    return [ids[a : a + PIECE] for a in range(0, len(ids), PIECE)]
+
+
 def _pieces(batches: Iterator[pa.RecordBatch], number: dict[bytes, int]) -> Iterator[pa.RecordBatch]:
     """All pieces of whole texts."""
     for batch, texts in text_rows(batches, 32):
@@ -368,11 +403,12 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
 
     Columns: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score. Documents whose crc32(doc_id) mod 5
     is 1 are held out; all others are learned from: word counts are summed over all of them; the network starts from
-    ``start_pieces`` pieces, drawn by hash from ``start_docs`` of them, fitted on the driver, then every task goes on over all training documents it reads, and
-    the weights are averaged by words seen. A word the network doesn't name has the probability of the last member
-    times the word's share among such words (smoothed as the base), so scores are those of whole texts. Null and
-    empty texts are an end alone; repeated rows are scored each; extra columns are ignored; an empty table gives no
-    rows, a training part without rows leaves the network as it was drawn.
+    ``start_pieces`` pieces, drawn by hash from ``start_docs`` of them, fitted on the driver, then every task goes on over
+    all training documents it reads, each from its first word to its last with its state carried, and the weights are
+    averaged by words seen. So the weights (not the counts) depend on how the files are dealt to tasks. A word the
+    network doesn't name has the probability of the last member times the word's share among such words (smoothed as
+    the base), so scores are those of whole texts. Null and empty texts are an end alone; repeated rows are scored each;
+    extra columns are ignored; an empty table gives no rows, a training part without rows leaves the network as it was drawn.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "lm")
@@ -387,42 +423,27 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
     number = dict(list(places.items())[: VOCABULARY - 1])
     in_network = held[: len(number)]
     rare = (total - int(in_network.sum()), distinct - int((in_network > 0).sum()))
-    first = training.filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(start_docs)
-    cut = first.mapInArrow(partial(_pieces, number=number), "doc_id long, nth long, ids array<int>")
-    rows = cut.orderBy(F.xxhash64("doc_id", "nth"), "doc_id", "nth").limit(start_pieces).collect()  # PIECE numbers each at most
-    learner = Learner(fresh(), 0.01)
-    if rows:
-        base = np.append(in_network, max(0, rare[0])) + 0.5
-        base = np.concatenate([base[:-1], np.full(VOCABULARY - len(base), 1e-3), base[-1:]]).reshape(CLASSES, MEMBERS)
-        learner.model["class_b"][:] = np.log(base.sum(axis=1) / base.sum())
-        learner.model["word_b"][:] = np.log(base / base.sum(axis=1, keepdims=True))
-        streams = [np.array(r["ids"], np.int32) for r in sorted(rows, key=lambda r: (r["doc_id"], r["nth"]))]
-        for _ in range(4):
-            for at in range(0, len(streams), 64):
-                learner.learn(streams[at : at + 64])
-    model = learner.model
-    learned = training.select("text").mapInArrow(partial(_learn, model=model, number=number, rate=0.004), "slot int, value double")
-    mean = {r[0]: r[1] for r in learned.groupBy("slot").agg(F.sum("value")).collect()}  # as many rows as weights
+    model = _started(training, number, in_network, rare[0], start_docs, start_pieces)
+    learned = training.select("text").mapInArrow(partial(_learn, model=model, number=number, rate=0.004), "task long, seen long, weights binary")
+    mean = _averaged(learned, max(1, int(spark.conf.get("spark.sql.shuffle.partitions"))))
     if mean:
-        size = len(mean) - 1
-        model = _packed(np.array([mean[i] for i in range(size)]) / mean[size], model)
+        model = _packed(mean[0], model)
     run = partial(_score, model=model, places=places, counts=held, total=total, distinct=distinct, rare=rare)
-    scored = scratch.save(docs.mapInArrow(run, "doc_id long, row long, n_tokens long, n_known long, base double, rest double, words array<long>, times array<long>, logs double"), "scored")
-    apart = scored.select("row", F.explode(F.arrays_zip("words", "times")).alias("x")).select("row", F.col("x.words").alias("hash"), F.col("x.times").alias("k"))
-    # the same hash for counted words, made where they are; frequent ones are known already
+    scored = scratch.save(docs.mapInArrow(run, "doc_id long, row long, n_tokens long, n_known long, base double, rest double, words array<binary>, times array<long>, logs double"), "scored")
+    apart = scored.select("row", F.explode(F.arrays_zip("words", "times")).alias("x")).select("row", F.col("x.words").alias("word"), F.col("x.times").alias("k"))
+    # counted words that the workers don't hold
     lasting = counts.filter(F.octet_length("word") > 0)
     if len(top) >= held_words:
         least = top[-1]
         lasting = lasting.filter((F.col("n") < least["n"]) | ((F.col("n") == least["n"]) & (F.col("word") > F.lit(bytes(least["word"])))))
     else:
         lasting = lasting.limit(0)
-    hashed = lasting.mapInArrow(_hash, "hash long, n long").groupBy("hash").agg(F.sum("n").alias("n"))
     scale = float(np.log10(total + 0.5 * (distinct + 1)))
     value = F.col("k") * (F.log10(F.coalesce("n", F.lit(0)) + 0.5) - scale)
-    joined = apart.join(hashed, "hash", "left").groupBy("row").agg(F.sum(value).alias("more"), F.sum(F.when(F.col("n") > 0, F.col("k")).otherwise(0)).alias("more_known"))
+    joined = apart.join(lasting, "word", "left").groupBy("row").agg(F.sum(value).alias("more"), F.sum(F.when(F.col("n") > 0, F.col("k")).otherwise(0)).alias("more_known"))
     out = scored.join(joined, "row", "left")
     more = F.coalesce("more", F.lit(0.0))
-    return out.select(
+    result = out.select(
         "doc_id",
         (fold(F.col("doc_id")) == 1).alias("held_out"),
         "n_tokens",
@@ -431,12 +452,23 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
         (F.col("base") + more).alias("base_score"),
         (F.col("logs") + F.col("rest") + more).alias("score"),
     )
+    return scratch.last(result, "counts", "scored")
 
 
-def _hash(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        hashes = [xxhash.xxh3_64_intdigest(w) - (1 << 63) for w in batch.column(0).to_pylist()]
-        yield pa.RecordBatch.from_arrays([pa.array(hashes, pa.int64()), batch.column(1)], ["hash", "n"])
+def _started(training: DataFrame, number: dict[bytes, int], in_network: np.ndarray, others: int, start_docs: int, start_pieces: int) -> dict[str, np.ndarray]:
+    """The network after the first fit: output biases from counts, all else from a bounded sample of pieces."""
+    first = training.filter("doc_id is not null").orderBy(F.xxhash64("doc_id"), "doc_id").limit(start_docs)
+    cut = first.mapInArrow(partial(_pieces, number=number), "doc_id long, nth long, ids array<int>")
+    rows = cut.orderBy(F.xxhash64("doc_id", "nth"), "doc_id", "nth").limit(start_pieces).collect()  # PIECE numbers each at most
+    learner = Learner(fresh(), 0.01)
+    if rows:
+        base = np.append(in_network, max(0, others)) + 0.5
+        base = np.concatenate([base[:-1], np.full(VOCABULARY - len(base), 1e-3), base[-1:]]).reshape(CLASSES, MEMBERS)
+        learner.model["class_b"][:] = np.log(base.sum(axis=1) / base.sum())
+        learner.model["word_b"][:] = np.log(base / base.sum(axis=1, keepdims=True))
+        streams = [np.array(r["ids"], np.int32) for r in sorted(rows, key=lambda r: (r["doc_id"], r["nth"]))]
+        learner.learn(streams * 4, 64)
+    return learner.model
 
 
 def op4_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
