@@ -10,6 +10,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.dataset as pads
 import pyarrow.fs as pafs
+import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -168,8 +169,8 @@ def rows_of(saved: DataFrame, row: str, lists: str) -> DataFrame:
     return saved.select(*columns, row).mapInArrow(run, saved.select(*columns).schema)
 
 
-def looked_up(rows: DataFrame, found: DataFrame, key: str, weight: str) -> DataFrame:
-    """Inner join with ``found``, whose ``weight`` says how many of the rows hold each ``key`` (or at least bounds their order).
+def looked_up(rows: DataFrame, found: DataFrame, key: str | list[str], weight: str) -> DataFrame:
+    """Inner join with ``found``, whose ``weight`` says how many of the rows hold each ``key``.
 
     Keys of over 1 in HOT_SHARE rows are at most HOT_SHARE many: they are broadcast and their rows stay where they are.
     All other keys meet in a shuffle, where none is hot.
@@ -178,7 +179,8 @@ def looked_up(rows: DataFrame, found: DataFrame, key: str, weight: str) -> DataF
     bar = max(1000, total // HOT_SHARE)
     hot, cold = found.filter(F.col(weight) > bar), found.filter(F.col(weight) <= bar)
     near = rows.join(F.broadcast(hot), key)
-    return near.unionByName(rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(cold, key))
+    names = [key] if isinstance(key, str) else key
+    return near.unionByName(rows.join(F.broadcast(hot.select(*names)), key, "left_anti").join(cold, key))
 
 
 #: See ``looked_up``.
@@ -208,6 +210,45 @@ def text_rows(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[tu
             yield batch, [x or "" for x in texts]
 
 
+#: Pre-tokens of more characters are worked out anew each time: a cache of so many entries then has a bound in bytes.
+CACHED_CHARS = 64
+#: Class of a pattern, and a character that `regex` and the libraries put into it (the last one: into none).
+_STAND_INS = {r"\p{L}": "\u00aa", r"\p{N}": "\u00b2", r"\s": "\u3000", "": "\u00a7"}
+
+
+def odd_characters(matched: Callable[[str, str], set[str]]) -> dict[int, str]:
+    """Characters that a library's tables put into another class than `regex` does, with a stand-in of the library's class.
+
+    ``matched(pattern, text)``: characters of the text that the library matches with a pattern of one character.
+    """
+    every = "".join(map(chr, (*range(0xD800), *range(0xE000, 0x110000))))
+    ours, theirs = {}, {}
+    for pattern in [p for p in _STAND_INS if p]:
+        ours |= dict.fromkeys(regex.findall(pattern, every), pattern)
+        theirs |= dict.fromkeys(matched(pattern, every), pattern)
+    return {ord(c): _STAND_INS[theirs.get(c, "")] for c in ours.keys() | theirs.keys() if ours.get(c) != theirs.get(c)}
+
+
+class Splitter:
+    """Matches of a pattern of letter, number and space classes in a text, as the library with these odd characters finds them."""
+
+    def __init__(self, pattern: str, odd: dict[int, str]) -> None:
+        compiled = regex.compile(pattern)
+        self.find, self.spans, self.odd = compiled.findall, compiled.finditer, odd
+        self.set, self.latin = frozenset(map(chr, odd)), min(odd, default=0x110000) > 0xFF
+
+    def __call__(self, text: str) -> list[str]:
+        if self.latin:
+            try:
+                text.encode("latin-1")
+                return self.find(text)
+            except UnicodeEncodeError:
+                pass
+        if self.set.isdisjoint(text):
+            return self.find(text)
+        return [text[m.start() : m.end()] for m in self.spans(text.translate(self.odd))]
+
+
 def _byte_letters() -> dict[int, str]:
     """Byte-level vocabularies write printable Latin-1 bytes as themselves, the others as letters from 256 on."""
     plain = {*range(33, 127), *range(161, 173), *range(174, 256)}

@@ -14,7 +14,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, commit_file, opened, table
+from .common import Scratch, commit_file, looked_up, opened, table
 
 #: Compressed bytes after which a file is closed; payload bytes from which equal payloads become revisits.
 ROLL_BYTES, REVISIT_BYTES = 64 << 20, 1000
@@ -145,12 +145,16 @@ def _read(batches: Iterator[pa.RecordBatch], base: str) -> Iterator[pa.RecordBat
 
 
 def revisits(pages: DataFrame, least: int = REVISIT_BYTES) -> DataFrame:
-    """Decisions (page_id, digest, refers_to): pages whose payload an equal one with a larger page_id carries."""
+    """Decisions (page_id, digest, refers_to): pages whose payload an equal one with a larger page_id carries.
+
+    Payloads are equal when their SHA-1, their SHA-256 and their lengths are; bytes are not compared.
+    """
     payload = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     slim = pages.filter("page_id is not null").select("page_id", F.sha1(payload).alias("digest"), F.sha2(payload, 256).alias("strong"), F.octet_length(payload).alias("size"))
     slim = slim.filter(F.col("size") >= least)
-    top = slim.groupBy("digest", "strong").agg(F.max("page_id").alias("refers_to"), F.min("page_id").alias("low")).filter("low < refers_to")
-    return slim.join(top, ["digest", "strong"]).filter("page_id < refers_to").select("page_id", "digest", "refers_to").distinct()
+    key = ["digest", "strong", "size"]
+    top = slim.groupBy(*key).agg(F.max("page_id").alias("refers_to"), F.min("page_id").alias("low"), F.count(F.lit(1)).alias("pages")).filter("low < refers_to")
+    return looked_up(slim, top, key, "pages").filter("page_id < refers_to").select("page_id", "digest", "refers_to").distinct()
 
 
 def shard_of(pages: DataFrame, shards: int) -> tuple[int, int, np.ndarray]:
@@ -191,7 +195,8 @@ def write_archives(pages: DataFrame, uri: str, shards: int | None = None, roll:
     digest = F.sha1(F.coalesce(F.col("html"), F.lit("")).cast("binary"))
     rows = pages.select(shard.alias("shard"), "page_id", F.lit(1).alias("kind"), digest.alias("digest"), F.lit(None).cast("long").alias("refers_to"), "url", "html")
     decisions = revisits(pages).select(shard.alias("shard"), "page_id", F.lit(0).alias("kind"), "digest", "refers_to", F.lit(None).cast("string").alias("url"), F.lit(None).cast("string").alias("html"))
-    dealt = rows.unionByName(decisions).repartition(max(shards, int(cuts.max()) + 1), "shard").sortWithinPartitions("shard", F.col("page_id").asc_nulls_first(), "kind", "digest", F.col("url").asc_nulls_first())
+    # a shard a task, by its number: hashes of the numbers would leave some tasks empty and give others several shards
+    dealt = rows.unionByName(decisions).repartitionById(max(shards, int(cuts.max()) + 1), F.col("shard").cast("int")).sortWithinPartitions("shard", F.col("page_id").asc_nulls_first(), "kind", "digest", F.col("url").asc_nulls_first())
     made = dealt.mapInArrow(partial(_write, base=uri, roll=roll), "shard long, number long, file string, n_records long, n_bytes long")
     schema = made.schema
     made.write.mode("overwrite").parquet(f"{uri}/manifest")
@@ -203,16 +208,17 @@ def read_archives(spark: SparkSession, uri: str) -> DataFrame:
 
     Digests of blocks and payloads are computed again and compared.
     """
-    files = spark.read.schema("shard long, number long, file string, n_records long, n_bytes long").parquet(f"{uri}/manifest").select("file")
-    spread = files.repartition(max(1, int(spark.conf.get("spark.sql.shuffle.partitions"))), "file")
+    files = spark.read.schema("shard long, number long, file string, n_records long, n_bytes long").parquet(f"{uri}/manifest")
+    tasks = max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
+    spread = files.repartitionById(tasks, F.pmod(F.col("shard") + F.col("number"), F.lit(tasks)).cast("int")).select("file")
     return spread.mapInArrow(partial(_read, base=uri), "page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long")
 
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All pages written to archives and read back."""
-    uri = Scratch(spark, "archives").path("warc")
-    write_archives(table(spark, sf_dir, "pages", "page_id", "url", "html"), uri)
-    return read_archives(spark, uri)
+    scratch = Scratch(spark, "archives")
+    write_archives(table(spark, sf_dir, "pages", "page_id", "url", "html"), scratch.path("warc"))
+    return scratch.last(read_archives(spark, scratch.path("warc")), "warc")
 
 
 OP8_SQL = """
