@@ -11,46 +11,59 @@ import numpy as np
 import pandas as pd
 import public_tokenizers
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, byte_level, table, text_rows
+from .common import CACHED_CHARS, Scratch, Splitter, byte_level, odd_characters, table, text_rows
 
 #: Rest pieces a group holds on average; small enough for one task, large enough for tight bins.
 GROUP_PIECES = 2048
 
 
 class Pieces(dict):
-    """Pre-token to the bytes of its ids by the tokenizers library; forgotten when full.
+    """Short pre-token to the bytes of its ids by the tokenizers library; forgotten when full.
 
     The library splits by the same pattern and merges inside each match only, so a text's ids are those of its matches;
     these go to the library's model directly, in its byte letters.
     """
 
-    def __init__(self, path: str, room: int = 500_000) -> None:
+    def __init__(self, path: str, odd: dict[int, str], room: int = 500_000) -> None:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
         self.library.encode_special_tokens = True
         self.model = self.library.model
-        self.split = regex.compile(public_tokenizers.PATTERN).findall
+        self.split = Splitter(public_tokenizers.PATTERN, odd)
         self.room = room
 
     def __missing__(self, piece: str) -> bytes:
         packed = array("I", [t.id for t in self.model.tokenize(byte_level(piece))]).tobytes()
-        if len(self) >= self.room:
-            self.clear()
-        self[piece] = packed
+        if len(piece) <= CACHED_CHARS:
+            if len(self) >= self.room:
+                self.clear()
+            self[piece] = packed
         return packed
 
     def encode(self, text: str) -> bytes:
         return b"".join(map(self.__getitem__, self.split(text)))
 
 
-@lru_cache(maxsize=2)
-def pieces_of(path: str) -> Pieces:
-    return Pieces(path)
+@lru_cache(maxsize=1)
+def odd_of_library() -> dict[int, str]:
+    """Characters that the tokenizers library's pattern engine sees otherwise than ours; two seconds, on the driver."""
+    from tokenizers import Regex, pre_tokenizers
+
+    return odd_characters(lambda pattern, text: {x for x, _ in pre_tokenizers.Split(Regex(pattern), "removed", invert=True).pre_tokenize_str(text)})
+
+
+_CODERS: dict[str, Pieces] = {}
+
+
+def pieces_of(path: str, odd: dict[int, str] | None = None) -> Pieces:
+    """One coder a process and vocabulary."""
+    if path not in _CODERS:
+        _CODERS[path] = Pieces(path, odd_of_library() if odd is None else odd)
+    return _CODERS[path]
 
 
 class Bins:
@@ -86,9 +99,9 @@ def first_fit_decreasing(sizes: list[int], capacity: int) -> list[tuple[int, int
     return out
 
 
-def _cut(batches: Iterator[pa.RecordBatch], path: str, end_id: int, limit: int) -> Iterator[pa.RecordBatch]:
+def _cut(batches: Iterator[pa.RecordBatch], path: str, odd: dict[int, str], end_id: int, limit: int) -> Iterator[pa.RecordBatch]:
     """Pieces of every document: full ones of ``limit`` ids, then the rest."""
-    coder, end = pieces_of(path), np.array([end_id], dtype="<u4").tobytes()
+    coder, end = pieces_of(path, odd), np.array([end_id], dtype="<u4").tobytes()
     names = ["doc_id", "start", "length", "ids_crc32", "doc_tokens"]
     for batch, texts in text_rows(batches):
         rows = []
@@ -120,7 +133,7 @@ def pack(docs: DataFrame, limit: int = 1024, end_id: int = 0, path: str | None =
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "packing")
-    run = partial(_cut, path=path or public_tokenizers.path("byte_bpe_50k.json"), end_id=end_id, limit=limit)
+    run = partial(_cut, path=path or public_tokenizers.path("byte_bpe_50k.json"), odd=odd_of_library(), end_id=end_id, limit=limit)
     pieces = scratch.save(docs.select("doc_id", "text").mapInArrow(run, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"), "pieces")
     rests = pieces.filter(F.col("length") < limit)
     groups = -(-rests.count() // group_pieces) or 1
@@ -131,7 +144,7 @@ def pack(docs: DataFrame, limit: int = 1024, end_id: int = 0, path: str | None =
 
     packed = dealt.groupBy("pack").applyInPandas(lay, "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long")
     full = pieces.filter(F.col("length") == limit).withColumns({"sequence_id": -1 - F.monotonically_increasing_id(), "offset": F.lit(0).cast("long")})
-    return packed.unionByName(full)
+    return scratch.last(packed.unionByName(full), "pieces")
 
 
 def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

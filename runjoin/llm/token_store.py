@@ -16,7 +16,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, byte_level, commit_file, opened, table, text_rows
+from .common import CACHED_CHARS, Scratch, byte_level, commit_file, opened, table, text_rows
 
 MAGIC = b"VBYTEID1"
 #: Ids of a block after which a new one starts; a block holds whole documents.
@@ -48,7 +48,7 @@ def unpack_ids(control: bytes, data: bytes, n: int) -> np.ndarray:
 
 
 class WordPieces(dict):
-    """White-space-free chunk to the bytes of its ids by the tokenizers library; forgotten when full.
+    """Short chunk without white space to the bytes of its ids by the tokenizers library; forgotten when full.
 
     The word tokenizer drops white space and merges inside words only, and its normaliser works letter by letter, so
     a text's ids are those of its chunks one after another.
@@ -77,9 +77,10 @@ class WordPieces(dict):
             packed = array(self.kind, [t.id for t in self.model.tokenize(byte_level(chunk.lower()))]).tobytes()
         else:
             packed = array(self.kind, self.library.encode(chunk, add_special_tokens=False).ids).tobytes()
-        if len(self) >= self.room:
-            self.clear()
-        self[chunk] = packed
+        if len(chunk) <= CACHED_CHARS:
+            if len(self) >= self.room:
+                self.clear()
+            self[chunk] = packed
         return packed
 
     def encode(self, text: str) -> bytes:
@@ -222,6 +223,6 @@ def read_ids(spark: SparkSession, uri: str) -> DataFrame:
 
 def op5_token_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All documents written to token files and read back."""
-    uri = Scratch(spark, "token-files").path("ids")
-    write_ids(table(spark, sf_dir, "documents", "doc_id", "text"), uri)
-    return read_ids(spark, uri)
+    scratch = Scratch(spark, "token-files")
+    write_ids(table(spark, sf_dir, "documents", "doc_id", "text"), scratch.path("ids"))
+    return scratch.last(read_ids(spark, scratch.path("ids")), "ids")
