@@ -242,6 +242,95 @@ def test_license_scan(spark, docs):
     assert one["labels"] == "apache" and one["n_base"] == 1
 
 
+def brute_licences(text):
+    """Labels and score by looking at every diagonal of every template."""
+    words = [w for w in re.split(license_scan.GAPS, (text or "").encode().lower().decode()) if w]
+    pairs, labels, score = {}, set(), 0.0
+    for i, p in enumerate(zip(words, words[1:])):
+        pairs.setdefault(p, []).append(i)
+    for phrase, label in [*license_scan.BASE.items(), *license_scan.ADDED.items()]:
+        p = phrase.split()
+        grams = list(zip(p, p[1:]))
+        votes = [(k, i) for k, g in enumerate(grams) for i in pairs.get(g, [])]
+        for d in {i - k for k, i in votes}:
+            reach = 0 if len(grams) < license_scan.LOOSE else license_scan.DRIFT
+            pool = sorted((k, i) for k, i in votes if abs(i - k - d) <= reach)
+            share = len({k for k, _ in pool}) / len(grams)
+            if reach and share >= license_scan.ENOUGH:
+                longest = [1] * len(pool)
+                for x, (k, i) in enumerate(pool):
+                    longest[x] = 1 + max((longest[y] for y in range(x) if pool[y][0] < k and pool[y][1] < i), default=0)
+                share = max(longest) / len(grams)
+            score = max(score, share)
+            if share >= (license_scan.ENOUGH if reach else 1):
+                labels.add(label)
+    return ",".join(sorted(labels)), score
+
+
+def test_licence_spans_are_verified(spark):
+    phrase = next(p for p in license_scan.ADDED if p.startswith("redistribution"))
+    w = phrase.split()
+    rng = np.random.default_rng(5)
+    texts = [phrase, " ".join([*w[:5], "surely", *w[5:]]), " ".join(w[:9] + w[11:]), " ".join(w[10:] + w[:10]), " ".join(["x"] * 30 + w + ["y"] * 9 + w), " ".join(w[::-1]), "and use in " * 40, None, ""]
+    texts += [" ".join(x for k in range(len(w)) for x in ([w[k]] if rng.random() < 0.9 else [w[k], "extra"] if rng.random() < 0.5 else [])) for _ in range(25)]
+    texts += [" ".join(rng.choice(w, 60)) for _ in range(10)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in license_scan.scan(df).collect()}
+    for i, t in enumerate(texts):
+        labels, score = brute_licences(t)
+        assert got[i]["labels"] == labels and np.isclose(got[i]["score"], score)
+    found = sorted((r["start"], r["stop"]) for r in license_scan.spans(df).filter("doc_id = 4 and label = 'bsd'").collect())
+    n = len(w)
+    assert found == [(30, 30 + n), (39 + n, 39 + 2 * n)]
+    # votes on neighbouring diagonals in the wrong order are no chain
+    assert license_scan.in_order({0: 0b10, 2: 0b01}, 2)[0] == 1 and license_scan.in_order({0: 0b11}, 2) == (2, 0, 3)
+
+
+def odd_texts():
+    rng = np.random.default_rng(8)
+    stable = "ab Z9 \u00e9\u00df\u65e5\u672c\u3000\n\t's'll!?\u0416\u0661\U0001f600"
+    odd = [chr(c) for c in sorted(packing.odd_of_library())]
+    return ["\U00018e76\u6d8e"] + ["".join(rng.choice(list(stable) + list(rng.choice(odd, 6)), rng.integers(1, 40))) for _ in range(1500)]
+
+
+def test_splits_are_the_libraries():
+    import tiktoken
+    from tokenizers import Tokenizer
+
+    c = bpe.coder(bpe.default_ranks(), public_tokenizers.PATTERN)
+    own = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=c.ranks, special_tokens={})
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    library, pieces = Tokenizer.from_file(path), packing.pieces_of(path)
+    library.encode_special_tokens = True
+    for text in odd_texts():
+        assert np.frombuffer(c.encode(text), "<u4").tolist() == own.encode_ordinary(text)
+        assert np.frombuffer(pieces.encode(text), "<u4").tolist() == library.encode(text, add_special_tokens=False).ids
+    c.encode("q" * 70)
+    assert max(map(len, c)) <= 64
+
+
+def test_packing_is_the_library(spark, docs):
+    """Every piece holds the library's ids, sequences are gapless and short of the limit only by less than a piece."""
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    library.encode_special_tokens = True
+    table = spark.createDataFrame([(n, r["text"]) for n, r in enumerate(docs.collect())] + [(100 + n, t) for n, t in enumerate(odd_texts()[:40])], "doc_id long, text string")
+    limit, cut, sequences = 64, {}, {}
+    for p in packing.pack(table, limit=limit).collect():
+        cut.setdefault(p["doc_id"], []).append(p)
+        sequences.setdefault(p["sequence_id"], []).append((p["offset"], p["length"]))
+    for r in table.collect():
+        ids = np.array([*library.encode(r["text"] or "", add_special_tokens=False).ids, 0], "<u4")
+        at = 0
+        for p in sorted(cut[r["doc_id"]], key=lambda p: p["start"]):
+            assert (p["start"], p["doc_tokens"]) == (at, len(ids)) and p["ids_crc32"] == zlib.crc32(ids[at : at + p["length"]].tobytes())
+            at += p["length"]
+        assert at == len(ids)
+    filled = [sum(n for _, n in s) for s in sequences.values()]
+    assert max(filled) <= limit and sum(x < limit // 2 for x in filled) <= 1
+
+
 def test_quality_rules(spark, docs):
     got = quality_rules.judge(docs, docs.filter("doc_id = 3")).collect()
     assert len(got) == docs.count()
@@ -348,13 +437,79 @@ def test_language_model(spark, docs):
     assert recurrent_lm.lm_scores(docs.limit(0)).count() == 0
 
 
-def test_state_is_carried_over_windows():
-    model = recurrent_lm.fresh()
-    s = np.random.default_rng(0).integers(0, 1024, 50).astype(np.int32)
-    ids, goals = recurrent_lm.laid([s])
-    states, _ = recurrent_lm.forward(model, ids, np.zeros((1, recurrent_lm.HIDDEN), np.float32))
-    whole = recurrent_lm.log_probs(model, states.reshape(-1, recurrent_lm.HIDDEN), goals.reshape(-1)).sum()
-    assert np.isclose(recurrent_lm.score_streams(model, [s, s[:3]])[0], whole, rtol=1e-4)
+def slow_score(model, words):
+    """Log probability of a stream, a step at a time in plain 64-bit arithmetic."""
+    m = {k: v.astype(np.float64) for k, v in model.items()}
+    h, size, state, total, last = recurrent_lm.HIDDEN, recurrent_lm.MEMBERS, np.zeros(recurrent_lm.HIDDEN), 0.0, 0
+    for w in words.tolist():
+        x, again = m["embed"][last] + m["bias"], state @ m["update"]
+        z, r = (1 / (1 + np.exp(-(x[i * h : (i + 1) * h] + again[i * h : (i + 1) * h]))) for i in (0, 1))
+        state = (1 - z) * np.tanh(x[2 * h :] + r * again[2 * h :]) + z * state
+        kinds = np.exp(state @ m["class_w"] + m["class_b"])
+        inside = np.exp(state @ m["word_w"][w // size] + m["word_b"][w // size])
+        total += np.log(kinds[w // size] / kinds.sum() * inside[w % size] / inside.sum())
+        last = w
+    return total
+
+
+def grown_model(seed=2):
+    rng = np.random.default_rng(seed)
+    return {k: (v + rng.normal(0, 0.3, v.shape)).astype(np.float32) for k, v in recurrent_lm.fresh().items()}
+
+
+def test_scores_by_a_slow_reference():
+    rng, model = np.random.default_rng(0), grown_model()
+    streams = [rng.integers(0, 1024, n).astype(np.int32) for n in (1, 15, 16, 17, 50, 333, 2, 64)]
+    got = recurrent_lm.score_streams(model, streams, lanes=3)
+    assert np.allclose(got, [slow_score(model, s) for s in streams], rtol=1e-4)
+
+
+def test_windows_carry_every_stream():
+    rng = np.random.default_rng(1)
+    streams = [rng.integers(0, 1024, n).astype(np.int32) for n in rng.integers(1, 120, 40)]
+    heard, read, owner, begun = {}, {}, {}, 0
+    for live, fresh, ids, goals in recurrent_lm.windows(iter(streams), 5, 100):
+        assert ids.shape == goals.shape and len(ids) == recurrent_lm.WINDOW
+        for column, (lane, new) in enumerate(zip(live.tolist(), fresh.tolist())):
+            if new:
+                owner[lane], begun = begun, begun + 1
+            real = goals[:, column] >= 0
+            heard.setdefault(owner[lane], []).extend(goals[real, column].tolist())
+            read.setdefault(owner[lane], []).extend(ids[real, column].tolist())
+    assert [heard[i] for i in range(40)] == [s.tolist() for s in streams]
+    assert [read[i] for i in range(40)] == [[0, *s[:-1].tolist()] for s in streams]
+
+
+def test_gradients_by_differences():
+    rng, model = np.random.default_rng(3), {k: v.astype(np.float64) for k, v in grown_model().items()}
+    ids, goals = rng.integers(0, 1024, (5, 3)).astype(np.int32), rng.integers(0, 1024, (5, 3)).astype(np.int32)
+    goals[3:, 1] = -1
+    state = rng.normal(0, 0.5, (3, recurrent_lm.HIDDEN)).astype(np.float32)
+    real = goals >= 0
+
+    def loss(m):
+        out, _ = recurrent_lm.forward({k: v.astype(np.float32) for k, v in m.items()}, ids, state)
+        return -float(recurrent_lm.log_probs(m, out[real].astype(np.float64), goals[real]).sum()) / real.sum()
+
+    grads, _, total = recurrent_lm.gradients({k: v.astype(np.float32) for k, v in model.items()}, ids, goals, state)
+    assert np.isclose(total / real.sum(), loss(model), rtol=1e-4)
+    for name, g in grads.items():
+        for at in np.argsort(-np.abs(g).reshape(-1))[:4]:
+            step = 1e-2
+            up, down = ({k: v.copy() for k, v in model.items()} for _ in (0, 1))
+            up[name].reshape(-1)[at] += step
+            down[name].reshape(-1)[at] -= step
+            assert np.isclose((loss(up) - loss(down)) / (2 * step), g.reshape(-1)[at], rtol=0.05, atol=2e-4), name
+
+
+def test_a_long_text_takes_little_memory():
+    import tracemalloc
+
+    model, long_text = recurrent_lm.fresh(), np.random.default_rng(0).integers(0, 1024, 300_000).astype(np.int32)
+    tracemalloc.start()
+    recurrent_lm.score_streams(model, [long_text, *[long_text[:9]] * 600])
+    assert tracemalloc.get_traced_memory()[1] < 60e6
+    tracemalloc.stop()
 
 
 def test_pipeline(spark):
