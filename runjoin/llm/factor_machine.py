@@ -13,12 +13,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fold, table, text_rows
+from .common import Scratch, fold, table, text_rows
 
 #: Word buckets; statistics follow with BINS buckets each.
 WORDS, BINS, STATS = 1 << 16, 16, 10
-#: Labelled rows that a model is fitted on at most: a bound of the driver's memory, not of the rows scored.
-FIT_ROWS = 8000
+#: Labelled rows that a model is fitted on at most, and features of all of them together: bounds of the driver's memory
+#: (16 bytes a feature at most), not of the rows scored.
+FIT_ROWS, FIT_FEATURES = 8000, 1 << 25
 _CLASSES = np.zeros(256, dtype=np.int64)
 _CLASSES[list(range(65, 91))] = 1
 _CLASSES[list(range(97, 123))] = 2
@@ -108,40 +109,51 @@ def fit(rows: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, factors:
 def _featurise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch, texts in text_rows(batches):
         made = [features(x, n) for x, n in zip(texts, batch.column(2).to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column(3), pa.array([m[0].tobytes() for m in made], pa.binary()), pa.array([m[1].tobytes() for m in made], pa.binary())], ["label", "index", "value"])
+        sizes = pa.array([len(m[0]) for m in made], pa.int64())
+        parts = [pa.array([m[k].tobytes() for m in made], pa.binary()) for k in (0, 1)]
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(3), sizes, *parts], ["doc_id", "label", "size", "index", "value"])
+
+
+def _scores(model: FactorMachine, texts: list[str], n_chars: list[int | None]) -> np.ndarray:
+    """Scores of texts, some hundred at a time."""
+    out = [np.zeros(0)]
+    for at in range(0, len(texts), 256):
+        made = [features(x, n) for x, n in zip(texts[at : at + 256], n_chars[at : at + 256], strict=True)]
+        starts = np.concatenate([[0], np.cumsum([len(m[0]) for m in made])[:-1]]).astype(np.int64)
+        out.append(model.score(np.concatenate([m[0] for m in made]), np.concatenate([m[1] for m in made]), starts))
+    return np.concatenate(out)
 
 
 def _score(batches: Iterator[pa.RecordBatch], model: FactorMachine) -> Iterator[pa.RecordBatch]:
     for batch, texts in text_rows(batches):
-        scores = np.zeros(0)
-        if texts:
-            made = [features(x, n) for x, n in zip(texts, batch.column(2).to_pylist(), strict=True)]
-            lengths = [len(m[0]) for m in made]
-            starts = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-            cuts = list(range(0, len(made), 256))
-            scores = np.concatenate([
-                model.score(np.concatenate([m[0] for m in made[a : a + 256]]), np.concatenate([m[1] for m in made[a : a + 256]]), starts[a : a + 256] - starts[a])
-                for a in cuts
-            ])
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64())], ["doc_id", "score"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(_scores(model, texts, batch.column(2).to_pylist()), pa.float64())], ["doc_id", "score"])
 
 
-def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS) -> FactorMachine:
+def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, fit_features: int = FIT_FEATURES) -> FactorMachine:
     """Fit on labelled rows outside the held-out fold: at most ``fit_rows``, the first by a hash of the id.
 
-    A doc_id with several labels takes the largest; null labels and null ids are left out. Only features of the
-    chosen rows reach the driver.
+    A doc_id with several labels takes the largest; of several rows with one doc_id the one with the least features
+    (then their bytes) counts; null labels and null ids are left out. Only features of the chosen rows reach the driver:
+    as many rows, in the order of the hash, as have ``fit_features`` features together.
     """
+    scratch = Scratch(docs.sparkSession, "fit")
+    order = F.xxhash64("doc_id")
     chosen = (
         labels.filter(F.col("quality").isNotNull() & F.col("doc_id").isNotNull() & (fold(F.col("doc_id")) != 0))
         .groupBy("doc_id").agg(F.max("quality").alias("label"))
-        .orderBy(F.xxhash64("doc_id"), "doc_id").limit(fit_rows)
+        .orderBy(order, "doc_id").limit(fit_rows)
     )
-    rows = docs.select("doc_id", "text", "n_chars").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "n_chars", "label")
-    made = rows.mapInArrow(_featurise, "label int, index binary, value binary").collect()
-    made.sort(key=lambda r: (bytes(r["index"]), r["label"]))
-    pairs = [(np.frombuffer(r["index"], np.int32), np.frombuffer(r["value"], np.float32)) for r in made]
-    return fit(pairs, np.array([min(1, max(0, r["label"])) for r in made], dtype=np.float32))
+    rows = docs.select("doc_id", "text", "n_chars").join(F.broadcast(chosen), "doc_id").select(F.col("doc_id").cast("long").alias("doc_id"), "text", "n_chars", F.col("label").cast("int").alias("label"))
+    made = scratch.save(rows.mapInArrow(_featurise, "doc_id long, label int, size long, index binary, value binary"), "features")
+    sizes = made.groupBy("doc_id").agg(F.min("size").alias("size")).orderBy(order, "doc_id").collect()  # fit_rows at most
+    total = np.cumsum([r["size"] for r in sizes])
+    wanted = [r["doc_id"] for r in sizes[: int(np.searchsorted(total, fit_features, side="right"))]]
+    one = made.groupBy("doc_id").agg(F.min(F.struct("size", "index", "value", "label")).alias("r"))
+    picked = one.join(F.broadcast(docs.sparkSession.createDataFrame([(i,) for i in wanted], "doc_id long")), "doc_id").select("r.*").collect()
+    scratch.drop()
+    picked.sort(key=lambda r: (bytes(r["index"]), r["label"]))
+    pairs = [(np.frombuffer(r["index"], np.int32), np.frombuffer(r["value"], np.float32)) for r in picked]
+    return fit(pairs, np.array([min(1, max(0, r["label"])) for r in picked], dtype=np.float32))
 
 
 def score(docs: DataFrame, model: FactorMachine) -> DataFrame:
@@ -163,8 +175,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, threshold: float = 0.3) -> Dat
 
 def _judge(model: FactorMachine):
     def scores(texts: pd.Series, n_chars: pd.Series) -> pd.Series:
-        made = [features(x, int(n)) for x, n in zip(texts, n_chars, strict=True)]
-        return pd.Series([float(model.score(i, v, np.array([0]))[0]) for i, v in made], dtype="float64")
+        return pd.Series(_scores(model, texts.tolist(), [int(n) for n in n_chars]), dtype="float64")
 
     return scores
 

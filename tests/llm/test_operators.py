@@ -11,6 +11,7 @@ import numpy as np
 import public_tokenizers
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from runjoin.llm import bpe, exact_dedup, factor_machine, license_scan, near_dedup, packing, quality_rules, recurrent_lm, token_store, warc
 
@@ -414,6 +415,17 @@ def test_factor_machine(spark, docs):
     assert len(got) == docs.count() and all(0 <= r["score"] <= 1 for r in got)
 
 
+def test_fit_rows_are_bounded(spark, monkeypatch):
+    seen = []
+    monkeypatch.setattr(factor_machine, "fit", lambda pairs, labels: seen.append((len(pairs), sum(len(i) for i, _ in pairs))))
+    docs = spark.createDataFrame([(i % 50, f"word{i} " * 5 + " ".join(f"w{k}" for k in range(i % 7)), 9) for i in range(500)], "doc_id long, text string, n_chars long")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(50)], "doc_id long, quality int")
+    for bounds in ({}, {"fit_rows": 20}, {"fit_features": 100}):
+        factor_machine.train(docs, labels, **bounds)
+    free = sum(zlib.crc32(str(i).encode()) % 5 != 0 for i in range(50))
+    assert seen[0][0] == free and seen[1][0] == 20 and 0 < seen[2][1] <= 100
+
+
 def test_classifier_held_out(spark):
     d = "/root/testdata/sf0.1"
     got = factor_machine.op1_quality_fm(spark, d).join(spark.read.parquet(f"{d}/labels.parquet"), "doc_id").filter("held_out")
@@ -512,6 +524,63 @@ def test_a_long_text_takes_little_memory():
     tracemalloc.stop()
 
 
+def test_pipeline_by_brute_force(spark, tmp_path):
+    """Every stage's rows, on its own input, against plain Python; ids are null, shared by different texts and repeated."""
+    import corpus_pipeline
+    from tokenizers import Tokenizer
+
+    sf = str(tmp_path)
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    labels.write.parquet(f"{sf}/labels.parquet")
+    given = spark.read.parquet(f"{SF}/documents.parquet")
+    long_ones = [r["text"] for r in given.filter("length(text) > 600").orderBy("doc_id").limit(12).collect()]
+    odd = [(None, long_ones[0] + " x1"), (None, long_ones[1] + " x2"), (5, long_ones[2]), (5, long_ones[3] + " x3"), (7, long_ones[4]), (7, long_ones[4]), (None, long_ones[5]), (0, None), (None, ""), (3, " ".join(long_ones))]
+    more = spark.createDataFrame([(i, t, "en", "odd", len(t or "")) for i, t in odd], given.schema)
+    given.unionByName(more).repartition(3).withColumn("n", F.monotonically_increasing_id()).write.parquet(f"{sf}/documents.parquet")
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    plain = lambda t: re.sub(r"[\x20\x09-\x0D]", "", t or "")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        before = docs.collect()
+        out = stage(spark, docs, sf)
+        assert out.columns == docs.columns
+        out.write.parquet(f"{sf}/{name}")
+        docs = spark.read.parquet(f"{sf}/{name}")
+        kept = sorted(r["n"] for r in docs.collect())
+        if name == "quality_rules":
+            verdicts = quality_rules.judge(spark.read.parquet(f"{sf}/documents.parquet"), quality_rules.trusted_of(labels)).collect()
+            assert Counter(r["doc_id"] for r in docs.collect()) == Counter(r["doc_id"] for r in verdicts if r["kept"])
+            for r in before:
+                words = (r["text"] or "").split()
+                assert len(words) >= 50 or r["n"] not in kept
+        elif name == "quality_classifier":
+            model = factor_machine.train(spark.createDataFrame(before, docs.schema), labels)
+            index = [factor_machine.features(r["text"] or "", r["n_chars"]) for r in before]
+            brute = [model.bias + (model.weight[i] * v).sum() + ((p := model.factor[i] * v[:, None]) @ p.T)[np.triu_indices(len(i), 1)].sum() for i, v in index]
+            assert kept == sorted(r["n"] for r, x in zip(before, brute) if 1 / (1 + np.exp(-x)) >= 0.3)
+        elif name == "exact_dedup":
+            best = {}
+            for r in before:
+                rank = (-len(r["text"] or ""), r["doc_id"] is None, r["doc_id"] or 0, r["text"] or "", r["lang"] or "", r["source"] or "", r["n_chars"] or 0, r["n"])
+                best[plain(r["text"])] = min(best.get(plain(r["text"]), (rank, r["n"])), (rank, r["n"]))
+            assert kept == sorted(n for _, n in best.values())
+        else:
+            root, sets = brute_near([(r["doc_id"], r["text"]) for r in before])
+            groups = {}
+            for r, k, s in zip(before, root, sets):
+                groups.setdefault(k if s else ("alone", r["n"]), []).append((r["doc_id"] is None, r["doc_id"] or 0, r["n"]))
+            assert len(kept) == len(groups) and len(groups) < len(before)
+            assert all(sum(n in kept for _, _, n in g) == 1 and next(x[:2] for x in g if x[2] in kept) == min(g)[:2] for g in groups.values())
+    library = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    library.encode_special_tokens = True
+    whole = Counter()
+    for p in corpus_pipeline.packing(spark, docs, sf).collect():
+        whole[p["doc_id"]] += p["length"]
+    want = Counter()
+    for r in docs.collect():
+        want[r["doc_id"]] += len(library.encode(r["text"] or "", add_special_tokens=False).ids) + 1
+    assert whole == want and corpus_pipeline.run(spark, sf).count() > 0
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
