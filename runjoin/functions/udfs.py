@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 
@@ -18,21 +18,27 @@ class RleExpand:
 
 
 def rle_encode(df: DataFrame, group: str, order: str, value: str) -> DataFrame:
-    """Runs of ``value`` in ``order`` inside each group: group, start, freq, value. One group is one task's frame."""
-    kind = df.schema[value].dataType.simpleString()
-    key = df.schema[group].dataType.simpleString()
-
-    def encode(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values([order, value], kind="stable").reset_index(drop=True)
-        fresh = (pdf[value] != pdf[value].shift()) | (pdf.index == 0)
-        starts = pdf.index[fresh].to_numpy()
-        ends = list(starts[1:]) + [len(pdf)]
-        return pd.DataFrame({group: pdf[group].iloc[0], "start": starts, "freq": [e - s for s, e in zip(starts, ends, strict=True)], "value": pdf[value].iloc[starts].to_numpy()})
-
-    return df.groupBy(group).applyInPandas(encode, f"`{group}` {key}, start long, freq long, value {kind}")
+    """Runs of ``value`` in ``order`` inside each group: group, start, freq, value. Sorted and counted in the JVM, which
+    spills; a group is never held whole."""
+    w = Window.partitionBy(group).orderBy(order, value)
+    before = F.lag(F.struct(value)).over(w)
+    fresh = F.when(before.isNull() | ~before[value].eqNullSafe(F.col(value)), 1).otherwise(0)
+    marked = df.select(group, F.col(value).alias("value__"), (F.row_number().over(w) - 1).cast("long").alias("at__"), fresh.alias("fresh__"))
+    island = F.sum("fresh__").over(Window.partitionBy(group).orderBy("at__").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    runs = marked.withColumn("island__", island).groupBy(group, "island__")
+    return runs.agg(F.min("at__").alias("start"), F.count(F.lit(1)).alias("freq"), F.first("value__").alias("value")).drop("island__")
 
 
 def register(spark: SparkSession) -> None:
     """rle_expand (table function) and run_sum (SQL function)."""
     spark.udtf.register("rle_expand", RleExpand)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION run_sum(runs ARRAY<STRUCT<value: BIGINT, freq: BIGINT>>) RETURNS BIGINT RETURN aggregate(runs, 0L, (s, r) -> s + r.value * r.freq)")
+
+
+def join_size_sql(spark: SparkSession, sql: str) -> DataFrame:
+    """One row ``join_size`` of a conjunctive equi-join over the session's views, without joining rows."""
+    from ..operators.eliminate import join_size
+    from . import sqlfront
+
+    names = {t.name for t in spark.catalog.listTables()}
+    return join_size(sqlfront.parse(sql, {n: spark.table(n) for n in names}))

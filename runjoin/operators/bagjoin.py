@@ -2,53 +2,69 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from functools import partial, reduce
-from itertools import product as cells_of
+from collections.abc import Iterable
+from functools import reduce
+from itertools import permutations
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
-from ..sources.scratch import materialise
-from .potentials import COUNT, joined, product, scope
+from . import tries
+from .potentials import COUNT, joined, scope
+
+#: A frame and the name of its count column; all its other columns are variables.
+Part = tuple[DataFrame, str]
 
 
 def potential_join(phis: list[DataFrame], order: list[str] | None = None, strategy: str = "auto", safe: set[str] = frozenset(), shares: dict[str, int] | None = None, trie: str = "hash") -> DataFrame:
     """One potential over all variables of ``phis``.
 
     ``pairwise`` lets Catalyst join two by two; ``extend`` grows prefixes a variable at a time, each from the potential
-    with fewest matches for it; ``hypercube`` deals rows to a grid of cells in one shuffle and joins each cell alone.
-    ``auto`` is pairwise where each added potential shares a scope with what is there (no join can fan out beyond the
-    bag), else ``extend``.
+    with fewest matches for it; ``hypercube`` deals rows to a grid of cells in one shuffle and joins each cell alone, by
+    tries of sorted arrays or of dictionaries (``trie``). ``auto`` is pairwise where each added potential shares a scope
+    with what is there (no join can fan out beyond the bag), else ``extend``.
     """
     if len(phis) == 1:
         return phis[0]
     order = order or list(dict.fromkeys(v for p in phis for v in scope(p)))
+    if strategy == "hypercube":
+        return _hypercube(phis, order, shares or dict.fromkeys(order, 2), trie)
+    parts = [(p.withColumnRenamed(COUNT, f"n__{i}"), f"n__{i}") for i, p in enumerate(phis)]
+    times = reduce(lambda a, b: a * b, [F.col(n) for _, n in parts])
+    return bag(parts, order, strategy, safe).select(*order, times.alias(COUNT))
+
+
+def bag(parts: list[Part], order: list[str], strategy: str = "auto", safe: set[str] = frozenset()) -> DataFrame:
+    """The join with the count columns of all parts side by side."""
     if strategy == "auto":
-        strategy = "extend" if _cyclic([set(scope(p)) for p in phis]) else "pairwise"
+        strategy = "extend" if is_cyclic([_scope(p) for p in parts]) else "pairwise"
     if strategy == "pairwise":
-        return product(*connected(phis), safe=safe)
+        return _pairwise(parts, safe)
     if strategy == "extend":
-        return _extend(phis, order, safe)
-    if strategy == "hypercube":
-        return _hypercube(phis, order, shares or dict.fromkeys(order, 2), trie)
+        return _extend(parts, order, safe)
     raise ValueError(f"no strategy {strategy}")
 
 
-def connected(phis: list[DataFrame]) -> list[DataFrame]:
-    """An order in which each potential shares variables with an earlier one, as far as there is one."""
-    left, out = list(phis), []
-    seen: set[str] = set()
+def _scope(part: Part) -> set[str]:
+    return {c for c in part[0].columns if c != part[1]}
+
+
+def _pairwise(parts: list[Part], safe: set[str]) -> DataFrame:
+    left, out, seen = list(parts), None, set()
     while left:
-        p = next((x for x in left if seen & set(scope(x))), left[0])
-        left = [x for x in left if x is not p]
-        out.append(p)
-        seen |= set(scope(p))
+        part = next((x for x in left if seen & _scope(x)), left[0])
+        left = [x for x in left if x is not part]
+        own = _scope(part)
+        out = part[0] if out is None else joined(out, part[0], [c for c in out.columns if c in own], safe)
+        seen |= own
     return out
 
 
-def _cyclic(scopes: list[set[str]]) -> bool:
+def is_cyclic(scopes: Iterable[set[str]]) -> bool:
+    """Whether ear removal leaves something."""
     left = list(scopes)
     while left:
         for i, e in enumerate(left):
@@ -62,117 +78,129 @@ def _cyclic(scopes: list[set[str]]) -> bool:
     return False
 
 
-def _extend(phis: list[DataFrame], order: list[str], safe: set[str]) -> DataFrame:
-    """Prefix frame over bound variables; each prefix takes its values from the potential that offers it fewest."""
+def _extend(parts: list[Part], order: list[str], safe: set[str]) -> DataFrame:
+    """Prefixes of bound variables, a variable longer at each step.
+
+    Where several parts know values for a prefix, it takes them from the one that has fewest: counts of the offers are
+    looked up, the offers lie in one table under a hash of who offers and for which key, and each prefix meets the rows
+    of its choice there. All other parts then confirm the value; a part whose variables are all bound confirms with its
+    count. So a step is a fixed number of joins, and no prefix is computed twice.
+    """
     prefix: DataFrame | None = None
     bound: list[str] = []
     for v in order:
-        holders = [p for p in phis if v in scope(p)]
-        offers = [p.select(*[c for c in scope(p) if c in bound], v).distinct() for p in holders]
-        keys = [[c for c in o.columns if c != v] for o in offers]
-        if prefix is None:
-            prefix = reduce(lambda a, b: a.join(b, v, "left_semi"), offers)
-        elif len(offers) == 1:
-            prefix = joined(prefix, offers[0], keys[0], safe)
+        holders = [p for p in parts if v in _scope(p)]
+        near = [p for p in holders if _scope(p) & set(bound)]
+        far = [p for p in holders if p not in near]
+        domains = [p[0].select(v).distinct() for p in far]
+        done = [p for p in holders if _scope(p) <= {*bound, v}]
+        counted: list[Part] = []
+        if not near:
+            values = reduce(lambda a, b: joined(a, b, [v], safe, "left_semi"), domains)
+            prefix = values if prefix is None else prefix.crossJoin(values)
         else:
-            counted = prefix
-            for i, (o, k) in enumerate(zip(offers, keys, strict=True)):
-                fan = o.groupBy(*k).agg(F.count(F.lit(1)).alias(f"fan{i}"))
-                counted = joined(counted, fan, k, safe)
-            least = F.least(*[F.col(f"fan{i}") for i in range(len(offers))])
-            choice = reduce(lambda w, i: w.when(F.col(f"fan{i}") == least, i), range(1, len(offers)), F.when(F.col("fan0") == least, 0))
-            # each offer's branch reads its share of the prefixes: computed once, not once a branch
-            counted = materialise(counted.withColumn("choice", choice).drop(*[f"fan{i}" for i in range(len(offers))]))
-            grown = []
-            for i, (o, k) in enumerate(zip(offers, keys, strict=True)):
-                part = joined(counted.filter(F.col("choice") == i).drop("choice"), o, k, safe)
-                for j, other in enumerate(offers):
-                    if j != i:
-                        part = joined(part, other, [*keys[j], v], safe, "left_semi")
-                grown.append(part)
-            prefix = reduce(lambda a, b: a.unionByName(b), grown)
+            keys = [[c for c in bound if c in _scope(p)] for p in near]
+            offers = []
+            for p, k in zip(near, keys, strict=True):
+                offer = p[0] if p in done else p[0].select(*k, v).distinct()
+                offers.append(reduce(lambda a, d: joined(a, d, [v], safe, "left_semi"), domains, offer))
+            if len(near) == 1:
+                prefix = joined(prefix, offers[0], keys[0], safe)
+                counted = [p for p in near if p in done]
+            else:
+                prefix = _from_fewest(prefix, [o.select(*k, v) for o, k in zip(offers, keys, strict=True)], keys, v, safe)
+                for p, o, k in zip(near, offers, keys, strict=True):
+                    if p not in done:
+                        prefix = joined(prefix, o, [*k, v], safe, "left_semi")
+        for p in done:
+            if p not in counted:
+                prefix = joined(prefix, p[0], [c for c in p[0].columns if c != p[1]], safe)
         bound.append(v)
-    out = prefix.withColumn(COUNT, F.lit(1).cast("long"))
-    for p in phis:
-        out = product(out, p, safe=safe)
-    return out.select(*order, COUNT)
+    for p in parts:
+        if not _scope(p):
+            prefix = prefix.crossJoin(p[0])
+    return prefix
+
+
+def _from_fewest(prefix: DataFrame, offers: list[DataFrame], keys: list[list[str]], v: str, safe: set[str]) -> DataFrame:
+    """Each prefix with the values of ``v`` from the offer that has fewest for it."""
+    held = list(prefix.columns)
+    for i, (o, k) in enumerate(zip(offers, keys, strict=True)):
+        prefix = joined(prefix, o.groupBy(*k).agg(F.count(F.lit(1)).alias(f"fan__{i}")), k, safe)
+    fans = [F.col(f"fan__{i}") for i in range(len(offers))]
+    choice = reduce(lambda w, i: w.when(fans[i] == F.least(*fans), i), range(1, len(offers)), F.when(fans[0] == F.least(*fans), 0))
+    spot = reduce(lambda w, i: w.when(F.col("choice__") == i, F.xxhash64(F.lit(i), *keys[i])), range(len(offers)), F)
+    asking = prefix.withColumn("choice__", choice).withColumn("spot__", spot).select(*held, "choice__", "spot__")
+    names = list(dict.fromkeys(c for k in keys for c in k))
+    types = {c: prefix.schema[c].dataType for c in names}
+    tables = [
+        o.select(F.lit(i).alias("from__"), F.xxhash64(F.lit(i), *k).alias("at__"), *[(F.col(c) if c in k else F.lit(None)).cast(types[c]).alias(f"{c}__o") for c in names], v)
+        for i, (o, k) in enumerate(zip(offers, keys, strict=True))
+    ]
+    table = reduce(lambda a, b: a.unionByName(b), tables)
+    same = [(F.col("choice__") != i) | reduce(lambda a, b: a & b, [F.col(c).eqNullSafe(F.col(f"{c}__o")) for c in k]) for i, k in enumerate(keys)]
+    met = asking.join(table, [F.col("spot__") == F.col("at__"), F.col("choice__") == F.col("from__"), *same])
+    return met.select(*held, v)
+
+
+def cheap_order(sizes: list[tuple[int, dict[str, int]]]) -> list[str]:
+    """Variables in the order of fewest expected prefixes. ``sizes``: rows of each part, and distinct values of its variables."""
+    variables = sorted({v for _, d in sizes for v in d})
+    if len(variables) > 7:
+        return variables
+
+    def seen(part: tuple[int, dict[str, int]], bound: set[str]) -> float:
+        n, d = part
+        return min(n, float(np.prod([d[v] for v in d if v in bound])))
+
+    def cost(order: tuple[str, ...]) -> float:
+        total, prefixes, bound = 0.0, 1.0, set()
+        for v in order:
+            fans = [seen(p, bound | {v}) / max(1.0, seen(p, bound)) for p in sizes if v in p[1]]
+            domain = max(p[1][v] for p in sizes if v in p[1])
+            grown = prefixes * min(fans)
+            prefixes = grown * float(np.prod([min(1.0, f / domain) for f in sorted(fans)[1:]]))
+            total, bound = total + grown, bound | {v}
+        return total
+
+    return list(min(permutations(variables), key=lambda o: (cost(o), o)))
 
 
 def _hypercube(phis: list[DataFrame], order: list[str], shares: dict[str, int], trie: str) -> DataFrame:
     """Rows of each potential go to every cell that agrees with the hashes of its variables; cells are joined alone."""
     types = {v: next(p.schema[v].dataType for p in phis if v in scope(p)) for v in order}
+    scopes = [[v for v in order if v in scope(p)] for p in phis]
     tagged = []
     for i, p in enumerate(phis):
-        own = scope(p)
-        axes = [F.array(F.pmod(F.xxhash64(v), F.lit(shares[v])).cast("int")) if v in own else F.array(*[F.lit(k) for k in range(shares[v])]) for v in order]
+        axes = [F.array(F.pmod(F.xxhash64(v), F.lit(shares[v])).cast("int")) if v in scopes[i] else F.array(*[F.lit(k) for k in range(shares[v])]) for v in order]
         df = p
         for k, axis in enumerate(axes):
             df = df.withColumn(f"axis{k}__", F.explode(axis))
         cell = reduce(lambda a, kv: a * shares[kv[1]] + F.col(f"axis{kv[0]}__"), enumerate(order), F.lit(0))
-        columns = [F.col(v).cast(types[v]) if v in own else F.lit(None).cast(types[v]).alias(v) for v in order]
-        tagged.append(df.select(cell.alias("cell__"), F.lit(i).alias("part__"), *columns, COUNT))
-    schema = ", ".join(f"`{v}` {types[v].simpleString()}" for v in order) + f", {COUNT} long"
-    run = partial(_cell, order=order, scopes=[scope(p) for p in phis], trie=trie)
-    return reduce(lambda a, b: a.unionByName(b), tagged).groupBy("cell__").applyInPandas(lambda pdf: run(pdf), schema)
-
-
-def _cell(pdf: pd.DataFrame, order: list[str], scopes: list[list[str]], trie: str) -> pd.DataFrame:
-    """Local trie join: nested dictionaries, or sorted lists that leap to the largest head."""
-    tries = []
-    for i, own in enumerate(scopes):
-        keys = [v for v in order if v in own]
-        root: dict = {}
-        part = pdf[pdf["part__"] == i]
-        for *values, n in part[[*keys, COUNT]].itertuples(index=False, name=None):
-            node = root
-            for x in values[:-1]:
-                node = node.setdefault(x, {})
-            node[values[-1]] = n
-        tries.append((keys, root))
-    if trie == "sorted":
-        tries = [(k, _sorted(r)) for k, r in tries]
-    rows = list(_walk(order, 0, tries, (), 1))
-    return pd.DataFrame(rows, columns=[*order, COUNT])
-
-
-def _sorted(node):
-    return dict(sorted(((k, _sorted(v)) for k, v in node.items()), key=lambda kv: kv[0])) if isinstance(node, dict) else node
-
-
-def _leap(lists: list[list]) -> Iterator:
-    """Values common to sorted lists: the smallest head seeks the largest, by bisection."""
-    from bisect import bisect_left
-
-    at = [0] * len(lists)
-    while all(a < len(x) for a, x in zip(at, lists, strict=True)):
-        high = max(x[a] for a, x in zip(at, lists, strict=True))
-        at = [bisect_left(x, high, a) for a, x in zip(at, lists, strict=True)]
-        if all(a < len(x) and x[a] == high for a, x in zip(at, lists, strict=True)):
-            yield high
-            at = [a + 1 for a in at]
-
-
-def _walk(order: list[str], depth: int, tries: list, values: tuple, n: int) -> Iterator[tuple]:
-    if depth == len(order):
-        yield (*values, n)
-        return
-    v = order[depth]
-    here = [i for i, (keys, _) in enumerate(tries) if keys and keys[0] == v]
-    nodes = [tries[i][1] for i in here]
-    small = min(nodes, key=len)
-    common = [x for x in small if all(x in node for node in nodes)] if len(nodes) < 3 else list(_leap([sorted(node) for node in nodes]))
-    for x in common:
-        deeper, count = list(tries), n
-        for i in here:
-            keys, node = tries[i]
-            if len(keys) == 1:
-                count *= node[x]
-                deeper[i] = ([], None)
-            else:
-                deeper[i] = (keys[1:], node[x])
-        yield from _walk(order, depth + 1, deeper, (*values, x), count)
-
-
-def cells(shares: dict[str, int]) -> list[tuple[int, ...]]:
-    """The grid of a share vector."""
-    return list(cells_of(*[range(k) for k in shares.values()]))
+        columns = [F.col(v).cast(types[v]) if v in scopes[i] else F.lit(None).cast(types[v]).alias(v) for v in order]
+        tagged.append(df.select(cell.alias("cell__"), F.lit(i).alias("part__"), *columns, F.col(COUNT).cast("long").alias(COUNT)))
+
+    def run(cell: pa.Table) -> pa.Table:
+        return join_cell(cell, order, scopes, trie)
+
+    schema = StructType([*[StructField(v, types[v]) for v in order], StructField(COUNT, LongType())])
+    return reduce(lambda a, b: a.unionByName(b), tagged).groupBy("cell__").applyInArrow(run, schema)
+
+
+def join_cell(cell: pa.Table, order: list[str], scopes: list[list[str]], trie: str) -> pa.Table:
+    """One cell's join. Values go by their place in a dictionary of the cell's values, whatever their type."""
+    encoded = {v: cell[v].combine_chunks().dictionary_encode() for v in order}
+    codes = {v: e.indices.fill_null(-1).to_numpy(zero_copy_only=False).astype(np.int64) for v, e in encoded.items()}
+    part, counts = cell["part__"].to_numpy(), cell[COUNT].to_numpy()
+    made = []
+    for i, keys in enumerate(scopes):
+        own = np.flatnonzero(part == i)
+        columns = [codes[v][own] for v in keys]
+        made.append((keys, (tries.SortedTrie if trie == "sorted" else tries.nested)(columns, counts[own])))
+    rows = list((tries.leapfrog if trie == "sorted" else tries.hash_join)(order, made))
+    columns = list(zip(*rows, strict=True)) or [()] * (len(order) + 1)
+    taken = []
+    for v, c in zip(order, columns, strict=False):
+        at = np.array(c, np.int64)
+        taken.append(encoded[v].dictionary.take(pa.array(at, mask=at < 0)))
+    return pa.table([*taken, pa.array(columns[-1], pa.int64())], [*order, COUNT])

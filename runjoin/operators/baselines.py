@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import random
-from functools import reduce
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans.spec import JoinQuery
+from ..sources import store
 from .bagjoin import potential_join
 
 _HINTS = {"shuffle_hash": "shuffle_hash", "merge": "merge", "broadcast": "broadcast", "nested_loop": "shuffle_replicate_nl"}
@@ -41,12 +42,30 @@ def binary(query: JoinQuery, algo: str = "auto", order: list[str] | None = None)
     return steps(query, algo, order)[-1].select(*query.output)
 
 
+def bucketed(query: JoinQuery, path: str, buckets: int = 8, order: list[str] | None = None) -> DataFrame:
+    """Binary sort-merge plan over tables that lie bucketed and sorted by a join column, as a stand-in for indexes built
+    beforehand: each table by the variable it shares with those before it, so the first join needs no shuffle."""
+    names, seen, stored = _in_order(query, order), set(), {}
+    for i, t in enumerate(names):
+        own = query.scopes[t]
+        before = seen if i else set(query.scopes[names[1]]) if len(names) > 1 else set()
+        keys = [v for v in own if v in before] or [v for v in own if v in query.joined]
+        name = f"bucketed_{t}_{uuid.uuid4().hex}"
+        writer = query.tables[t].write.option("path", f"{path}/{t}").mode("overwrite")
+        (writer.bucketBy(buckets, keys[0]).sortBy(keys[0]) if keys else writer).saveAsTable(name)
+        stored[t] = query.tables[t].sparkSession.table(name)
+        seen |= set(own)
+    return binary(JoinQuery(stored, query.output), "merge", names)
+
+
 def wcoj(query: JoinQuery, variant: str = "generic", order: list[str] | str | None = None, seed: int = 0) -> DataFrame:
     """Variable-at-a-time join of rows: copies stay apart, told by a row number private to each table.
 
-    ``generic`` grows prefixes with DataFrame joins; ``leapfrog`` and ``hash_trie`` join sorted or hashed tries in the
-    cells of a grid; ``heavy_light`` splits the most shared variable's values at the square root of the rows.
+    ``generic`` grows prefixes with DataFrame joins; ``leapfrog`` and ``hash_trie`` join sorted arrays or nested dictionaries
+    in the cells of a grid; ``heavy_light`` splits a join variable's values at the square root of the rows.
     """
+    if variant == "heavy_light":
+        return heavy_light(query)
     numbered = {t: df.withColumn(f"row_{t}", F.monotonically_increasing_id()).withColumn("n", F.lit(1).cast("long")) for t, df in query.tables.items()}
     variables = query.variables
     if order == "random":
@@ -62,25 +81,54 @@ def wcoj(query: JoinQuery, variant: str = "generic", order: list[str] | str | No
         shared = [v for v in variables if v in query.joined][:3]
         shares = {v: 2 if v in shared else 1 for v in full}
         out = potential_join(phis, full, "hypercube", safe, shares, "sorted" if variant == "leapfrog" else "hash")
-    elif variant == "heavy_light":
-        return heavy_light(query)
     else:
         raise ValueError(f"no variant {variant}")
     return out.select(*query.output)
 
 
+def wcoj_csv(query: JoinQuery, path: str, variant: str = "generic") -> DataFrame:
+    """The same join without an engine's tables: inputs are parsed from CSV files, the result is a CSV file, read again."""
+    spark, tables = next(iter(query.tables.values())).sparkSession, {}
+    for t, df in query.tables.items():
+        store.write_csv(df, f"{path}/in/{t}")
+        tables[t] = store.csv(spark, f"{path}/in/{t}", df.schema)
+    out = wcoj(JoinQuery(tables, query.output, query.order), variant)
+    store.write_csv(out, f"{path}/out")
+    return store.csv(spark, f"{path}/out", out.schema)
+
+
 def heavy_light(query: JoinQuery) -> DataFrame:
-    """Values of one join variable held by over sqrt(rows) rows go to a plan of their own."""
+    """Two join orders, by how often the first table holds a value of the pivot (the variable most tables share).
+
+    Values of over sqrt(rows) rows (so at most sqrt(rows) values) are joined last: the other tables first, then each of
+    their rows with at most that many heavy values. Light values are joined first: each row of the second table meets at
+    most sqrt(rows) rows of the first. For a triangle both stay below rows^1.5; longer cycles get the same two orders
+    without that bound.
+    """
     pivot = max(sorted(query.joined), key=lambda v: sum(v in s for s in query.scopes.values()))
-    first = next(t for t, s in query.scopes.items() if pivot in s)
-    counts = query.tables[first].groupBy(pivot).agg(F.count(F.lit(1)).alias("c"))
+    with_pivot = [t for t, s in query.scopes.items() if pivot in s]
+    others = [t for t in query.tables if t not in with_pivot]
+    if not others:
+        return binary(query)
+    counts = query.tables[with_pivot[0]].groupBy(pivot).agg(F.count(F.lit(1)).alias("c"))
     bound = counts.agg(F.sqrt(F.coalesce(F.sum("c"), F.lit(0))).alias("bound"))
-    heavy = counts.join(F.broadcast(bound)).filter(F.col("c") > F.col("bound")).select(pivot)  # at most sqrt(rows) values
+    heavy = counts.crossJoin(F.broadcast(bound)).filter(F.col("c") > F.col("bound")).select(pivot)
     parts = []
-    for how, algo in (("left_semi", "merge"), ("left_anti", "shuffle_hash")):
-        tables = {t: df.join(F.broadcast(heavy), pivot, how) if pivot in df.columns else df for t, df in query.tables.items()}
-        parts.append(binary(JoinQuery(tables, query.output), algo))
-    return reduce(lambda a, b: a.unionByName(b), parts)
+    for how, order in (("left_semi", others + with_pivot), ("left_anti", with_pivot + others)):
+        tables = {t: df.join(heavy, pivot, how) if pivot in df.columns else df for t, df in query.tables.items()}
+        parts.append(binary(JoinQuery(tables, query.output), order=connected(query, order)))
+    return parts[0].unionByName(parts[1])
+
+
+def connected(query: JoinQuery, order: list[str]) -> list[str]:
+    """The order wished for, but each table that can be shares a variable with those before it."""
+    left, out, seen = list(order), [], set()
+    while left:
+        t = next((x for x in left if seen & set(query.scopes[x])), left[0])
+        left.remove(t)
+        out.append(t)
+        seen |= set(query.scopes[t])
+    return out
 
 
 def materialise_flat(query: JoinQuery, path: str, format: str = "parquet") -> None:

@@ -7,11 +7,15 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans import graph
+from functools import reduce as fold
+from itertools import permutations
+
+from ..plans import cover, graph
 from ..plans.spec import JoinQuery
 from ..sources.scratch import materialise
-from .bagjoin import potential_join
-from .potentials import COUNT, joined, of_query, scope
+from .bagjoin import bag as bag_join
+from .bagjoin import cheap_order, is_cyclic, potential_join
+from .potentials import COUNT, of_query, scope, wide
 
 
 @dataclass
@@ -66,7 +70,7 @@ class Generator:
 
 def order_for(query: JoinQuery, hidden: list[str], root: str | None = None) -> list[str]:
     """Hidden variables first, then the rest; least fill-ins in each part. The output's columns are generated in
-    their own order where that costs no more fill-ins than the greedy order."""
+    their own order where that costs no more fill-ins than the greedy order. (Cyclic queries: see ``order_by_size``.)"""
     g = graph.build(query.scopes)
     visible = [v for v in query.variables if v not in hidden]
     wanted = [v for v in query.output if v in visible]
@@ -83,6 +87,68 @@ def order_for(query: JoinQuery, hidden: list[str], root: str | None = None) -> l
     return as_written if cost(as_written) <= cost(greedy) else greedy
 
 
+def sizes_of(frames: dict[str, DataFrame]) -> dict[str, tuple[int, dict[str, int]]]:
+    """Rows and (approximate) distinct values of every column but the count, of all frames in one pass without a shuffle of rows."""
+    made = []
+    for t, df in frames.items():
+        columns = scope(df)
+        distinct = F.array(*[F.approx_count_distinct(c) for c in columns]) if columns else F.array().cast("array<long>")
+        made.append(df.agg(F.count(F.lit(1)).alias("rows"), distinct.alias("distinct")).select(F.lit(t).alias("t"), "rows", "distinct"))
+    rows = fold(lambda a, b: a.unionByName(b), made).collect()  # one a table
+    return {r["t"]: (r["rows"], {c: max(1, n) for c, n in zip(scope(frames[r["t"]]), r["distinct"], strict=True)}) for r in rows}
+
+
+#: Rows of a factor, and distinct values of each of its variables.
+Size = tuple[float, dict[str, int]]
+
+
+def _joint_size(own: list[Size], values: dict[str, int]) -> float:
+    """Rows expected of a join: the product of its factors' rows over the values of each variable shared."""
+    rows = fold(lambda a, f: a * f[0], own, 1.0)
+    for v in set().union(*[d for _, d in own]):
+        rows /= float(values[v]) ** (sum(v in d for _, d in own) - 1)
+    return rows
+
+
+def _message_size(joint: float, given: set[str], values: dict[str, int]) -> Size:
+    return min(joint, fold(lambda a, x: a * values[x], given, 1.0)), {x: values[x] for x in given}
+
+
+def _values(sizes: list[Size]) -> dict[str, int]:
+    return {v: max(d[v] for _, d in sizes if v in d) for _, own in sizes for v in own}
+
+
+def _base_sizes(sizes: list[Size]) -> list[Size]:
+    """Distinct tuples are at most the rows and the product of the values."""
+    return [(min(n, fold(lambda a, v: a * d[v], d, 1.0)), d) for n, d in sizes]
+
+
+def order_by_size(query: JoinQuery, hidden: list[str] = (), sizes: list[Size] | None = None) -> list[str]:
+    """The order whose bags and messages are expected to hold fewest rows; up to 7 variables, else least fill-ins.
+    Hidden variables go first; ties go to the output's own column order."""
+    variables = query.variables
+    if len(variables) > 7:
+        return graph.min_fill(graph.build(query.scopes), first=hidden)
+    base = _base_sizes(sizes or list(sizes_of(query.tables).values()))
+    values = _values(base)
+
+    def cost(order: list[str]) -> float:
+        factors, total = list(base), 0.0
+        for v in order:
+            bag = set().union(*[d for _, d in factors if v in d])
+            own = [f for f in factors if f[1].keys() <= bag]
+            joint = _joint_size(own, values)
+            factors = [f for f in factors if not f[1].keys() <= bag] + [_message_size(joint, bag - {v}, values)]
+            total += joint
+        return total
+
+    hidden = list(hidden)
+    shown = [v for v in variables if v not in hidden]
+    last = [v for v in query.output if v in shown]
+    orders = ([*a, *b] for a in permutations(hidden) for b in permutations(shown))
+    return min(orders, key=lambda o: (round(cost(o), 3), [last.index(v) if v in last else -1 for v in o[::-1]]))
+
+
 def build_generator(query: JoinQuery, order: list[str] | None = None, root: str | None = None, project: str = "early", phis: dict[str, DataFrame] | None = None, strategy: str = "auto") -> Generator:
     """Eliminate all variables, keeping a conditional for each that the output shows.
 
@@ -92,54 +158,38 @@ def build_generator(query: JoinQuery, order: list[str] | None = None, root: str
     that the output lacks before all others; ``skip`` keeps them in the generator, to be left out when runs are written.
     """
     hidden = query.hidden if project == "early" else []
-    order = order or query.order or order_for(query, hidden, root)
+    phis = phis or of_query(query)
     safe = set(query.variables) - query.joined
-    factors: list[tuple[set[str], DataFrame, str | None]] = [(set(scope(p)), p, None) for p in (phis or of_query(query)).values()]
+    looped = strategy != "auto" or is_cyclic(set(scope(p)) for p in phis.values())
+    sizes = list(sizes_of(query.tables or phis).values()) if looped else [(1.0, dict.fromkeys(scope(p), 1)) for p in phis.values()]
+    order = order or query.order or (order_by_size(query, hidden, sizes) if looped and not root else order_for(query, hidden, root))
+    values = _values(sizes)
+    factors: list[tuple[set[str], DataFrame, str | None, Size]] = [(set(scope(p)), p, None, z) for p, z in zip(phis.values(), _base_sizes(sizes), strict=True)]
     conditionals, messages = [], {}
     for v in order:
-        bag = set().union(*[s for s, _, _ in factors if v in s])
+        bag = set().union(*[f[0] for f in factors if v in f[0]])
         own = [f for f in factors if f[0] <= bag]
         factors = [f for f in factors if not f[0] <= bag]
         given = [x for x in order if x in bag and x != v]
-        base = [p for _, p, child in own if child is None]
-        passed = [(s, p, child) for s, p, child in own if child is not None]
-        open_ones = [(s, p, c) for s, p, c in passed if c not in hidden]
-        closed = [p for _, p, c in passed if c in hidden]
-        parts = base + closed
-        if v in hidden:
-            joint = potential_join([*parts, *[p for _, p, _ in open_ones]], [*given, v], strategy, safe)
-            factors.append((set(given), joint.groupBy(*given).agg(F.sum(COUNT).alias(COUNT)) if given else joint.agg(F.sum(COUNT).alias(COUNT)), v))
-            continue
-        cyclic = strategy != "auto" or len(parts) + len(open_ones) > 2
-        frame, covered = None, set()
-        if cyclic:  # one worst-case optimal join over base potentials and messages, then the messages' values again
-            marked = [(s, p.withColumnRenamed(COUNT, f"m_{c}"), c) for s, p, c in open_ones]
-            bare = [p.select(*[x for x in p.columns if x != f"m_{c}"], F.lit(1).cast("long").alias(COUNT)) for s, p, c in marked if s]
-            frame = potential_join([*parts, *bare], [*given, v], strategy, safe).withColumnRenamed(COUNT, "bucket")
-            for s, p, _ in marked:
-                frame = joined(frame, p, sorted(s), safe)
+        open_ones = [] if v in hidden else [f for f in own if f[2] is not None and f[2] not in hidden]
+        base = [f for f in own if f not in open_ones]
+        parts = [(f[1].withColumnRenamed(COUNT, f"n__{i}"), f"n__{i}") for i, f in enumerate(base)]
+        held = [*parts, *((f[1].withColumnRenamed(COUNT, f"m_{f[2]}"), f"m_{f[2]}") for f in open_ones)]
+        cyclic = strategy != "auto" or is_cyclic(f[0] for f in own)
+        names = cheap_order([f[3] for f in own if f[0]]) if cyclic else [v, *given]
+        frame = bag_join(held, names, strategy, safe) if len(held) > 1 else held[0][0]
+        bucket = fold(lambda a, b: a * b, [F.col(n) for _, n in parts], F.lit(1).cast("long"))
+        children = [f[2] for f in open_ones]
+        frame = frame.select(*given, v, bucket.alias("bucket"), *[f"m_{c}" for c in children])
+        if cyclic and v not in hidden:
             frame = materialise(frame)  # read by the message and by each level generated from it
-        else:
-            pieces = [(p.withColumnRenamed(COUNT, "bucket"), "bucket") for p in parts] + [(p.withColumnRenamed(COUNT, f"m_{c}"), None) for _, p, c in open_ones]
-            for p, _ in pieces:
-                here = {x for x in p.columns if x in bag}
-                if frame is None:
-                    frame = p
-                else:
-                    clash = "bucket" in frame.columns and "bucket" in p.columns
-                    q = p.withColumnRenamed("bucket", "bucket__b") if clash else p
-                    frame = joined(frame, q, [x for x in given + [v] if x in here & covered], safe)
-                    if clash:
-                        frame = frame.withColumn("bucket", F.col("bucket") * F.col("bucket__b")).drop("bucket__b")
-                covered |= here
-            if not parts:
-                frame = frame.withColumn("bucket", F.lit(1).cast("long"))
-        children = [c for _, _, c in open_ones]
-        psi = Conditional(v, given, frame.select(*given, v, "bucket", *[f"m_{c}" for c in children]), children)
-        conditionals.append(psi)
+        psi = Conditional(v, given, frame, children)
         t = psi.table().withColumn(COUNT, F.col("bucket") * F.col("fac"))
-        messages[v] = t.groupBy(*given).agg(F.sum(COUNT).alias(COUNT)) if given else t.agg(F.sum(COUNT).alias(COUNT)).filter(F.col(COUNT).isNotNull())
-        factors.append((set(given), messages[v], v))
+        message = t.groupBy(*given).agg(F.sum(COUNT).alias(COUNT)) if given else t.agg(F.sum(COUNT).alias(COUNT)).filter(F.col(COUNT).isNotNull())
+        factors.append((set(given), message, v, _message_size(_joint_size([f[3] for f in own], values), set(given), values)))
+        if v not in hidden:
+            conditionals.append(psi)
+            messages[v] = message
     return Generator(query, order, conditionals[::-1], messages, safe)
 
 
@@ -147,7 +197,10 @@ def marginal(query: JoinQuery, variables: list[str], order: list[str] | None = N
     """Counts of the join result by ``variables``: all others are summed out, none of the join is built."""
     g = graph.build(query.scopes)
     others = [v for v in query.variables if v not in variables]
-    order = [v for v in (order or graph.min_fill(g, first=others)) if v not in variables]
+    if not order:
+        looped = query.tables and is_cyclic(set(s) for s in query.scopes.values())
+        order = order_by_size(query, others) if looped else graph.min_fill(g, first=others)
+    order = [v for v in order if v not in variables]
     safe = set(query.variables) - query.joined
     factors = [(set(scope(p)), p) for p in (phis or of_query(query)).values()]
     for v in order:
@@ -161,11 +214,21 @@ def marginal(query: JoinQuery, variables: list[str], order: list[str] | None = N
 
 
 def join_size(query: JoinQuery, phis: dict[str, DataFrame] | None = None) -> DataFrame:
-    """One row ``join_size``: rows of the join, without joining rows. Works on stored potentials too."""
+    """One row ``join_size``: rows of the join, without joining rows. Works on stored potentials too.
+
+    Counts of 64 bits raise where a product overflows; potentials with ``potentials.wide`` counts go on to 38 digits.
+    """
     total = marginal(query, [], phis=phis)
     return total.agg(F.coalesce(F.sum(COUNT), F.lit(0)).cast("decimal(38,0)").alias("join_size"))
 
 
+def safe_potentials(query: JoinQuery, phis: dict[str, DataFrame] | None = None) -> dict[str, DataFrame]:
+    """Potentials whose counts can't overflow: of 64 bits if the bag bound of the join lies below 2^62, else of 38 digits."""
+    phis = phis or of_query(query)
+    bound = cover.bag_bound(phis, cover.fractional_edge_cover({t: tuple(scope(p)) for t, p in phis.items()})[1])
+    return phis if bound < 2**62 else wide(phis)
+
+
 def reduce(query: JoinQuery) -> JoinQuery:
     """Semi-join pass over the tables, leaves to root and back: no row stays that an acyclic join doesn't need."""
     names, tables = list(query.tables), dict(query.tables)

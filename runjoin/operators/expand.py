@@ -6,26 +6,49 @@ from collections.abc import Iterator
 from functools import reduce
 
 import numpy as np
-import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 from .summary import RunSummary
 
-#: Rows that one piece of a run expands to at most.
-PIECE = 1 << 16
+#: Rows that one piece of a run expands to at most, and pieces of a block.
+PIECE, BLOCK = 1 << 16, 1 << 16
+#: Length of a run from which the pieces of a stored summary are dealt out evenly before they are repeated.
+HEAVY = 1 << 22
 
 
-def _repeated(runs: DataFrame, columns: list[str], piece: int = PIECE) -> DataFrame:
-    pieces = runs.select(*columns, "freq", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("freq") - 1) / piece))).alias("piece"))
-    sized = pieces.select(*columns, F.least(F.lit(piece), F.col("freq") - F.col("piece") * piece).cast("int").alias("times"))
-    return sized.select(*columns, F.explode(F.sequence(F.lit(1), F.col("times"))).alias("copy")).drop("copy")
+def _numbers(n: Column) -> Column:
+    """0 to n - 1, none if n is 0."""
+    return F.explode(F.when(n > 0, F.sequence(F.lit(0).cast("long"), n - 1)))
 
 
-def flatten(summary: RunSummary, spread: bool = False) -> DataFrame:
-    """The join result; heavy runs are cut into pieces first, dealt out evenly with ``spread``."""
+def _repeated(runs: DataFrame, columns: list[str], spread: bool = False) -> DataFrame:
+    """Runs cut into blocks and these into pieces, which are dealt out with ``spread``; then each piece's rows.
+
+    No array is longer than a block has pieces or a piece rows, however long the run.
+    """
+    size = PIECE * BLOCK
+    blocks = runs.select(*columns, "freq", _numbers(F.ceil(F.col("freq") / size)).alias("block__"))
+    sized = blocks.select(*columns, F.least(F.lit(size), F.col("freq") - F.col("block__") * size).alias("freq"))
+    pieces = sized.select(*columns, "freq", _numbers(F.ceil(F.col("freq") / PIECE)).alias("piece__"))
+    short = pieces.select(*columns, F.least(F.lit(PIECE), F.col("freq") - F.col("piece__") * PIECE).cast("int").alias("times__"))
+    if spread:
+        short = short.repartition(max(1, int(runs.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    return short.select(*columns, F.explode(F.sequence(F.lit(1), F.col("times__"))).alias("copy__")).drop("copy__")
+
+
+def flatten(summary: RunSummary, spread: bool | None = None) -> DataFrame:
+    """The join result. With ``spread`` pieces of runs are dealt out evenly over tasks (a shuffle of pieces, not of rows).
+
+    Left open, a summary whose frames lie on shared files is spread if its longest run has over HEAVY rows; a lazy one is
+    not looked at (that would compute it twice) and stays where its runs are made.
+    """
     runs = summary.deepest
-    return _repeated(runs.repartition(F.rand(7)) if spread else runs, summary.shown)
+    if spread is None:
+        spread = summary.kept and (runs.agg(F.max("freq")).first()[0] or 0) > HEAVY
+    return _repeated(runs, summary.shown, spread)
 
 
 def slice_rows(summary: RunSummary, start: int, length: int) -> DataFrame:
@@ -45,34 +68,41 @@ def sample(summary: RunSummary, n: int, seed: int = 0, chunk: int = 1 << 20) ->
         return runs.select(*summary.shown)
     spots = runs.sparkSession.range(n).select("id", F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(total)).alias("spot"))
     spots = spots.withColumn("chunk", F.floor(F.col("spot") / chunk))
-    last = F.floor((F.col("start") + F.col("freq") - 1) / chunk)
-    spread = runs.withColumn("chunk", F.explode(F.sequence(F.floor(F.col("start") / chunk), last)))
+    first = F.floor(F.col("start") / chunk)
+    chunks = F.floor((F.col("start") + F.col("freq") - 1) / chunk) - first + 1
+    blocks = runs.withColumn("block", _numbers(F.ceil(chunks / BLOCK)))
+    within = blocks.withColumn("within", _numbers(F.least(F.lit(BLOCK), chunks - F.col("block") * BLOCK)))
+    spread = within.withColumn("chunk", first + F.col("block") * BLOCK + F.col("within"))
     hit = spots.join(spread, "chunk").filter((F.col("spot") >= F.col("start")) & (F.col("spot") < F.col("start") + F.col("freq")))
     return hit.select(*summary.shown)
 
 
 def from_columns(columns: dict[str, DataFrame], chunk: int = PIECE) -> DataFrame:
     """Rows from columns stored apart (start, freq, value): runs are cut at chunk borders, columns meet on the chunk,
-    and values are repeated in each chunk by position."""
+    and values are repeated in each chunk by position, as arrays."""
     parts = []
     for i, df in enumerate(columns.values()):
         end = F.col("start") + F.col("freq")
-        cut = df.select("start", end.alias("stop"), "value", F.explode(F.sequence(F.floor(F.col("start") / chunk), F.floor((end - 1) / chunk))).alias("chunk"))
+        first = F.floor(F.col("start") / chunk)
+        spanned = df.filter("freq > 0").select("start", end.alias("stop"), "value", first.alias("first"), (F.floor((end - 1) / chunk) - first + 1).alias("chunks"))
+        blocks = spanned.withColumn("block", _numbers(F.ceil(F.col("chunks") / BLOCK)))
+        within = _numbers(F.least(F.lit(BLOCK), F.col("chunks") - F.col("block") * BLOCK)).alias("within")
+        cut = blocks.select("start", "stop", "value", "first", "block", within).withColumn("chunk", F.col("first") + F.col("block") * BLOCK + F.col("within"))
         low, high = F.greatest(F.col("start"), F.col("chunk") * chunk), F.least(F.col("stop"), (F.col("chunk") + 1) * chunk)
         piece = F.struct((low - F.col("chunk") * chunk).alias("at"), (high - low).alias("times"), F.col("value"))
         parts.append(cut.groupBy("chunk").agg(F.sort_array(F.collect_list(piece)).alias(f"c{i}")))
-    both = reduce(lambda a, b: a.join(b, "chunk"), parts)
-    types = {n: df.schema["value"].dataType for n, df in columns.items()}
+    both = reduce(lambda a, b: a.join(b, "chunk"), parts).drop("chunk")
     names = list(columns)
-    schema = ", ".join(f"`{n}` {t.simpleString()}" for n, t in types.items())
-
-    def expand(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            for row in pdf.itertuples(index=False):
-                out = {}
-                for name, runs in zip(names, row[1:], strict=True):
-                    values = pd.Series([r["value"] for r in runs], dtype=object)
-                    out[name] = values.take(np.repeat(np.arange(len(runs)), [r["times"] for r in runs])).reset_index(drop=True)
-                yield pd.DataFrame(out)
-
-    return both.mapInPandas(expand, schema)
+    schema = StructType([StructField(n, df.schema["value"].dataType) for n, df in columns.items()])
+
+    def expand(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row in range(batch.num_rows):
+                out = []
+                for column in batch.columns:
+                    runs = column.slice(row, 1).flatten()
+                    times = runs.field("times").to_numpy(zero_copy_only=False)
+                    out.append(runs.field("value").take(pa.array(np.repeat(np.arange(len(times)), times))))
+                yield pa.RecordBatch.from_arrays(out, names)
+
+    return both.mapInArrow(expand, schema)

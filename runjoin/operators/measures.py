@@ -2,16 +2,17 @@
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans import cover, graph
 from ..plans.spec import JoinQuery
 from . import baselines
-from .eliminate import Generator, join_size, marginal, order_for  # noqa: F401
 from .potentials import joint_distribution, of_query
 from .summary import RunSummary
 
@@ -87,29 +88,75 @@ def plan_stats(query: JoinQuery) -> dict[str, object]:
 
 
 def conditional_independence(query: JoinQuery, a: str, b: str, given: str) -> DataFrame:
-    """Tuples for which n(a,b,c) * n(c) differs from n(a,c) * n(b,c): none when ``given`` separates the two."""
-    abc = marginal(query, [a, b, given])
-    ac, bc = marginal(query, [a, given]).withColumnRenamed("n", "n_ac"), marginal(query, [b, given]).withColumnRenamed("n", "n_bc")
-    c = marginal(query, [given]).withColumnRenamed("n", "n_c")
-    pairs = ac.join(bc, given).join(c, given)
+    """Tuples for which n(a,b,given) * n(given) differs from n(a,given) * n(b,given), counted on the joined rows.
+
+    There are none where ``given`` separates the two in the query graph; elsewhere there may be.
+    """
+    rows = baselines.binary(JoinQuery(query.tables, [a, b, given]))
+    count = lambda *columns: rows.groupBy(*columns).agg(F.count(F.lit(1)).cast("decimal(19,0)").alias("n"))
+    abc, c = count(a, b, given), count(given).withColumnRenamed("n", "n_c")
+    pairs = count(a, given).withColumnRenamed("n", "n_ac").join(count(b, given).withColumnRenamed("n", "n_bc"), given).join(c, given)
     met = pairs.join(abc, [a, b, given], "left")
-    wide = lambda x: F.col(x).cast("decimal(19,0)")
-    return met.filter(F.coalesce(wide("n"), F.lit(0)) * wide("n_c") != wide("n_ac") * wide("n_bc"))
+    return met.filter(F.coalesce("n", F.lit(0)) * F.col("n_c") != F.col("n_ac") * F.col("n_bc"))
 
 
-def timed(run: Callable[[], object], repeats: int = 5, cap_s: float | None = None) -> tuple[float, bool]:
-    """Mean seconds, and whether every run came to its end within ``cap_s``."""
-    spent, fine = [], True
+def timed(spark: SparkSession, run: Callable[[], object], repeats: int = 5, cap_s: float | None = None, cap_bytes: int | None = None, path: str | None = None) -> tuple[float, str]:
+    """Mean seconds, and ``done``, ``time`` or ``bytes`` (its jobs were cancelled at the cap) or the name of its error.
+
+    ``cap_bytes`` bounds the files under ``path`` while it runs.
+    """
+    spent = []
     for _ in range(repeats):
+        tag, ended, why = f"timed-{uuid.uuid4().hex}", threading.Event(), []
         began = time.perf_counter()
+
+        def watch(tag=tag, ended=ended, why=why, began=began) -> None:
+            while not ended.wait(0.2):
+                late = cap_s is not None and time.perf_counter() - began > cap_s
+                large = cap_bytes is not None and path is not None and stored_bytes(path) > cap_bytes
+                if late or large:
+                    why.append("time" if late else "bytes")
+                    spark.sparkContext.cancelJobsWithTag(tag)
+                    if ended.wait(1):
+                        return
+
+        guard = threading.Thread(target=watch, daemon=True)
+        spark.sparkContext.addJobTag(tag)
+        guard.start()
         try:
             run()
-        except Exception:  # noqa: BLE001  a run that fails is a result here
-            fine = False
+        except Exception as failed:  # noqa: BLE001  a run that fails is a result here
+            why.append(type(failed).__name__)
+        finally:
+            ended.set()
+            guard.join()
+            spark.sparkContext.removeJobTag(tag)
         spent.append(time.perf_counter() - began)
-        if cap_s and spent[-1] > cap_s:
-            return spent[-1], False
-    return sum(spent) / len(spent), fine
+        if why:
+            return spent[-1], why[0]
+    return sum(spent) / len(spent), "done"
+
+
+def traffic(spark: SparkSession, run: Callable[[], object]) -> dict[str, int]:
+    """Stages, tasks, and bytes read from files, written to shuffles and spilled by the jobs of ``run``."""
+    context, tag = spark.sparkContext, f"traffic-{uuid.uuid4().hex}"
+    context.addJobTag(tag)
+    try:
+        run()
+    finally:
+        context.removeJobTag(tag)
+    context._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    store, tracker = context._jsc.sc().statusStore(), context._jsc.sc().statusTracker()
+    out = dict.fromkeys(("stages", "tasks", "input_bytes", "shuffle_bytes", "shuffle_rows", "spilled_bytes"), 0)
+    for job in tracker.getJobIdsForTag(tag):
+        for stage in tracker.getJobInfo(job).get().stageIds():
+            try:
+                s = store.lastStageAttempt(stage)
+            except Exception:  # noqa: BLE001, S112  a stage that was skipped has no attempt
+                continue
+            for k, v in (("stages", int(s.numCompleteTasks() > 0)), ("tasks", s.numCompleteTasks()), ("input_bytes", s.inputBytes()), ("shuffle_bytes", s.shuffleWriteBytes()), ("shuffle_rows", s.shuffleWriteRecords()), ("spilled_bytes", s.diskBytesSpilled())):
+                out[k] += v
+    return out
 
 
 def stored_bytes(path: str) -> int:
@@ -117,7 +164,7 @@ def stored_bytes(path: str) -> int:
     import pyarrow.fs as pafs
 
     fs, root = pafs.FileSystem.from_uri(path)
-    return sum(f.size or 0 for f in fs.get_file_info(pafs.FileSelector(root, recursive=True)) if f.is_file)
+    return sum(f.size or 0 for f in fs.get_file_info(pafs.FileSelector(root, recursive=True, allow_not_found=True)) if f.is_file)
 
 
 def phases(query: JoinQuery) -> dict[str, float]:
@@ -154,3 +201,26 @@ def phase_shares(query: JoinQuery) -> dict[str, float]:
 
 def ratio(other: float, own: float) -> float:
     return other / own if own else float("inf")
+
+
+def scenarios(spark: SparkSession, query: JoinQuery, path: str, repeats: int = 1, cap_s: float | None = None, methods: tuple[str, ...] = ("summary", "binary", "wcoj")) -> DataFrame:
+    """Both scenarios by each method: method, phase (store, load, memory), seconds, ended, bytes, ratio.
+
+    Reuse: compute and store, then load and (for the summary) expand. Forget: compute all rows in memory. Rows are made
+    but go nowhere. ``bytes`` are those of the stored files; ``ratio`` is the method's seconds over the summary's.
+    """
+    from . import pipeline
+
+    sink = lambda df: df.write.mode("overwrite").format("noop").save()
+    flat = {"binary": lambda: baselines.binary(query), "wcoj": lambda: baselines.wcoj(query)}
+    rows = []
+    for m in methods:
+        if m == "summary":
+            store, load, memory = (lambda: pipeline.summarise_to(query, f"{path}/{m}")), (lambda: sink(pipeline.reload(spark, f"{path}/{m}"))), (lambda: sink(pipeline.join(query)))  # noqa: B023
+        else:
+            store, load, memory = (lambda: flat[m]().write.mode("overwrite").parquet(f"{path}/{m}")), (lambda: sink(spark.read.parquet(f"{path}/{m}"))), (lambda: sink(flat[m]()))  # noqa: B023
+        for phase, run in (("store", store), ("load", load), ("memory", memory)):
+            seconds, ended = timed(spark, run, repeats, cap_s)
+            rows.append((m, phase, seconds, ended, stored_bytes(f"{path}/{m}")))
+    own = {p: s for m, p, s, _, _ in rows if m == methods[0]}
+    return spark.createDataFrame([(*r, ratio(r[2], own[r[1]])) for r in rows], "method string, phase string, seconds double, ended string, bytes long, ratio double")

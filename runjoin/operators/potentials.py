@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..plans.spec import JoinQuery
@@ -106,20 +106,47 @@ def joint_distribution(query: JoinQuery, normalise: bool = False) -> DataFrame:
     return out
 
 
+def wide(phis: dict[str, DataFrame]) -> dict[str, DataFrame]:
+    """The same potentials with 38-digit counts, for results beyond 64 bits."""
+    return {t: p.withColumn(COUNT, F.col(COUNT).cast("decimal(38,0)")) for t, p in phis.items()}
+
+
 class Catalog:
-    """Potentials built once and kept as Parquet, for queries to come and for narrower ones."""
+    """Potentials built once and kept as Parquet, for queries to come, for narrower ones and for later sessions.
+
+    A potential lies under its table's name and its variables; it is whole once its folder holds Spark's success mark.
+    ``built`` names those that this catalog had to build. Tables that change need another name (or ``forget``).
+    """
 
     def __init__(self, path: str) -> None:
-        self.path, self.schemas = path.rstrip("/"), {}
+        self.path, self.built = path.rstrip("/"), []
+
+    def _where(self, name: str, variables: list[str]) -> str:
+        return f"{self.path}/{name}/{'+'.join(sorted(variables))}"
+
+    def stored(self, spark: SparkSession, name: str) -> list[list[str]]:
+        """Variables of the table's potentials that lie here."""
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{name}")
+        fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
+        if not fs.exists(path):
+            return []
+        found = [s.getPath() for s in fs.listStatus(path)]
+        return [p.getName().split("+") for p in found if fs.exists(spark._jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS"))]
 
     def get_or_build(self, name: str, df: DataFrame, variables: list[str]) -> DataFrame:
-        key = f"{name}__{'_'.join(variables)}"
+        """Read; or sum up a stored wider potential; or scan the table."""
         spark = df.sparkSession
-        if key not in self.schemas:
-            phi = build(df, variables)
-            self.schemas[key] = phi.schema
-            phi.write.mode("overwrite").parquet(f"{self.path}/{key}")
-        return spark.read.schema(self.schemas[key]).parquet(f"{self.path}/{key}")
+        there = self.stored(spark, name)
+        if not any(sorted(x) == sorted(variables) for x in there):
+            wider = min((x for x in there if set(variables) <= set(x)), key=len, default=None)
+            source = marginal(spark.read.parquet(self._where(name, wider)), list(variables)) if wider else build(df, list(variables))
+            source.write.mode("overwrite").parquet(self._where(name, variables))
+            self.built.append((name, tuple(variables), "wider" if wider else "scan"))
+        return spark.read.parquet(self._where(name, variables)).select(*variables, COUNT)
+
+    def of_query(self, query: JoinQuery, names: dict[str, str] | None = None) -> dict[str, DataFrame]:
+        """Potentials of all tables of a query; aliases that ``names`` gives the same name (and that have the same variables) share one."""
+        return {t: self.get_or_build((names or {}).get(t, t), df, list(query.scopes[t])) for t, df in query.tables.items()}
 
     def marginal(self, name: str, df: DataFrame, variables: list[str], subset: list[str]) -> DataFrame:
         return marginal(self.get_or_build(name, df, variables), subset)

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -21,6 +24,7 @@ class RunSummary:
     shown: list[str]
     frames: dict[str, DataFrame]
     starts: dict[str, DataFrame] = field(default_factory=dict)
+    kept: bool = False  # whether the frames lie on shared files
 
     def runs(self, column: str) -> DataFrame:
         """Prefix runs of a column: its prefix and ``freq``."""
@@ -32,21 +36,10 @@ class RunSummary:
         return self.runs(self.variables[-1])
 
     def placed(self, column: str) -> DataFrame:
-        """Runs with ``start``: rows of the sorted result before them. A run starts with its parent run, after the
-        siblings that sort before it, so only siblings are ever ordered together."""
+        """Runs with ``start``: rows of the sorted result before them, by a prefix sum over the runs in their order."""
         if column not in self.starts:
-            at = self.variables.index(column)
-            own, value = self.variables[: at + 1], self.variables[at]
-            runs = self.runs(column)
-            if at == 0:
-                out = prefix_sum(runs, [value], "freq", "start")
-            else:
-                above = self.variables[:at]
-                siblings = Window.partitionBy(*above).orderBy(F.col(value).asc_nulls_first()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-                local = runs.withColumn("within", F.sum("freq").over(siblings) - F.col("freq"))
-                parent = self.placed(self.variables[at - 1]).drop("freq")
-                out = joined(local, parent, above, set(above)).withColumn("start", F.col("start") + F.col("within"))
-            self.starts[column] = out.select(*own, "start", "freq")
+            own = self.variables[: self.variables.index(column) + 1]
+            self.starts[column] = prefix_sum(self.runs(column), own, "freq", "start").select(*own, "start", "freq")
         return self.starts[column]
 
     def column(self, name: str) -> DataFrame:
@@ -54,15 +47,16 @@ class RunSummary:
         return self.placed(name).select("start", "freq", F.col(name).alias("value"))
 
 
-def generate(gen: Generator, cut: bool = False) -> RunSummary:
+def generate(gen: Generator, cut: bool = False, sequence: list[str] | None = None) -> RunSummary:
     """Expand the generator a variable at a time from the root: one set-wise join a level.
 
     Each prefix row holds the product of the buckets of what it has expanded and, as columns, the messages of the
     branches it has not; the run length is the product of all these. With ``cut`` each level is checkpointed, so that
-    plans stay short and no level is computed twice.
+    plans stay short and no level is computed twice. ``sequence``: another order of the variables, in which each still
+    comes after all that it depends on.
     """
     frames, prefix, variables, open_ones = {}, None, [], []
-    for psi in gen.conditionals:
+    for psi in [gen.by(v) for v in sequence] if sequence else gen.conditionals:
         v, given = psi.variable, psi.given
         if prefix is None:
             prefix = psi.frame
@@ -78,19 +72,18 @@ def generate(gen: Generator, cut: bool = False) -> RunSummary:
         if cut:
             prefix = materialise(prefix)
         frames[v] = prefix.withColumn("freq", freq)
-    return RunSummary(variables, [v for v in variables if v in gen.query.output], frames)
+    return RunSummary(variables, [v for v in variables if v in gen.query.output], frames, kept=cut)
 
 
 def composite(gen: Generator) -> list[tuple[list[str], DataFrame]]:
-    """Levels with all variables of one depth: (new variables, prefix frame with freq); siblings multiply out."""
-    summary, out, seen = generate(gen), [], set()
-    for level in gen.levels():
-        seen |= set(level)
-        # the level is complete once its last variable in generation order is expanded with all before it observed
-        names = [v for v in summary.variables if v in seen]
-        if set(summary.variables[: len(names)]) == seen:
-            out.append((level, summary.runs(names[-1])))
-    return out
+    """Levels with all variables of one depth: (new variables, prefix frame with freq), none left out.
+
+    Below one parent key the values of a level's siblings multiply out: the product of their conditionals, which have
+    the key in common and nothing else.
+    """
+    levels = gen.levels()
+    summary = generate(gen, sequence=[v for level in levels for v in level])
+    return [(level, summary.runs(level[-1])) for level in levels]
 
 
 def from_rows(df: DataFrame, columns: list[str], runs: str = "prefix") -> dict[str, DataFrame]:
@@ -107,19 +100,31 @@ def from_rows(df: DataFrame, columns: list[str], runs: str = "prefix") -> dict[s
 def prefix_sum(df: DataFrame, order: list[str], value: str, name: str) -> DataFrame:
     """Exclusive running sum in a global order, without one task that sees all rows.
 
-    Rows are range-partitioned and kept; the sums of the partitions (one number each) are added up on the driver, and
-    each partition adds its offset to its own running sum.
+    Rows are range-partitioned, sorted and kept; the sums of the partitions (one number each) are added up on the driver,
+    and each partition goes on from its offset, where it lies. A total beyond 64 bits raises.
     """
     keys = [F.col(c).asc_nulls_first() for c in order]
-    ranged = materialise(df.repartitionByRange(*keys).withColumn("pid__", F.spark_partition_id()))
-    sums = sorted((r[0], r[1]) for r in ranged.groupBy("pid__").agg(F.sum(value)).collect())
+    ranged = materialise(df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn("pid__", F.spark_partition_id()))
+    sums = sorted((r[0], r[1]) for r in ranged.groupBy("pid__").agg(F.sum(F.col(value).cast("decimal(38,0)"))).collect())
     offset, before = {}, 0
     for pid, s in sums:
-        offset[pid], before = before, before + s
-    base = ranged.sparkSession.createDataFrame(list(offset.items()) or [(0, 0)], "pid__ int, base__ long")
-    within = Window.partitionBy("pid__").orderBy(*keys).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    summed = ranged.withColumn(name, F.sum(value).over(within) - F.col(value))
-    return summed.join(F.broadcast(base), "pid__").withColumn(name, (F.col(name) + F.col("base__")).cast("long")).drop("pid__", "base__")
+        offset[pid], before = before, before + int(s or 0)
+    if before >= 1 << 63:
+        raise OverflowError(f"{before} rows are beyond 64-bit positions")
+    kept, at = df.columns, df.columns.index(value)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for batch in batches:
+            if total is None and batch.num_rows:
+                total = offset[batch.column(len(kept))[0].as_py()]
+            values = batch.column(at).to_numpy(zero_copy_only=False).astype(np.int64)
+            ends = (total or 0) + np.cumsum(values)
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(kept)], pa.array(ends - values, pa.int64())], [*kept, name])
+            total = int(ends[-1]) if len(ends) else total
+
+    schema = ranged.drop("pid__").withColumn(name, F.lit(0).cast("long")).schema
+    return ranged.mapInArrow(run, schema)
 
 
 def merge_runs(column: DataFrame) -> DataFrame:

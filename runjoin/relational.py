@@ -7,12 +7,14 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+import uuid
+
 from .functions import udfs
-from .operators import pipeline, potentials
-from .sources import store
+from .operators import eliminate, pipeline, potentials
+from .sources import datasource, store
 from .sources.tables import table
 from .streaming import potentials as streams
-from .workloads import JOINS, _folder, w10
+from .workloads import JOINS, OUT, _folder, _nest, _q, w01, w10
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -180,3 +182,108 @@ def e50_run_sum(s, d):
     pairs = F.collect_list(F.struct(F.length("priority").cast("long").alias("value"), "freq"))
     runs.groupBy("segment").agg(pairs.alias("runs")).createOrReplaceTempView("runs_of_priority")
     return s.sql("SELECT segment, run_sum(runs) AS letters FROM runs_of_priority")
+
+
+@_query("SELECT o_custkey, count(*) AS n FROM orders GROUP BY 1")
+def e06_bucketed_sink(s, d):
+    """A table bucketed by its group key is counted without a shuffle."""
+    name = f"bucketed_orders_{uuid.uuid4().hex}"
+    orders = table(s, d, "orders", ["o_custkey", "o_orderkey"])
+    orders.write.bucketBy(8, "o_custkey").sortBy("o_custkey").option("path", _folder(s, "bucketed")).saveAsTable(name)
+    return s.table(name).groupBy("o_custkey").agg(F.count(F.lit(1)).alias("n"))
+
+
+@_query(f"SELECT {_q(OUT['w01'])} FROM {_nest('w01')} j WHERE nation BETWEEN 3 AND 5")
+def e05_summary_source_filtered_w01(s, d):
+    """Ranges of rows without such nations are not expanded, where the session pushes filters to Python sources."""
+    path = _folder(s, "summary")
+    pipeline.summarise_to(w01(s, d), path)
+    datasource.register(s)
+    before = s.conf.get("spark.sql.python.filterPushdown.enabled", "false")
+    s.conf.set("spark.sql.python.filterPushdown.enabled", "true")
+    try:
+        return s.read.format("runsummary").option("rows", 4096).option("push", "true").load(path).filter("nation >= 3 and nation <= 5").checkpoint()
+    finally:
+        s.conf.set("spark.sql.python.filterPushdown.enabled", before)
+
+
+@_query("SELECT c_custkey, event_id FROM events RIGHT JOIN customer ON user_id = c_custkey")
+def e13_right_join(s, d):
+    return table(s, d, "events", ["user_id", "event_id"]).join(table(s, d, "customer", ["c_custkey"]), F.col("user_id") == F.col("c_custkey"), "right").select("c_custkey", "event_id")
+
+
+@_query("SELECT s_suppkey, c_custkey FROM supplier FULL JOIN customer ON s_nationkey = c_nationkey AND s_acctbal > 9000 AND c_acctbal > 9000")
+def e13_full_join(s, d):
+    on = (F.col("s_nationkey") == F.col("c_nationkey")) & (F.col("s_acctbal") > 9000) & (F.col("c_acctbal") > 9000)
+    return table(s, d, "supplier").join(table(s, d, "customer"), on, "full").select("s_suppkey", "c_custkey")
+
+
+@_query("SELECT l_suppkey, true AS near FROM lineitem GROUP BY 1")
+def e22_approx_distinct(s, d):
+    """The sketch's count lies within a fifth of the exact one (its standard error is a twentieth)."""
+    counts = table(s, d, "lineitem", ["l_suppkey", "l_partkey"]).groupBy("l_suppkey").agg(F.approx_count_distinct("l_partkey").alias("a"), F.countDistinct("l_partkey").alias("n"))
+    return counts.select("l_suppkey", (F.abs(F.col("a") - F.col("n")) <= 0.2 * F.col("n")).alias("near"))
+
+
+@_query(f"SELECT segment, priority, flag, count(*) AS n FROM {_nest('w10')} j GROUP BY GROUPING SETS ((segment, priority), (flag), ())")
+def e23_grouping_sets_w10(s, d):
+    """Over the runs of the summary, by their lengths."""
+    runs = pipeline.summarise(w10(s, d)).deepest
+    sets = [["segment", "priority"], ["flag"], []]
+    columns = [F.col(c) for c in ("segment", "priority", "flag")]
+    return runs.groupingSets([[F.col(c) for c in x] for x in sets], *columns).agg(F.sum("freq").cast("long").alias("n"))
+
+
+@_query("SELECT event_id, CAST(props ->> '$.k' AS BIGINT) AS k, '{\"twice\":' || 2 * CAST(props ->> '$.k' AS BIGINT) || '}' AS again FROM events")
+def e39_json_structs(s, d):
+    parsed = F.from_json("props", "k long")["k"]
+    return table(s, d, "events").select("event_id", parsed.alias("k"), F.to_json(F.struct((parsed * 2).alias("twice"))).alias("again"))
+
+
+@_query("SELECT time_bucket(INTERVAL 15 MINUTE, ts) - k * INTERVAL 15 MINUTE AS begins, event_type, count(*) AS n FROM events, range(4) r(k) GROUP BY 1, 2")
+def e42_stream_sliding(s, d):
+    """Hours that begin every quarter."""
+    counts = streams.drained(streams.windowed(streams.events(s, d), ["event_type"], "1 hour", "15 minutes"))
+    return counts.select(F.col("window.start").cast("timestamp_ntz").alias("begins"), "event_type", "n")
+
+
+@_query("WITH o AS (SELECT *, lag(ts) OVER (PARTITION BY user_id ORDER BY ts) AS before FROM events), g AS (SELECT *, sum(CASE WHEN before IS NULL OR ts >= before + INTERVAL 2 HOUR THEN 1 ELSE 0 END) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM o) SELECT user_id, min(ts) AS begins, count(*) AS n FROM g GROUP BY user_id, session")
+def e42_stream_sessions(s, d):
+    """Sessions end after two hours without an event; a watermark of ten years keeps all rows."""
+    counts = streams.drained(streams.sessions(streams.events(s, d), ["user_id"], "2 hours", "3650 days"))
+    return counts.select("user_id", F.col("session_window.start").cast("timestamp_ntz").alias("begins"), "n")
+
+
+@_query("WITH h AS (SELECT date_trunc('day', ts) AS day, count(*) AS n FROM events GROUP BY 1) SELECT day, n FROM h WHERE day <> (SELECT min(day) FROM h)")
+def e42_stream_late_rows(s, d):
+    """Three batches: all but the first day, one row far ahead (left out below), and at last the first day's rows: behind the watermark, dropped."""
+    events = table(s, d, "events", ["ts", "event_id"]).withColumn("ts", F.col("ts").cast("timestamp"))
+    first = events.agg(F.date_trunc("day", F.min("ts")).alias("low")).first()["low"]
+    ahead = events.agg((F.max("ts") + F.expr("INTERVAL 40 DAYS")).alias("ts")).withColumn("event_id", F.lit(-1).cast("long"))
+    path = _folder(s, "late")
+    late = F.date_trunc("day", "ts") == F.lit(first)
+    for number, part in enumerate((events.filter(~late), ahead, events.filter(late))):
+        part.coalesce(1).write.parquet(f"{path}/in/part={number}")
+    stream = s.readStream.schema("ts timestamp, event_id long, part int").option("maxFilesPerTrigger", 1).option("latestFirst", False).parquet(f"{path}/in").filter("event_id >= 0 or part = 1")
+    counts = streams.drained(streams.windowed(stream, [], "1 day", late="1 hour"), "append")
+    return counts.select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n")
+
+
+@_query("SELECT CAST(2 * count(*) AS BIGINT) AS join_size FROM events JOIN orders ON user_id = o_custkey")
+def e43_stream_rebuilt_size(s, d):
+    """The size of a join whose one potential has grown by a stream: messages are made anew from the merged potential."""
+    ev = table(s, d, "events", ["user_id"]).toDF("cust")
+    od = table(s, d, "orders", ["o_custkey", "o_orderpriority"]).toDF("cust", "priority")
+    query = pipeline.JoinQuery({"e": ev, "o": od}, ["cust", "priority"])
+    base = potentials.of_query(query)
+    grown = streams.merged(streams.events(s, d).select(F.col("user_id").alias("cust")), base["e"], ["cust"], _folder(s, "stream"))
+    phis = base | {"e": s.read.parquet(grown)}
+    return eliminate.join_size(query, phis).select(F.col("join_size").cast("long"))
+
+
+@_query("SELECT count(*) AS join_size FROM orders JOIN customer ON o_custkey = c_custkey JOIN supplier ON c_nationkey = s_nationkey WHERE c_mktsegment = 'BUILDING'")
+def e50_join_size_sql(s, d):
+    for t in ("orders", "customer", "supplier"):
+        table(s, d, t).createOrReplaceTempView(t)
+    sql = "SELECT o.o_orderpriority, s.s_suppkey FROM orders o, customer c, supplier s WHERE o.o_custkey = c.c_custkey AND c.c_nationkey = s.s_nationkey AND c.c_mktsegment = 'BUILDING'"
+    return udfs.join_size_sql(s, sql).select(F.col("join_size").cast("long"))

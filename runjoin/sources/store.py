@@ -32,14 +32,20 @@ def write(summary: RunSummary, path: str, format: str = "parquet", runs: str = "
         schemas[name] = column.schema.json()
         column.write.mode("overwrite").options(**(_CSV if format == "csv" else {})).format(format).save(f"{path}/col={name}")
     spark = summary.frames[summary.variables[0]].sparkSession
-    _manifest(spark, path, {"columns": summary.shown, "format": format, "schemas": schemas})
+    first = read_column(spark, path, summary.shown[0], format, schemas[summary.shown[0]])
+    total = first.agg(F.coalesce(F.sum("freq"), F.lit(0)).cast("long")).first()[0]
+    _manifest(spark, path, {"columns": summary.shown, "format": format, "schemas": schemas, "rows": total})
+
+
+def read_column(spark: SparkSession, path: str, name: str, format: str, schema: str) -> DataFrame:
+    reader = spark.read.schema(StructType.fromJson(json.loads(schema))).options(**(_CSV if format == "csv" else {}))
+    return reader.format(format).load(f"{path}/col={name}")
 
 
 def read(spark: SparkSession, path: str) -> dict[str, DataFrame]:
     """Columns (start, freq, value) by name; expand them with ``expand.from_columns``."""
     m = _contents(spark, path)
-    options = _CSV if m["format"] == "csv" else {}
-    return {n: spark.read.schema(StructType.fromJson(json.loads(m["schemas"][n]))).options(**options).format(m["format"]).load(f"{path}/col={n}") for n in m["columns"]}
+    return {n: read_column(spark, path, n, m["format"], m["schemas"][n]) for n in m["columns"]}
 
 
 def write_generator(gen: Generator, path: str) -> None:
@@ -64,7 +70,7 @@ def read_generator(spark: SparkSession, path: str) -> Generator:
     return Generator(shape, m["order"], psis, {}, set(m["safe"]))
 
 
-def csv(spark: SparkSession, path: str, schema: str) -> DataFrame:
+def csv(spark: SparkSession, path: str, schema: str | StructType) -> DataFrame:
     return spark.read.schema(schema).options(**_CSV).csv(path)
 
 

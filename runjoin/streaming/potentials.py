@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -10,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.potentials import add
+from ..sources.scratch import folder, remove
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -48,28 +48,57 @@ def per_key_counts(stream: DataFrame, key: str) -> DataFrame:
     return stream.groupBy(key).applyInPandasWithState(step, f"{key} long, n long", "n long", "update", "NoTimeout")
 
 
-def merged(stream: DataFrame, base: DataFrame, variables: list[str], path: str) -> str:
-    """Add the counts of every micro-batch to a stored potential; returns where the last version lies.
+def merged(stream: DataFrame, base: DataFrame, variables: list[str], path: str, compact_every: int = 16) -> str:
+    """Add the counts of every micro-batch to a stored potential; returns where the sum lies at the end.
 
-    Each batch writes a version of its own, named by the batch, so a batch that runs again replaces its own output.
+    Each batch writes its own counts only, under its number, so a batch that runs again replaces its own output. Every
+    ``compact_every`` batches (and at the end) base and deltas become a new base, named by the batch, and the files it was
+    made from go.
     """
     spark = stream.sparkSession
-    last = {"path": f"{path}/base"}
-    base.write.mode("overwrite").parquet(last["path"])
+    state = {"base": f"{path}/base", "deltas": []}
+    base.write.mode("overwrite").parquet(state["base"])
+
+    def compact(name: str) -> None:
+        if not state["deltas"]:
+            return
+        old = [state["base"], *state["deltas"]]
+        add(*[spark.read.parquet(p) for p in old]).write.mode("overwrite").parquet(f"{path}/{name}")
+        state["base"], state["deltas"] = f"{path}/{name}", []
+        for p in old:
+            remove(p)
 
     def fold(batch: DataFrame, number: int) -> None:
-        before = f"{path}/v{number - 1}" if number else f"{path}/base"
-        delta = batch.groupBy(*variables).agg(F.count(F.lit(1)).alias("n"))
-        last["path"] = f"{path}/v{number}"
-        add(spark.read.parquet(before), delta).write.mode("overwrite").parquet(last["path"])
+        batch.groupBy(*variables).agg(F.count(F.lit(1)).alias("n")).write.mode("overwrite").parquet(f"{path}/delta-{number}")
+        state["deltas"].append(f"{path}/delta-{number}")
+        if len(state["deltas"]) >= compact_every:
+            compact(f"base-{number}")
 
     stream.writeStream.foreachBatch(fold).trigger(availableNow=True).option("checkpointLocation", f"{path}/progress").start().awaitTermination()
-    return last["path"]
+    compact("base-end")
+    return state["base"]
 
 
-def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Run to the end of what is there; the result as a table in memory (for tests and small results)."""
-    name = f"drained_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+def drained(stream: DataFrame, mode: str = "complete", keys: list[str] = (), path: str | None = None) -> DataFrame:
+    """Run to the end of what is there; the result lies on shared files, none of it on the driver.
+
+    ``complete``: each batch replaces the result. ``append``: batches lie one beside another. ``update``: of each of ``keys``
+    the row of the last batch counts. A batch that runs again replaces its own files.
+    """
+    spark = stream.sparkSession
+    path = path or folder(spark, "drained")
+    schema = stream.schema
+
+    def keep(batch: DataFrame, number: int) -> None:
+        part = "all" if mode == "complete" else f"batch={number}"
+        batch.write.mode("overwrite").parquet(f"{path}/rows/{part}")
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{path}/progress").start().awaitTermination()
+    if mode == "complete":
+        return spark.read.schema(schema).parquet(f"{path}/rows/all")
+    rows = spark.read.schema(schema.add("batch", "long") if mode == "update" else schema).option("basePath", f"{path}/rows").parquet(f"{path}/rows")
+    if mode == "append":
+        return rows.select(*schema.names)
+    names = [c for c in schema.names if c != "batch"]
+    last = rows.groupBy(*keys).agg(F.max_by(F.struct(*names), "batch").alias("r"))
+    return last.select("r.*")

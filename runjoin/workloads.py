@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -14,7 +13,7 @@ from .operators.bagjoin import potential_join
 from .plans import cover, graph
 from .plans.spec import JoinQuery, natural, restrict
 from .sources import datasource, store
-from .sources.scratch import materialise
+from .sources.scratch import folder as _folder
 from .sources.tables import FOLLOWS_SQL, PLAYS_SQL, follows, plays, table
 from .streaming import potentials as streams
 
@@ -81,8 +80,12 @@ def w08(s, d):
     return natural({"p": plays(s, d, "u1", "art1"), "f": follows(s, d, "u1", "u2"), "g": follows(s, d, "u2", "u3"), "h": follows(s, d, "u3", "u4"), "q": plays(s, d, "u4", "art2")}, ["u1", "art1", "u2", "u3", "u4", "art2"])
 
 
-def w09(s, d):
-    return natural({"p": plays(s, d, "u1", "ar"), "f": follows(s, d, "u1", "u2"), "g": follows(s, d, "u2", "u3"), "h": follows(s, d, "u3", "u4"), "q": plays(s, d, "u4", "ar")}, ["u4", "u3", "u2", "u1", "ar"], ["ar", "u1", "u2", "u3", "u4"])
+#: Elimination order that gives W09's columns in the order of its output.
+CYCLE_ORDER = ["ar", "u1", "u2", "u3", "u4"]
+
+
+def w09(s, d, order=None):
+    return natural({"p": plays(s, d, "u1", "ar"), "f": follows(s, d, "u1", "u2"), "g": follows(s, d, "u2", "u3"), "h": follows(s, d, "u3", "u4"), "q": plays(s, d, "u4", "ar")}, ["u4", "u3", "u2", "u1", "ar"], order)
 
 
 def w10(s, d):
@@ -166,11 +169,6 @@ def _wide(df: DataFrame, *columns: str) -> DataFrame:
     return df.withColumns({c: F.col(c).cast("long") for c in columns})
 
 
-def _folder(spark: SparkSession, label: str) -> str:
-    root = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.sparkContext.getCheckpointDir() or "file:///tmp/checkpoints"
-    return f"{root}/{label}-{uuid.uuid4().hex}"
-
-
 # flat results, join sizes, runs of each column
 for _w in OUT:
     if _w not in ("w02", "w06", "w08"):
@@ -182,7 +180,7 @@ for _w in ("w01", "w03", "w05", "w09", "w10"):
     for _i, _c in enumerate(OUT[_w]):
         _own = OUT[_w][: _i + 1]
         _add(
-            f"a36_column_{_w}_{_c}", lambda s, d, w=_w, c=_c: pipeline.summarise(BUILD[w](s, d), cut=True).column(c),
+            f"a36_column_{_w}_{_c}", lambda s, d, w=_w, c=_c: pipeline.summarise(BUILD[w](s, d), cut=True, order=CYCLE_ORDER if w == "w09" else None).column(c),
             f"WITH r AS (SELECT {_q(_own)}, count(*) AS freq FROM {_nest(_w)} j GROUP BY {_q(_own)}) SELECT CAST(coalesce(sum(freq) OVER (ORDER BY {_q(_own)} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start, freq, \"{_c}\" AS value FROM r",
         )
 _W04 = "WITH pf AS (SELECT l_partkey AS part, l_returnflag AS flag, count(*) AS n FROM lineitem GROUP BY 1, 2), ps AS (SELECT l_partkey AS part, l_suppkey AS supp, count(*) AS n FROM lineitem GROUP BY 1, 2), sf AS (SELECT supp, flag, sum(pf.n * ps.n) AS n FROM pf JOIN ps USING (part) GROUP BY 1, 2)"
@@ -198,7 +196,37 @@ _phi = lambda s, d: potentials.build(_items(s, d, supp="l_suppkey", flag="l_retu
 
 
 def _a16(s, d):
-    return potentials.Catalog(_folder(s, "catalog")).marginal("lineitem", _items(s, d, supp="l_suppkey", flag="l_returnflag"), ["supp", "flag"], ["supp"])
+    """The second catalog on a folder finds what the first has built, and sums a stored potential up for a narrower one."""
+    path, items = _folder(s, "catalog"), _items(s, d, supp="l_suppkey", flag="l_returnflag")
+    potentials.Catalog(path).get_or_build("lineitem", items, ["supp", "flag"])
+    later = potentials.Catalog(path)
+    found = later.get_or_build("lineitem", items, ["supp"])
+    if later.built != [("lineitem", ("supp",), "wider")]:
+        raise ValueError(f"the catalog scanned again: {later.built}")
+    return found
+
+
+def _warm(w):
+    """Join size from potentials that another catalog has left on files."""
+
+    def run(s, d):
+        path, q = _folder(s, "catalog"), BUILD[w](s, d)
+        potentials.Catalog(path).of_query(q)
+        later = potentials.Catalog(path)
+        phis = later.of_query(q)
+        if later.built:
+            raise ValueError(f"the catalog scanned again: {later.built}")
+        return _wide(eliminate.join_size(q, phis=phis), "join_size")
+
+    return run
+
+
+def _warm_join(w):
+    def run(s, d):
+        q = BUILD[w](s, d)
+        return pipeline.join(q, phis=potentials.Catalog(_folder(s, "catalog")).of_query(q))
+
+    return run
 
 
 _add("a16_catalog_marginal", _a16, "SELECT l_suppkey AS supp, count(*) AS n FROM lineitem GROUP BY 1")
@@ -218,12 +246,16 @@ _add("a60_column_marginal_w09", lambda s, d: eliminate.marginal(w09(s, d), ["ar"
 _add("a25_conditional_w05_art2", lambda s, d: eliminate.build_generator(w05(s, d)).by("art2").table(), f"SELECT user_id AS u2, art AS art2, count(*) AS bucket, CAST(1 AS BIGINT) AS fac FROM {PLAYS_SQL} GROUP BY 1, 2")
 _add("a25_conditional_w05_u2", lambda s, d: eliminate.build_generator(w05(s, d)).by("u2").table(), f"SELECT src AS u1, dst AS u2, count(*) AS bucket, any_value(k) AS fac FROM {FOLLOWS_SQL} f JOIN (SELECT user_id, count(*) AS k FROM {PLAYS_SQL} GROUP BY 1) ON user_id = dst GROUP BY 1, 2")
 _add("a27_root_w05", lambda s, d: eliminate.build_generator(w05(s, d)).root, f"SELECT u1, count(*) AS n FROM {_nest('w05')} j GROUP BY 1")
-_add("a28_message_w09_u1", lambda s, d: eliminate.build_generator(w09(s, d)).messages["ar"].select("u1", "u4", "n"), f"WITH p AS {PLAYS_SQL} SELECT a.user_id AS u1, b.user_id AS u4, count(*) AS n FROM p a JOIN p b ON a.art = b.art GROUP BY 1, 2")
+_add("a28_message_w09_u1", lambda s, d: eliminate.build_generator(w09(s, d, CYCLE_ORDER)).messages["ar"].select("u1", "u4", "n"), f"WITH p AS {PLAYS_SQL} SELECT a.user_id AS u1, b.user_id AS u4, count(*) AS n FROM p a JOIN p b ON a.art = b.art GROUP BY 1, 2")
 _add("a39_other_root_w05", lambda s, d: pipeline.join(w05(s, d), root="art2").select(*OUT["w05"]), f"SELECT {_q(OUT['w05'])} FROM {_nest('w05')} j")
 _add("a10_bad_order_w05", lambda s, d: expand.flatten(summary.generate(eliminate.build_generator(w05(s, d), order=["u1", "art1", "u2", "art2"]))).select(*OUT["w05"]), f"SELECT {_q(OUT['w05'])} FROM {_nest('w05')} j")
-_add("a50_estimate_from_catalog", lambda s, d: _wide(eliminate.join_size(w10(s, d), phis={k: materialise(v) for k, v in potentials.of_query(w10(s, d)).items()}), "join_size"), f"SELECT count(*) AS join_size FROM {_nest('w10')} j")
+_add("a50_estimate_from_catalog", _warm("w10"), f"SELECT count(*) AS join_size FROM {_nest('w10')} j")
+for _w in ("w01", "w10"):
+    _add(f"w19_stored_potentials_{_w}", _warm_join(_w), f"SELECT {_q(OUT[_w])} FROM {_nest(_w)} j")
 _add("e15_reduced_w03", lambda s, d: _sizes(eliminate.reduce(w03(s, d))), "WITH c AS (SELECT * FROM customer WHERE c_custkey IN (SELECT user_id FROM events) AND c_custkey IN (SELECT o_custkey FROM orders) AND c_nationkey IN (SELECT s_nationkey FROM supplier)) SELECT 'e' AS t, count(*) AS n FROM events WHERE user_id IN (SELECT c_custkey FROM c) UNION ALL SELECT 'o', count(*) FROM orders WHERE o_custkey IN (SELECT c_custkey FROM c) UNION ALL SELECT 'c', count(*) FROM c UNION ALL SELECT 's', count(*) FROM supplier WHERE s_nationkey IN (SELECT c_nationkey FROM c)")
-_add("a56_independence_w03", lambda s, d: measures.conditional_independence(w03(s, d), "type", "priority", "cust").agg(F.count(F.lit(1)).alias("violations")), "SELECT CAST(0 AS BIGINT) AS violations")
+_INDEPENDENT = "WITH j AS ({join}), p AS (SELECT ac.a, bc.b, ac.g, ac.n AS n_ac, bc.n AS n_bc, c.n AS n_c FROM (SELECT type AS a, {g} AS g, count(*) AS n FROM j GROUP BY ALL) ac JOIN (SELECT priority AS b, {g} AS g, count(*) AS n FROM j GROUP BY ALL) bc USING (g) JOIN (SELECT {g} AS g, count(*) AS n FROM j GROUP BY ALL) c USING (g)) SELECT count(*) AS violations FROM p LEFT JOIN (SELECT type AS a, priority AS b, {g} AS g, count(*) AS n FROM j GROUP BY ALL) t USING (a, b, g) WHERE coalesce(t.n, 0) * n_c <> n_ac * n_bc"
+for _g in ("cust", "nation"):  # the customer separates events from orders, the nation doesn't
+    _add(f"a56_independence_given_{_g}", lambda s, d, g=_g: measures.conditional_independence(w03(s, d), "type", "priority", g).agg(F.count(F.lit(1)).alias("violations")), _INDEPENDENT.format(join=JOINS["w03"], g=_g))
 
 
 def _sizes(q: JoinQuery) -> DataFrame:
@@ -242,13 +274,40 @@ _add("a31_single_bag_w09", lambda s, d: potential_join(list(potentials.of_query(
 _add("e49_trie_cells_w13", lambda s, d: potential_join(list(potentials.of_query(w13(s, d)).values()), ["supp", "part", "order"], "hypercube", trie="sorted", shares={"supp": 2, "part": 4, "order": 1}), _BAG)
 
 # summaries
-_add("a35_composite_w03", lambda s, d: summary.composite(eliminate.build_generator(w03(s, d)))[-1][1].select(*OUT["w03"], "freq"), f"SELECT {_q(OUT['w03'])}, count(*) AS freq FROM {_nest('w03')} j GROUP BY ALL")
+_LEVELS = [["nation"], ["cust", "supp"], ["type", "priority"]]
+
+
+def _level(k):
+    """Level k of W03 with the customer above the event types: one composite run a tuple of the level and all before it."""
+
+    def run(s, d):
+        q = natural(w03(s, d).tables, ["nation", "cust", "type", "supp", "priority"])
+        levels = summary.composite(eliminate.build_generator(q))
+        if [set(names) for names, _ in levels] != [set(x) for x in _LEVELS]:
+            raise ValueError(f"levels are {[names for names, _ in levels]}")
+        return levels[k][1]
+
+    return run
+
+
+for _k in range(3):
+    _own = [v for level in _LEVELS[: _k + 1] for v in level]
+    _add(f"a35_composite_w03_level{_k}", _level(_k), f"SELECT {_q(_own)}, count(*) AS freq FROM {_nest('w03')} j GROUP BY ALL")
 _MAX = "WITH j AS ({join}), o AS (SELECT \"{c}\" AS value, row_number() OVER (ORDER BY {own}) AS rn, lag(\"{c}\") OVER (ORDER BY {own}) AS p FROM j), g AS (SELECT value, rn, sum(CASE WHEN p IS NULL OR p <> value THEN 1 ELSE 0 END) OVER (ORDER BY rn) AS island FROM o) SELECT min(rn) - 1 AS start, count(*) AS freq, any_value(value) AS value FROM g GROUP BY island"
 _add("a38_maximal_runs_w05_u2", lambda s, d: summary.merge_runs(pipeline.summarise(w05(s, d)).column("u2")), _MAX.format(join=JOINS["w05"], c="u2", own="u1, art1, u2"))
 _add("a37_from_rows_w05_u2", lambda s, d: summary.from_rows(baselines.binary(w05(s, d)), ["u1", "art1", "u2"], "maximal")["u2"], _MAX.format(join=JOINS["w05"], c="u2", own="u1, art1, u2"))
 _add("a53_aggregates_w01", lambda s, d: _wide(summary.aggregate(pipeline.summarise(w01(s, d)), ["nation", "segment"], rows=("count", "*"), total=("sum", "supp"), least=("min", "supp"), most=("max", "supp")), "rows", "total"), f"SELECT nation, segment, count(*) AS rows, CAST(sum(supp) AS BIGINT) AS total, min(supp) AS least, max(supp) AS most FROM {_nest('w01')} j GROUP BY 1, 2")
 _add("a54_slice_w01", lambda s, d: expand.slice_rows(pipeline.summarise(w01(s, d)), 1000, 100), f"SELECT {_q(OUT['w01'])} FROM (SELECT *, row_number() OVER (ORDER BY {_q(OUT['w01'])}) AS rn FROM {_nest('w01')} j) WHERE rn > 1000 AND rn <= 1100")
-_add("a54_sample_w01", lambda s, d: expand.sample(pipeline.summarise(w01(s, d)), 500, 3))
+
+
+def _sampled(s, d):
+    """Rows drawn, and how many of them are rows of the join."""
+    drawn = expand.sample(pipeline.summarise(w01(s, d)), 500, 3).withColumn("draw", F.monotonically_increasing_id())
+    real = baselines.binary(w01(s, d)).distinct()
+    return drawn.join(real, OUT["w01"], "left_semi").agg(F.count(F.lit(1)).alias("members")).crossJoin(drawn.agg(F.count(F.lit(1)).alias("drawn")))
+
+
+_add("a54_sample_w01", _sampled, "SELECT CAST(500 AS BIGINT) AS members, CAST(500 AS BIGINT) AS drawn")
 _add("a52_cross_product", lambda s, d: pipeline.join(natural({"r": table(s, d, "region", ["r_name"]), "n": table(s, d, "nation", ["n_name", "n_regionkey"])}, ["r_name", "n_name", "n_regionkey"])), "SELECT r_name, n_name, n_regionkey FROM region, nation")
 _add("e32_top_suppliers_w04", lambda s, d: eliminate.build_generator(w04(s, d), root="supp").root.orderBy(F.desc("n"), "supp").limit(5), f"{_W04} SELECT a.supp, CAST(sum(a.n * b.n) AS BIGINT) AS n FROM sf a JOIN sf b USING (supp) GROUP BY 1 ORDER BY n DESC, supp LIMIT 5")
 _add("a15_worked_example_w15", lambda s, d: pipeline.summarise(w15(s)).deepest.select("a", "b", "c", "d", "freq"), "SELECT * FROM (VALUES ('a3', 'b3', 'c2', 'd2', 8::BIGINT), ('a3', 'b4', 'c3', 'd3', 16), ('a3', 'b4', 'c4', 'd4', 8)) AS t(a, b, c, d, freq)")
@@ -290,11 +349,16 @@ _add("e05_summary_source_w01", _as_source, f"SELECT {_q(OUT['w01'])} FROM {_nest
 _add("b10_flat_files_w05", _flat_files, f"SELECT {_q(OUT['w05'])} FROM {_nest('w05')} j")
 
 # baselines
-for _b in ("shuffle_hash", "merge", "broadcast", "auto"):
-    _add(f"b_binary_{_b}_w10", lambda s, d, b=_b: baselines.binary(w10(s, d), b), f"SELECT {_q(OUT['w10'])} FROM {_nest('w10')} j")
+for _w, _algos in {"w10": ("shuffle_hash", "merge", "broadcast", "auto"), "w01": ("shuffle_hash", "merge", "auto"), "w03": ("auto",), "w05": ("shuffle_hash", "merge", "auto"), "w07": ("auto",), "w09": ("merge", "auto"), "w11": ("auto",)}.items():
+    for _b in _algos:
+        _add(f"b_binary_{_b}_{_w}", lambda s, d, w=_w, b=_b: baselines.binary(BUILD[w](s, d), b), f"SELECT {_q(OUT[_w])} FROM {_nest(_w)} j")
+for _w in ("w05", "w10"):
+    _add(f"b05_bucketed_{_w}", lambda s, d, w=_w: baselines.bucketed(BUILD[w](s, d), _folder(s, "bucketed")), f"SELECT {_q(OUT[_w])} FROM {_nest(_w)} j")
+_add("b09_wcoj_csv_w09", lambda s, d: baselines.wcoj_csv(w09(s, d), _folder(s, "csv")), f"SELECT {_q(OUT['w09'])} FROM {_nest('w09')} j")
 _add("b03_nested_loop_w14n", lambda s, d: baselines.binary(natural({"r": table(s, d, "region").select(F.col("r_regionkey").alias("k"), "r_name"), "n": table(s, d, "nation").select(F.col("n_regionkey").alias("k"), "n_name")}, ["r_name", "n_name"]), "nested_loop"), "SELECT r_name, n_name FROM region JOIN nation ON r_regionkey = n_regionkey")
-for _b in ("generic", "leapfrog", "hash_trie", "heavy_light"):
-    _add(f"b07_wcoj_{_b}_w09", lambda s, d, b=_b: baselines.wcoj(w09(s, d), b), f"SELECT {_q(OUT['w09'])} FROM {_nest('w09')} j")
+for _w, _variants in {"w09": ("generic", "leapfrog", "hash_trie", "heavy_light"), "w13": ("generic", "leapfrog", "hash_trie", "heavy_light"), "w05": ("generic", "leapfrog"), "w01": ("generic",)}.items():
+    for _b in _variants:
+        _add(f"b07_wcoj_{_b}_{_w}", lambda s, d, w=_w, b=_b: baselines.wcoj(BUILD[w](s, d), b), f"SELECT {_q(OUT[_w])} FROM {_nest(_w)} j")
 _add("b08_wcoj_random_order_w05", lambda s, d: baselines.wcoj(w05(s, d), "generic", "random", 3), f"SELECT {_q(OUT['w05'])} FROM {_nest('w05')} j")
 
 # measures
@@ -317,7 +381,21 @@ def _plan_table(s, d):
     return s.createDataFrame(rows, "workload string, shape string, rho string, largest_bag int, fill_ins int")
 
 
-_add("c11_plan_statistics", _plan_table)
+#: Worked out by hand from the query graphs: shape, edge cover, variables of the largest bag, fill-ins.
+_PLANS = {
+    "w01": ("acyclic", "3", 3, 0), "w02": ("chain", "2", 2, 0), "w03": ("tree", "3", 2, 0), "w04": ("chain", "3", 2, 0), "w05": ("chain", "2", 2, 0), "w06": ("chain", "2", 2, 0),
+    "w07": ("chain", "3", 2, 0), "w08": ("chain", "3", 2, 0), "w09": ("cyclic", "5/2", 3, 2), "w10": ("acyclic", "3", 3, 0), "w10k": ("acyclic", "2", 3, 0), "w11": ("acyclic", "4", 3, 0),
+    "w13": ("cyclic", "3/2", 3, 0), "w14": ("cyclic", "3", 3, 1),
+}
+
+
+def _values(rows: list[tuple], columns: str) -> str:
+    """SQL of literal rows."""
+    word = lambda x: "'" + x + "'" if isinstance(x, str) else str(x)
+    return "SELECT * FROM (VALUES " + ", ".join("(" + ", ".join(map(word, r)) + ")" for r in rows) + f") AS t({columns})"
+
+
+_add("c11_plan_statistics", _plan_table, _values([(w, *x) for w, x in _PLANS.items()], "workload, shape, rho, largest_bag, fill_ins"))
 _RHO = {"w09": "5/2", "w13": "3/2", "w05": "2", "w01": "3", "w14": "3"}
 _add("a04_edge_cover", lambda s, d: s.createDataFrame([(w, str(cover.fractional_edge_cover(BUILD[w](s, d).scopes)[0])) for w in _RHO], "w string, rho string"), "SELECT * FROM (VALUES " + ", ".join(f"('{k}', '{v}')" for k, v in _RHO.items()) + ") t(w, rho)")
 
@@ -374,7 +452,7 @@ _add("e48_rle_encode", lambda s, d: udfs.rle_encode(table(s, d, "events", ["user
 # streams
 _add("e41_stream_potential", lambda s, d: streams.drained(streams.potential(streams.events(s, d), ["user_id", "event_type"])), "SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 _add("e42_stream_hours", lambda s, d: streams.drained(streams.windowed(streams.events(s, d), ["event_type"], "1 hour")).select(F.col("window.start").cast("timestamp_ntz").alias("hour"), "event_type", "n"), "SELECT date_trunc('hour', ts) AS hour, event_type, count(*) AS n FROM events GROUP BY 1, 2")
-_add("e44_stream_state", lambda s, d: streams.drained(streams.per_key_counts(streams.events(s, d), "user_id"), "update"), "SELECT user_id, count(*) AS n FROM events GROUP BY 1")
+_add("e44_stream_state", lambda s, d: streams.drained(streams.per_key_counts(streams.events(s, d), "user_id"), "update", ["user_id"]), "SELECT user_id, count(*) AS n FROM events GROUP BY 1")
 _add("e46_stream_distinct", lambda s, d: streams.drained(streams.distinct_events(streams.events(s, d), "event_id").select("event_id", "user_id"), "append"), "SELECT event_id, user_id FROM events")
 
 
