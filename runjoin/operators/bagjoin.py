@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
+from ..plans import cover
 from . import tries
 from .potentials import COUNT, joined, scope
 
@@ -52,6 +53,34 @@ def _scope(part: Part) -> set[str]:
     return {c for c in part[0].columns if c != part[1]}
 
 
+#: How much larger than expected a step of a pairwise plan may get before the worst-case bound is passed.
+MARGIN = 4.0
+
+
+def two_by_two(sizes: list[tuple[float, dict[str, int]]]) -> list[int] | None:
+    """The order in which to join a cyclic bag's parts two by two, if its largest step is expected to stay below the bag's
+    worst-case bound by MARGIN; else None, and prefixes should be grown. ``sizes``: rows and distinct values of each part."""
+    if not 2 < len(sizes) <= 6:
+        return None
+    values = {v: max(d[v] for _, d in sizes if v in d) for _, own in sizes for v in own}
+
+    def largest(order: tuple[int, ...]) -> float:
+        most, rows, seen = 0.0, sizes[order[0]][0], set(sizes[order[0]][1])
+        for i in order[1:]:
+            n, own = sizes[i]
+            if own and not seen & own.keys():
+                return float("inf")
+            rows *= n / float(np.prod([values[v] for v in seen & own.keys()]))
+            most, seen = max(most, rows), seen | own.keys()
+        return most
+
+    best = min(permutations(range(len(sizes))), key=lambda o: (largest(o), o))
+    named = {str(i): tuple(d) for i, (_, d) in enumerate(sizes) if d}
+    rows = {t: max(1, int(sizes[int(t)][0])) for t in named}
+    bound = cover.agm_bound(rows, cover.weighted_cover(named, rows))
+    return list(best) if MARGIN * largest(best) <= bound else None
+
+
 def _pairwise(parts: list[Part], safe: set[str]) -> DataFrame:
     left, out, seen = list(parts), None, set()
     while left:

@@ -14,7 +14,7 @@ from ..plans import cover, graph
 from ..plans.spec import JoinQuery
 from ..sources.scratch import materialise
 from .bagjoin import bag as bag_join
-from .bagjoin import cheap_order, is_cyclic, potential_join
+from .bagjoin import cheap_order, is_cyclic, potential_join, two_by_two
 from .potentials import COUNT, of_query, scope, wide
 
 
@@ -149,19 +149,24 @@ def order_by_size(query: JoinQuery, hidden: list[str] = (), sizes: list[Size] |
     return min(orders, key=lambda o: (round(cost(o), 3), [last.index(v) if v in last else -1 for v in o[::-1]]))
 
 
-def build_generator(query: JoinQuery, order: list[str] | None = None, root: str | None = None, project: str = "early", phis: dict[str, DataFrame] | None = None, strategy: str = "auto") -> Generator:
+def build_generator(query: JoinQuery, order: list[str] | None = None, root: str | None = None, project: str = "early", phis: dict[str, DataFrame] | None = None, strategy: str = "auto", junction: str = "tree") -> Generator:
     """Eliminate all variables, keeping a conditional for each that the output shows.
 
     Trees, chains and cycles go the same way: eliminating a variable joins the potentials and messages that hold it and
-    all others that fit into its bag, so fill-ins never become tables. Joins of cyclic bags are computed here and kept
-    on the shared folder; all else is lazy. ``project``: ``early`` deletes join variables
+    all others that fit into its bag, so fill-ins never become tables. A cyclic bag is joined two by two where that is
+    expected to stay well below the worst-case bound; else prefixes are grown, and the bag is computed here and kept on
+    the shared folder. All else is lazy. ``project``: ``early`` deletes join variables
     that the output lacks before all others; ``skip`` keeps them in the generator, to be left out when runs are written.
+    ``junction='single'`` puts all variables into one bag: the worst case, whose potential is the whole grouped result.
     """
+    if junction == "single":
+        whole = potential_join(list((phis or of_query(query)).values()), query.variables, strategy, set(query.variables) - query.joined)
+        return build_generator(query, order, root, project, {"all": materialise(whole)})
     hidden = query.hidden if project == "early" else []
     phis = phis or of_query(query)
     safe = set(query.variables) - query.joined
     looped = strategy != "auto" or is_cyclic(set(scope(p)) for p in phis.values())
-    sizes = list(sizes_of(query.tables or phis).values()) if looped else [(1.0, dict.fromkeys(scope(p), 1)) for p in phis.values()]
+    sizes = list(sizes_of(query.tables if len(query.tables) == len(phis) else phis).values()) if looped else [(1.0, dict.fromkeys(scope(p), 1)) for p in phis.values()]
     order = order or query.order or (order_by_size(query, hidden, sizes) if looped and not root else order_for(query, hidden, root))
     values = _values(sizes)
     factors: list[tuple[set[str], DataFrame, str | None, Size]] = [(set(scope(p)), p, None, z) for p, z in zip(phis.values(), _base_sizes(sizes), strict=True)]
@@ -176,12 +181,15 @@ def build_generator(query: JoinQuery, order: list[str] | None = None, root: str
         parts = [(f[1].withColumnRenamed(COUNT, f"n__{i}"), f"n__{i}") for i, f in enumerate(base)]
         held = [*parts, *((f[1].withColumnRenamed(COUNT, f"m_{f[2]}"), f"m_{f[2]}") for f in open_ones)]
         cyclic = strategy != "auto" or is_cyclic(f[0] for f in own)
-        names = cheap_order([f[3] for f in own if f[0]]) if cyclic else [v, *given]
-        frame = bag_join(held, names, strategy, safe) if len(held) > 1 else held[0][0]
+        grown = cyclic
+        if cyclic and strategy == "auto" and (paired := two_by_two([f[3] for f in (*base, *open_ones)])):
+            held, grown = [held[i] for i in paired], False
+        names = cheap_order([f[3] for f in own if f[0]]) if grown else [v, *given]
+        frame = bag_join(held, names, strategy if grown else "pairwise", safe) if len(held) > 1 else held[0][0]
         bucket = fold(lambda a, b: a * b, [F.col(n) for _, n in parts], F.lit(1).cast("long"))
         children = [f[2] for f in open_ones]
         frame = frame.select(*given, v, bucket.alias("bucket"), *[f"m_{c}" for c in children])
-        if cyclic and v not in hidden:
+        if grown and v not in hidden:
             frame = materialise(frame)  # read by the message and by each level generated from it
         psi = Conditional(v, given, frame, children)
         t = psi.table().withColumn(COUNT, F.col("bucket") * F.col("fac"))

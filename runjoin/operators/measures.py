@@ -80,7 +80,7 @@ def plan_stats(query: JoinQuery) -> dict[str, object]:
         "rho": rho,
         "largest_potential": max(s[0] for s in sizes.values()),
         "largest_table": max(s[1] for s in sizes.values()),
-        "set_bound": cover.agm_bound({t: s[0] for t, s in sizes.items()}, weights),
+        "set_bound": cover.agm_bound({t: s[0] for t, s in sizes.items()}, cover.weighted_cover(query.scopes, {t: s[0] for t, s in sizes.items()})),
         "bag_bound": cover.bag_bound(phis, weights),
         "largest_bag": max(len(b) for b in graph.bags_of(g, order)),
         "fill_ins": len(graph.triangulate(g, order)[1]),

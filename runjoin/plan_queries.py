@@ -7,11 +7,11 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .operators import baselines, eliminate, expand, measures, pipeline, potentials
+from .operators import baselines, eliminate, expand, measures, pipeline, potentials, summary
 from .plans import cover, graph
 from .plans.spec import natural
 from .sources.scratch import folder
-from .sources.tables import FOLLOWS_SQL, PLAYS_SQL
+from .sources.tables import FOLLOWS_SQL, PLAYS_SQL, table
 from .workloads import BUILD, CYCLE_ORDER, OUT, _nest, _q, _values, w02, w03, w05, w09, w10, w13, w14
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -232,3 +232,47 @@ def a43_heavy_run(s, d):
     tasks = expand.flatten(made).groupBy(F.spark_partition_id().alias("task")).agg(F.count(F.lit(1)).alias("n"))
     return tasks.agg(F.sum("n").cast("long").alias("rows"), (F.max("n") < F.sum("n") / 2).alias("spread"))
 
+
+
+@_query(f"SELECT {_q(OUT['w09'])}, count(*) AS freq FROM {_nest('w09')} j GROUP BY ALL")
+def a31_single_junction_w09(s, d):
+    """All variables in one bag."""
+    gen = eliminate.build_generator(w09(s, d, CYCLE_ORDER), junction="single", strategy="extend")
+    return summary.generate(gen).deepest.select(*OUT["w09"], "freq")
+
+
+@_query("SELECT l_suppkey AS supp, l_returnflag AS flag, count(*) AS n FROM lineitem WHERE l_suppkey IN (SELECT s_suppkey FROM supplier WHERE s_nationkey = 3) GROUP BY 1, 2")
+def a19_restrict_by_frame(s, d):
+    """Evidence as a frame of observed values."""
+    phi = potentials.build(table(s, d, "lineitem", ["l_suppkey", "l_returnflag"]).toDF("supp", "flag"), ["supp", "flag"])
+    return potentials.restrict(phi, table(s, d, "supplier").filter("s_nationkey = 3").select(F.col("s_suppkey").alias("supp")))
+
+
+@_query(f"SELECT segment, flag, round(count(*) / (SELECT count(*) FROM {_nest('w10')} j), 6) AS p FROM {_nest('w10')} j GROUP BY 1, 2")
+def a55_joint_share_w10(s, d):
+    """The joint distribution as shares, summed by two of its variables."""
+    return potentials.joint_distribution(w10(s, d), normalise=True).groupBy("segment", "flag").agg(F.round(F.sum("p"), 6).alias("p"))
+
+
+_LEAVES = f"WITH p AS {PLAYS_SQL}, f AS {FOLLOWS_SQL}"
+
+
+@_query(f"{_LEAVES} SELECT 'leaves first' AS elimination, greatest((SELECT count(*) FROM (SELECT DISTINCT * FROM p)), (SELECT count(*) FROM (SELECT DISTINCT * FROM f))) AS rows UNION ALL SELECT 'inner first', (SELECT count(*) FROM (SELECT DISTINCT p.user_id, p.art, f.dst FROM p JOIN f ON p.user_id = f.src))")
+def w12_largest_product_w05(s, d):
+    """Rows of the largest conditional: eliminating an inner variable first makes a product of two tables."""
+    rows = []
+    for label, order in (("leaves first", ["art2", "u2", "art1", "u1"]), ("inner first", ["u1", "art1", "u2", "art2"])):
+        gen = eliminate.build_generator(w05(s, d), order=order)
+        made = [c.frame.agg(F.count(F.lit(1)).alias("n")) for c in gen.conditionals]
+        largest = made[0]
+        for m in made[1:]:
+            largest = largest.unionByName(m)
+        rows.append(largest.agg(F.max("n").alias("rows")).select(F.lit(label).alias("elimination"), "rows"))
+    return rows[0].unionByName(rows[1])
+
+
+@_query(f"SELECT segment, priority AS value FROM {_nest('w10')} j")
+def e47_array_repeat_w10(s, d):
+    """The SQL twin of the table function: runs repeated by an array function."""
+    runs = pipeline.summarise(w10(s, d)).runs("priority")
+    return runs.select("segment", F.explode(F.array_repeat("priority", F.col("freq").cast("int"))).alias("value"))
