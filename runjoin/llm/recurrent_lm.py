@@ -58,11 +58,15 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
     return np.reciprocal(x, out=x)
 
 
-def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, keep: bool = False) -> tuple[np.ndarray, list[tuple]]:
-    """States after each step of a window. ids: (steps, lanes) words read; state: (lanes, HIDDEN) carried in."""
-    gates_in = model["embed"][ids] + model["bias"]
-    out = np.empty((*ids.shape, HIDDEN), np.float32)
-    trace = []
+def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, keep: bool = False) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
+    """States after each step of a window. ids: (steps, lanes) words read; state: (lanes, HIDDEN) carried in. With ``keep``
+    also what the steps held: states before, gates, new states, products."""
+    gates_in = (model["embed"] + model["bias"])[ids]
+    shape = (*ids.shape, HIDDEN)
+    out = np.empty(shape, np.float32)
+    gates = np.empty((*ids.shape, 2 * HIDDEN), np.float32) if keep else None
+    fresh_states, agains = (np.empty(shape, np.float32) if keep else None for _ in (0, 1))
+    begin = state
     for t in range(len(ids)):
         again = state @ model["update"]
         opened = _sigmoid(gates_in[t, :, : 2 * HIDDEN] + again[:, : 2 * HIDDEN])
@@ -70,9 +74,11 @@ def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, ke
         fresh_state = np.tanh(gates_in[t, :, 2 * HIDDEN :] + r * again[:, 2 * HIDDEN :])
         out[t] = fresh_state + z * (state - fresh_state)
         if keep:
-            trace.append((state, z, r, fresh_state, again[:, 2 * HIDDEN :]))
+            gates[t], fresh_states[t], agains[t] = opened, fresh_state, again[:, 2 * HIDDEN :]
         state = out[t]
-    return out, trace
+    if not keep:
+        return out, ()
+    return out, (np.concatenate([begin[None], out[:-1]]), gates, fresh_states, agains)
 
 
 _ONES = np.ones(max(CLASSES, MEMBERS), np.float32)
@@ -86,6 +92,10 @@ def _weights(logits: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return weights, weights @ _ONES[: logits.shape[1]]
 
 
+def _column_sums(x: np.ndarray) -> np.ndarray:
+    return np.ones(len(x), np.float32) @ x
+
+
 def _by_class(kind: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
     order = np.argsort(kind.astype(np.uint8), kind="stable")
     ends = np.cumsum(np.bincount(kind, minlength=CLASSES))
@@ -109,7 +119,7 @@ def log_probs(model: dict[str, np.ndarray], states: np.ndarray, targets: np.ndar
 def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, state: np.ndarray, share_of: int | None = None) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
     """Gradients through one window of the loss over ``share_of`` (the words counted, if not given), the state carried
     out, and the summed loss. Targets of -1 don't count."""
-    out, trace = forward(model, ids, state, keep=True)
+    out, (before, gates, new, again) = forward(model, ids, state, keep=True)
     real = np.flatnonzero(targets.reshape(-1) >= 0)
     goal = targets.reshape(-1)[real]
     states = out.reshape(-1, HIDDEN)[real]
@@ -121,7 +131,7 @@ def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray
     share = slope[row, kind] / sums
     slope /= sums[:, None] * over
     slope[row, kind] -= 1 / over
-    grads["class_w"], grads["class_b"] = states.T @ slope, slope.sum(axis=0)
+    grads["class_w"], grads["class_b"] = states.T @ slope, _column_sums(slope)
     back = slope @ model["class_w"].T
     for c, own in _by_class(kind):
         mine = states[own]
@@ -130,32 +140,39 @@ def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray
         share[own] *= part[at] / sums
         part /= sums[:, None] * over
         part[at] -= 1 / over
-        grads["word_w"][c], grads["word_b"][c] = mine.T @ part, part.sum(axis=0)
+        grads["word_w"][c], grads["word_b"][c] = mine.T @ part, _column_sums(part)
         back[own] += part @ model["word_w"][c].T
     loss = -float(np.log(np.maximum(share, 1e-37)).sum())
     full = np.zeros((ids.size, HIDDEN), np.float32)
     full[real] = back
     full = full.reshape(out.shape)
+    # slopes of all steps at once; only what is carried back goes step by step
+    z, r = gates[..., :HIDDEN], gates[..., HIDDEN:]
+    at_new = (1 - z) * (1 - new * new)
+    at_z = (before - new) * z * (1 - z)
+    at_r = again * r * (1 - r)
     carried = np.zeros_like(state)
     gate_grads = np.empty((*ids.shape, 3 * HIDDEN), np.float32)
+    again_grads = np.empty_like(gate_grads)
+    back_through = np.ascontiguousarray(model["update"].T)
     for t in range(len(ids) - 1, -1, -1):
-        before, z, r, new, again = trace[t]
         d = full[t] + carried
-        d_new = d * (1 - z) * (1 - new * new)
-        g = gate_grads[t]
-        g[:, :HIDDEN] = d * (before - new) * z * (1 - z)
-        g[:, HIDDEN : 2 * HIDDEN] = d_new * again * r * (1 - r)
+        d_new = d * at_new[t]
+        g, a = gate_grads[t], again_grads[t]
+        np.multiply(d, at_z[t], out=a[:, :HIDDEN])
+        np.multiply(d_new, at_r[t], out=a[:, HIDDEN : 2 * HIDDEN])
+        np.multiply(d_new, r[t], out=a[:, 2 * HIDDEN :])
         g[:, 2 * HIDDEN :] = d_new
-        d_again = g.copy()
-        d_again[:, 2 * HIDDEN :] *= r
-        grads["update"] += before.T @ d_again
-        carried = d * z + d_again @ model["update"].T
+        carried = d * z[t] + a @ back_through
+    gate_grads[..., : 2 * HIDDEN] = again_grads[..., : 2 * HIDDEN]
+    grads["update"] = before.reshape(-1, HIDDEN).T @ again_grads.reshape(-1, 3 * HIDDEN)
     flat = gate_grads.reshape(-1, 3 * HIDDEN)
-    grads["bias"] = flat.sum(axis=0)
-    words = ids.reshape(-1)
+    words = ids.reshape(-1).astype(np.uint16)  # radix-sorted
     order = np.argsort(words, kind="stable")
-    found, first = np.unique(words[order], return_index=True)
-    grads["embed"][found] = np.add.reduceat(flat[order], first, axis=0)
+    words = words[order]
+    first = np.flatnonzero(np.append(True, words[1:] != words[:-1]))
+    grads["embed"][words[first]] = np.add.reduceat(flat[order], first, axis=0)
+    grads["bias"] = _column_sums(grads["embed"])
     return grads, out[-1], loss
 
 
@@ -168,15 +185,24 @@ class Learner:
         self.second = {k: np.zeros_like(v) for k, v in model.items()}
 
     def learn(self, streams: Iterable[np.ndarray], lanes: int = LANES) -> tuple[float, int]:
-        """Go once through streams of word numbers; returns the summed loss and the words. A window with few lanes left
-        weighs as little as it has words."""
-        total, words = 0.0, 0
+        """Go once through streams of word numbers; returns the summed loss and the words.
+
+        A step is taken once an eighth of a full window has been heard, so the long streams left at the end take few.
+        """
+        total, words, heard = 0.0, 0, 0
         state = np.zeros((lanes, HIDDEN), np.float32)
+        held: dict[str, np.ndarray] = {}
         for live, fresh, ids, goals in windows(streams, lanes):
             state[live[fresh]] = 0
             grads, state[live], loss = gradients(self.model, ids, goals, state[live], lanes * WINDOW)
-            total, words = total + loss, words + int((goals >= 0).sum())
-            self._step(grads)
+            n = int((goals >= 0).sum())
+            total, words, heard = total + loss, words + n, heard + n
+            held = {k: g + held[k] for k, g in grads.items()} if held else grads
+            if heard >= lanes * WINDOW // 8:
+                self._step(held)
+                held, heard = {}, 0
+        if held:
+            self._step(held)
         return total, words
 
     def _step(self, grads: dict[str, np.ndarray]) -> None:
@@ -236,6 +262,18 @@ def windows(streams: Iterable[np.ndarray], lanes: int = LANES, room: int = ROOM)
         left -= step
 
 
+def long_first(streams: Iterable[np.ndarray], room: int = 4 * ROOM) -> Iterator[np.ndarray]:
+    """Streams by falling length, ``room`` words at a time: long ones then don't go on alone for long."""
+    held, size = [], 0
+    for x in streams:
+        held.append(x)
+        size += len(x)
+        if size >= room:
+            yield from sorted(held, key=len, reverse=True)
+            held, size = [], 0
+    yield from sorted(held, key=len, reverse=True)
+
+
 def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray], lanes: int = LANES) -> np.ndarray:
     """Natural log probability of every stream, its state carried from window to window until the stream ends."""
     out = np.zeros(len(streams))
@@ -292,7 +330,8 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _learn(batches: Iterator[pa.RecordBatch], model: dict[str, np.ndarray], number: dict[bytes, int], rate: float) -> Iterator[pa.RecordBatch]:
     """Go on learning from all documents of a task; gives its weights times the words seen, and those, as one row."""
     learner = Learner({k: v.copy() for k, v in model.items()}, rate)
-    _, seen = learner.learn(named(placed(tokens(text), number), len(number)) for _, texts in text_rows(batches) for text in texts)
+    streams = (named(placed(tokens(text), number), len(number)) for _, texts in text_rows(batches) for text in texts)
+    _, seen = learner.learn(long_first(streams))
     if seen:
         flat = np.concatenate([learner.model[k].reshape(-1) for k in _NAMES]).astype(np.float64) * seen
         yield pa.RecordBatch.from_arrays([pa.array([TaskContext.get().partitionId()], pa.int64()), pa.array([seen], pa.int64()), pa.array([flat.tobytes()], pa.binary())], ["task", "seen", "weights"])
@@ -313,7 +352,7 @@ def _summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 def _averaged(learned: DataFrame, groups: int) -> tuple[np.ndarray, int] | None:
     """Weights of all tasks by the words each has seen: arrays are added in ``groups`` tasks, then in 8, then on the driver."""
     for n in (groups, min(8, groups)):
-        learned = learned.repartition(n, "task").sortWithinPartitions("task").mapInArrow(_summed, "task long, seen long, weights binary")
+        learned = learned.repartitionById(n, F.pmod("task", F.lit(n)).cast("int")).sortWithinPartitions("task").mapInArrow(_summed, "task long, seen long, weights binary")
     rows = sorted(learned.collect(), key=lambda r: r["task"])  # 8 rows at most
     if not rows:
         return None
@@ -440,7 +479,8 @@ def lm_scores(docs: DataFrame, start_docs: int = START_DOCS, held_words: int = H
         lasting = lasting.limit(0)
     scale = float(np.log10(total + 0.5 * (distinct + 1)))
     value = F.col("k") * (F.log10(F.coalesce("n", F.lit(0)) + 0.5) - scale)
-    joined = apart.join(lasting, "word", "left").groupBy("row").agg(F.sum(value).alias("more"), F.sum(F.when(F.col("n") > 0, F.col("k")).otherwise(0)).alias("more_known"))
+    # hashed, not sorted: a partition of counted words is small beside one of texts
+    joined = apart.join(lasting.hint("shuffle_hash"), "word", "left").groupBy("row").agg(F.sum(value).alias("more"), F.sum(F.when(F.col("n") > 0, F.col("k")).otherwise(0)).alias("more_known"))
     out = scored.join(joined, "row", "left")
     more = F.coalesce("more", F.lit(0.0))
     result = out.select(
