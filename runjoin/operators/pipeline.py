@@ -20,7 +20,7 @@ def summarise(query: JoinQuery, cut: bool = False, **options) -> RunSummary:
 
 def summarise_to(query: JoinQuery, path: str, format: str = "parquet", **options) -> None:
     """Summary to files; rows of the join are never made."""
-    store.write(summarise(query, cut=True, **options), path, format)
+    store.write(summarise(query, **options), path, format)
 
 
 def reload(spark: SparkSession, path: str) -> DataFrame:

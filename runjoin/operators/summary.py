@@ -36,10 +36,19 @@ class RunSummary:
         return self.runs(self.variables[-1])
 
     def placed(self, column: str) -> DataFrame:
-        """Runs with ``start``: rows of the sorted result before them, by a prefix sum over the runs in their order."""
+        """Runs with ``start``: rows of the sorted result before them, by a prefix sum over the runs in their order.
+
+        Where a later column has been placed before, a run starts where the first run below it does, and is as long as
+        these are together: a sum over what is there, without another sort.
+        """
         if column not in self.starts:
-            own = self.variables[: self.variables.index(column) + 1]
-            self.starts[column] = prefix_sum(self.runs(column), own, "freq", "start").select(*own, "start", "freq")
+            at = self.variables.index(column)
+            own = self.variables[: at + 1]
+            deeper = next((self.starts[v] for v in self.variables[at + 1 :] if v in self.starts), None)
+            if deeper is not None:
+                self.starts[column] = deeper.groupBy(*own).agg(F.min("start").alias("start"), F.sum("freq").alias("freq"))
+            else:
+                self.starts[column] = prefix_sum(self.runs(column), own, "freq", "start").select(*own, "start", "freq")
         return self.starts[column]
 
     def column(self, name: str) -> DataFrame:

@@ -24,9 +24,10 @@ def _contents(spark: SparkSession, path: str) -> dict:
 
 
 def write(summary: RunSummary, path: str, format: str = "parquet", runs: str = "prefix") -> None:
-    """One dataset a shown column: start, freq, value."""
+    """One dataset a shown column: start, freq, value. The deepest runs are made and placed once, the other columns' from them."""
     schemas = {}
-    for name in summary.shown:
+    summary.placed(summary.variables[-1])
+    for name in summary.shown[::-1]:
         column = summary.column(name)
         column = merge_runs(column) if runs == "maximal" else column
         schemas[name] = column.schema.json()
