@@ -58,6 +58,27 @@ def test_one_row_of_every_group_stays(spark):
     assert sorted(r["n"] for r in exact_dedup.drop_exact_copies(df).collect()) == sorted(n for _, n in best.values())
 
 
+def test_rows_meet_in_place(spark):
+    """Lists of row numbers against plain joins; numbers of many tasks, some without a list, repeated and missing ones."""
+    from runjoin.llm.common import Scratch, listed, looked_up, met_in_place, numbered, rows_of
+
+    scratch = Scratch(spark, "test")
+    df = spark.range(1000).selectExpr("id", "concat('v', id) as text", "array(id) as list", "id as Row_Number").repartition(7)
+    saved, row = numbered(scratch, df, "docs")
+    assert row not in df.columns and saved.select(row).distinct().count() == 1000
+    wanted = saved.filter("id % 9 = 0 and id < 500").select(row)
+    want = sorted(r["id"] for r in saved.join(wanted, row, "left_semi").collect())
+    got = rows_of(saved, row, listed(scratch, wanted, "wanted"))
+    assert got.columns == df.columns and sorted(r["id"] for r in got.collect()) == want
+    listing = wanted.unionByName(wanted).select(row, F.col(row).alias("again"), F.lit("x").alias("mark"))
+    met = met_in_place(saved.select("id", "text", row), row, listing, listed(scratch, listing, "pairs")).collect()
+    assert sorted(r["id"] for r in met) == sorted(want * 2) and all(r["mark"] == "x" and r["text"] == f"v{r['id']}" for r in met)
+    assert rows_of(saved, row, listed(scratch, wanted.limit(0), "none")).count() == 0
+    keyed = spark.range(20_000).selectExpr("if(id % 3 = 0, 0, id) as k", "id")
+    found = keyed.groupBy("k").agg(F.count(F.lit(1)).alias("n"), F.max("id").alias("top"))
+    assert rows(looked_up(keyed, found, "k", "n"), "k", "id", "top") == rows(keyed.join(found, "k"), "k", "id", "top")
+
+
 def test_directory_splits():
     depth, slots = exact_dedup.directory({0: 5, 1: 5, 8: 1, 15: 1}, 6, 4)
     assert depth == 4 and len(slots) == 16 and slots[0] != slots[1] and slots[8] == slots[15]
