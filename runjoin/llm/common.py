@@ -13,6 +13,7 @@ import pyarrow.fs as pafs
 import regex
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: White space of the contracts: a space and the five ASCII controls from tab to carriage return.
 BLANKS = r"[\x20\x09-\x0D]+"
@@ -119,41 +120,78 @@ ROW_BITS = 33
 
 
 def listed(scratch: Scratch, numbers: DataFrame, name: str, bits: int = ROW_BITS) -> str:
-    """Row numbers (one column) as lists on shared files, one for each task that gave the numbers; returns where.
+    """Row numbers (the first column) as lists on shared files, one for each task that gave the numbers; returns where.
 
-    Numbers travel to their lists; the (far larger) rows that they name stay where they are: see ``picked``.
+    Numbers, with what other columns there are, travel to their lists; the (far larger) rows that they name stay where
+    they are: see ``picked`` and ``met_in_place``.
     """
-    own = numbers.select(F.col(numbers.columns[0]).alias("number"))
+    own = numbers.withColumnRenamed(numbers.columns[0], "number")
     parts = max(1, int(scratch.spark.conf.get("spark.sql.shuffle.partitions")))
     apart = own.withColumn("task", F.shiftright("number", bits)).repartition(parts, "task")
     apart.write.mode("overwrite").partitionBy("task").parquet(scratch.path(name))
     return scratch.path(name)
 
 
-def picked(lists: str, bits: int = ROW_BITS) -> Callable[[np.ndarray], np.ndarray]:
-    """A test of row numbers against ``listed`` ones, for use in a task; it holds the list of one task at a time."""
+def _list_of(lists: str) -> Callable[[int], pa.Table | None]:
+    """The list of a task by number; the last one is held."""
     fs, root = opened(lists)
-    held: dict[int, np.ndarray] = {}
+    held: dict[int, pa.Table | None] = {}
 
-    def of(task: int) -> np.ndarray:
+    def of(task: int) -> pa.Table | None:
         if task not in held:
             held.clear()
             path = f"{root}/task={task}"
             there = fs.get_file_info(path).type == pafs.FileType.Directory
-            held[task] = pads.dataset(path, filesystem=fs, format="parquet").to_table(columns=["number"])["number"].to_numpy() if there else np.zeros(0, np.int64)
+            held[task] = pads.dataset(path, filesystem=fs, format="parquet").to_table().sort_by("number") if there else None
         return held[task]
 
+    return of
+
+
+def picked(lists: str, bits: int = ROW_BITS) -> Callable[[np.ndarray], np.ndarray]:
+    """A test of row numbers against ``listed`` ones, for use in a task; it holds the list of one task at a time."""
+    of = _list_of(lists)
+
     def test(numbers: np.ndarray) -> np.ndarray:
         out = np.zeros(len(numbers), bool)
         tasks = numbers >> bits
         for t in np.unique(tasks).tolist():
-            here = tasks == t
-            out[here] = np.isin(numbers[here], of(t))
+            if (held := of(t)) is not None:
+                here = tasks == t
+                out[here] = np.isin(numbers[here], held["number"].to_numpy())
         return out
 
     return test
 
 
+def met_in_place(saved: DataFrame, row: str, listing: DataFrame, lists: str) -> DataFrame:
+    """Inner join of ``saved`` on its ``row`` numbers with the rows that ``listing`` has been ``listed`` as: only those move.
+
+    Columns: those of ``listing`` but the number, then those of ``saved`` but the number.
+    """
+    payload = [c for c in listing.columns[1:]]
+    kept = [c for c in saved.columns if c != row]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        of = _list_of(lists)
+        for batch in batches:
+            numbers = batch.column(batch.num_columns - 1).to_numpy()
+            tasks = numbers >> ROW_BITS
+            for t in np.unique(tasks).tolist():
+                if (held := of(t)) is None:
+                    continue
+                here = np.flatnonzero(tasks == t)
+                own = held["number"].to_numpy()
+                low = np.searchsorted(own, numbers[here])
+                n = np.searchsorted(own, numbers[here], side="right") - low
+                left, right = np.repeat(here, n), np.repeat(low - np.cumsum(n) + n, n) + np.arange(n.sum())
+                found, rows = held.take(pa.array(right)), batch.take(pa.array(left))
+                yield pa.RecordBatch.from_arrays([*(found[c].combine_chunks() for c in payload), *rows.columns[:-1]], [*payload, *kept])
+
+    schema = StructType([*(listing.schema[c] for c in payload), *(saved.schema[c] for c in kept)])
+    return saved.select(*kept, row).mapInArrow(run, schema)
+
+
 def rows_of(saved: DataFrame, row: str, lists: str) -> DataFrame:
     """Rows of a ``numbered`` table whose numbers are ``listed``, without that column; nothing is shuffled."""
     kept = [c for c in saved.columns if c != row]

@@ -11,7 +11,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import Scratch, listed, looked_up, numbered, picked, rows_of, table, text_rows
+from .common import Scratch, listed, looked_up, met_in_place, numbered, picked, rows_of, table, text_rows
 
 #: Signature coordinates, and how many of them a pair must share. A pair at 0.8 shares Bin(64, 0.8) of them: 51 on
 #: average, and fewer than 36 with probability 4e-6; a pair at 0.85 with 7e-9.
@@ -98,15 +98,21 @@ def _agreeing(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: (x == y).cast("int")), F.lit(0), lambda s, x: s + x)
 
 
-def _linked(pairs: DataFrame, sides: DataFrame, agree: int, percent: int) -> DataFrame:
-    """Pairs (a, b) that share enough coordinates and, on their full sets, enough shingles."""
-    left = sides.select(F.col("id").alias("a"), F.col("found").alias("fa"), F.col("signature").alias("sa"))
-    right = sides.select(F.col("id").alias("b"), F.col("found").alias("fb"), F.col("signature").alias("sb"))
-    both = pairs.join(left, "a").join(right, "b")
-    same = _agreeing(F.col("sa"), F.col("sb"))
+def _linked(scratch: Scratch, pairs: DataFrame, sides: DataFrame, agree: int, percent: int, name: str) -> DataFrame:
+    """Pairs (a, b) that share enough coordinates and, on their full sets, enough shingles. Only the sets of pairs that
+    agree on their coordinates travel."""
+    left, right = (sides.select(F.col("id").alias(k), F.col("signature").alias(f"s{k}")) for k in "ab")
+    close = pairs.join(left, "a").join(right, "b").filter(_agreeing(F.col("sa"), F.col("sb")) >= agree).select("a", "b")
+    close = scratch.save(close, f"close-{name}")
+    # sets of a go from where they lie to those of b, which are fewer: b is a hub
+    lists = listed(scratch, close, f"asked-{name}")
+    sent = met_in_place(sides.select(F.col("id").alias("a"), F.col("found").alias("fa"), F.col("id").alias("row")), "row", close, lists)
+    hubs = rows_of(sides.select(F.col("id").alias("b"), F.col("found").alias("fb"), F.col("id").alias("row")), "row", listed(scratch, close.select("b").distinct(), f"hubs-{name}"))
     inter = F.size(F.array_intersect("fa", "fb"))
-    enough = F.when(same >= agree, 100 * inter >= percent * (F.size("fa") + F.size("fb") - inter)).otherwise(False)
-    return both.filter(enough).select("a", "b")
+    both = sent.join(hubs, "b")
+    links = scratch.save(both.filter(100 * inter >= percent * (F.size("fa") + F.size("fb") - inter)).select("a", "b"), f"links-{name}")
+    scratch.drop(f"close-{name}", f"asked-{name}", f"hubs-{name}")
+    return links
 
 
 def _possible(size_a: Column, own_a: Column, size_b: Column, own_b: Column, percent: int) -> Column:
@@ -129,20 +135,21 @@ def _mixed(placed: DataFrame) -> DataFrame:
     return placed.join(main.filter("roots > 1").select("token", (-F.col("m.minus")).alias("main")), "token")
 
 
-def _met(left: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+def _met(scratch: Scratch, left: DataFrame, sides: DataFrame, percent: int) -> DataFrame:
     """Links (a, b) between classes of different roots that stand in lists of one largest component ``main``.
 
     For each main, rows outside it meet all rows: both sides are dealt into blocks of about BLOCK_SHINGLES by a hash,
-    and every pair of blocks is counted in a task of its own.
+    and every pair of blocks is counted in a task of its own. Full sets go to their blocks from where they lie.
     """
     side = left.withColumn("odd", F.col("root") != F.col("main"))
     size = side.groupBy("main").agg(F.sum("n").alias("all_n"), F.sum(F.when(F.col("odd"), F.col("n"))).alias("odd_n")).filter("odd_n > 0")
     blocks = size.select("main", F.ceil(F.col("all_n") / BLOCK_SHINGLES).alias("all_b"), F.ceil(F.col("odd_n") / BLOCK_SHINGLES).alias("odd_b"))
     dealt = side.join(blocks, "main").withColumn("h", F.xxhash64("id"))
     to = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), n - 1))
-    asking = dealt.filter("odd").select("main", "id", "root", F.lit(True).alias("asks"), F.pmod("h", "odd_b").alias("x"), to(F.col("all_b")).alias("y"))
-    asked = dealt.select("main", "id", "root", F.lit(False).alias("asks"), F.pmod("h", "all_b").alias("y"), to(F.col("odd_b")).alias("x"))
-    rows = asking.unionByName(asked).join(sets, "id").select("main", "x", "y", "id", "root", "asks", "found")
+    asking = dealt.filter("odd").select("id", "main", "root", F.lit(True).alias("asks"), F.pmod("h", "odd_b").alias("x"), to(F.col("all_b")).alias("y"))
+    asked = dealt.select("id", "main", "root", F.lit(False).alias("asks"), to(F.col("odd_b")).alias("x"), F.pmod("h", "all_b").alias("y"))
+    listing = asking.unionByName(asked)
+    rows = met_in_place(sides.select("id", "found", F.col("id").alias("row")), "row", listing, listed(scratch, listing, "blocks"))
 
     def run(block: pa.Table) -> pa.Table:
         return _count_block(block, percent)
@@ -196,12 +203,13 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     # full sets of these classes, made where their texts lie
     run = partial(_sets_of, width=width, lists=listed(scratch, active, "active"))
     sides = scratch.save(signed.select("row", "signature", "text").mapInArrow(run, "id long, signature array<int>, found array<long>"), "sides")
-    first = scratch.save(_linked(stars, sides, agree, percent), "links-1")
+    first = _linked(scratch, stars, sides, agree, percent, "1")
     roots = scratch.save(components(scratch, first, "early"), "roots-1")
     mixed = scratch.save(_mixed(prefixes.select("id", "n", "token").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))), "mixed-1")
     # shingles that one class in question has alone
     asked = mixed.select("id").distinct()
-    alone = sides.join(asked, "id", "left_semi").select("id", F.explode("found").alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).filter("c = 1")
+    in_question = rows_of(sides.select("id", "found", F.col("id").alias("row")), "row", listed(scratch, asked, "in-question"))
+    alone = in_question.select("id", F.explode("found").alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("c"), F.min("id").alias("id")).filter("c = 1")
     owned = asked.join(alone.groupBy("id").agg(F.count(F.lit(1)).alias("own")), "id", "left").select("id", F.coalesce("own", F.lit(0)).alias("own"))
     known = scratch.save(owned, "known")
     # second merge: the plainest class of each list
@@ -209,12 +217,12 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     plain = weighed.groupBy("token").agg(F.min(F.struct("own", "id", "root", "n")).alias("p"))
     toward = weighed.join(plain, "token").filter((F.col("root") != F.col("p.root")) & _possible(F.col("n"), F.col("own"), F.col("p.n"), F.col("p.own"), percent))
     nearer = scratch.save(_hubs(toward.select(F.col("id").alias("a"), F.col("p.id").alias("b")), 4), "pairs-2")
-    second = scratch.save(_linked(nearer, sides, agree, percent), "links-2")
+    second = _linked(scratch, nearer, sides, agree, percent, "2")
     merged = scratch.save(components(scratch, first.unionByName(second), "middle"), "roots-2")
     # last merge: all that may still be linked
     left = _mixed(mixed.select("id", "n", "token").join(merged, "id", "left").withColumn("root", F.coalesce("root", "id"))).join(known, "id")
     left = scratch.save(left.filter(100 * (F.col("n") - F.col("own")) >= percent * F.col("n")).groupBy("main", "id", "n", "root").agg(F.count(F.lit(1)).alias("lists")), "mixed-2")
-    third = scratch.save(_met(left, sides.select("id", "found"), percent), "links-3")
+    third = scratch.save(_met(scratch, left, sides, percent), "links-3")
     named = scratch.save(components(scratch, first.unionByName(second).unionByName(third), "late"), "roots-3")
     # components by their smallest doc_id; a hot class or component is not joined in one task
     rooted = scratch.save(heads.join(named, "id", "left").select("key", "low", "rows", F.coalesce("root", "id").alias("root")), "rooted")
@@ -224,7 +232,7 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     grouped = looked_up(slim.filter("key is not null"), owner, "key", "rows").select("row", "doc_id", "n_shingles", "root", "component_id")
     wordless = slim.filter("key is null").select("row", "doc_id", "n_shingles", F.lit(None).cast("long").alias("root"), F.col("doc_id").alias("component_id"))
     out = scratch.save(grouped.unionByName(wordless), "rows")
-    done = ["signed", "heads", "classes", "ranked", "mixed-1", "mixed-2", "known", "stars", "active", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2", "roots-3", "rooted", "owner"]
+    done = ["signed", "heads", "classes", "ranked", "mixed-1", "mixed-2", "known", "stars", "active", "in-question", "blocks", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2", "roots-3", "rooted", "owner"]
     scratch.drop(*done)
     return out
 
