@@ -13,27 +13,46 @@ from runjoin.llm.quality_rules import keep_ruled, trusted_of
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the rules keep."""
+    """Documents that the rules keep, all columns, rows as they are.
+
+    Null and empty texts go (fewer than 50 words); each of repeated rows is judged alone and alike; a null doc_id is never
+    trusted; without labels only the counts decide; an empty table stays empty; extra columns come along.
+    """
     return keep_ruled(docs, trusted_of(table(spark, sf_dir, "labels", "doc_id", "quality")))
 
 
 def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorisation machine scores 0.3 or more."""
+    """Documents that the factorisation machine, fitted on labelled ones outside the held-out fold, scores 0.3 or more.
+
+    A null text counts as empty and is scored, a null n_chars as 0; repeated rows score alike; a null doc_id is never
+    fitted on; without labels every score is one half, so all stay; an empty table stays empty; extra columns come along.
+    """
     return keep_good(docs, table(spark, sf_dir, "labels", "doc_id", "quality"))
 
 
 def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of every group of equal texts."""
+    """One row of every group of equal texts: the longest, then of the smallest doc_id, then by its columns.
+
+    Groups go by text alone: rows of one doc_id (or none) with different texts all stay. Null and empty texts are one group;
+    an empty table stays empty; extra columns come along, whatever their names.
+    """
     return drop_exact_copies(docs)
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of every group of near duplicates (five words, 0.8)."""
+    """One row of every group of near duplicates (runs of five words, 0.8): of the smallest doc_id, then the first.
+
+    Groups go by rows: unlike texts under one doc_id (or none) stay. Rows without words all stay; an empty table stays
+    empty; extra columns come along, whatever their names.
+    """
     return drop_near_copies(docs)
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of sequences of at most 1024 ids."""
+    """Pieces of sequences of at most 1024 ids: every id of every row, and its end, lies in one piece.
+
+    A null or empty text is its end alone; repeated rows are packed each; null ids stay null; an empty table gives none.
+    """
     return pack(docs)
 
 
@@ -45,7 +64,7 @@ STAGES = [
     ("packing", packing),
 ]
 
-#: The classifier's trained scores can't be written in SQL; tests hold the stages against brute force.
+#: The classifier's trained scores can't be written in SQL; tests/llm holds every stage's rows against plain Python.
 ORACLE_SQL = None
 
 
