@@ -128,11 +128,13 @@ def _hubs(hits: DataFrame, keep: int) -> DataFrame:
     return best.select("a", F.explode("h").alias("h")).select("a", "h.b")
 
 
-def _mixed(placed: DataFrame) -> DataFrame:
-    """Rows of the lists that hold several components, with the list's largest one as ``main``."""
+def _mixed(scratch: Scratch, placed: DataFrame, name: str) -> DataFrame:
+    """Rows of the lists that hold several components, with the list's largest one as ``main``. A hot list's rows stay in place."""
+    placed = scratch.save(placed, f"placed-{name}")
     per_root = placed.groupBy("token", "root").agg(F.count(F.lit(1)).alias("c"))
-    main = per_root.groupBy("token").agg(F.count(F.lit(1)).alias("roots"), F.max(F.struct("c", (-F.col("root")).alias("minus"))).alias("m"))
-    return placed.join(main.filter("roots > 1").select("token", (-F.col("m.minus")).alias("main")), "token")
+    main = per_root.groupBy("token").agg(F.count(F.lit(1)).alias("roots"), F.sum("c").alias("rows"), F.max(F.struct("c", (-F.col("root")).alias("minus"))).alias("m"))
+    several = scratch.save(main.filter("roots > 1").select("token", "rows", (-F.col("m.minus")).alias("main")), f"several-{name}")
+    return looked_up(placed, several, "token", "rows")
 
 
 def _met(scratch: Scratch, left: DataFrame, sides: DataFrame, percent: int) -> DataFrame:
@@ -205,7 +207,7 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     sides = scratch.save(signed.select("row", "signature", "text").mapInArrow(run, "id long, signature array<int>, found array<long>"), "sides")
     first = _linked(scratch, stars, sides, agree, percent, "1")
     roots = scratch.save(components(scratch, first, "early"), "roots-1")
-    mixed = scratch.save(_mixed(prefixes.select("id", "n", "token").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id"))), "mixed-1")
+    mixed = scratch.save(_mixed(scratch, prefixes.select("id", "n", "token").join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")), "1").drop("rows"), "mixed-1")
     # shingles that one class in question has alone
     asked = mixed.select("id").distinct()
     in_question = rows_of(sides.select("id", "found", F.col("id").alias("row")), "row", listed(scratch, asked, "in-question"))
@@ -213,14 +215,14 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     owned = asked.join(alone.groupBy("id").agg(F.count(F.lit(1)).alias("own")), "id", "left").select("id", F.coalesce("own", F.lit(0)).alias("own"))
     known = scratch.save(owned, "known")
     # second merge: the plainest class of each list
-    weighed = mixed.join(known.select("id", "own"), "id")
-    plain = weighed.groupBy("token").agg(F.min(F.struct("own", "id", "root", "n")).alias("p"))
-    toward = weighed.join(plain, "token").filter((F.col("root") != F.col("p.root")) & _possible(F.col("n"), F.col("own"), F.col("p.n"), F.col("p.own"), percent))
+    weighed = scratch.save(mixed.join(known.select("id", "own"), "id"), "weighed")
+    plain = scratch.save(weighed.groupBy("token").agg(F.min(F.struct("own", "id", "root", "n")).alias("p"), F.count(F.lit(1)).alias("rows")), "plain")
+    toward = looked_up(weighed, plain, "token", "rows").filter((F.col("root") != F.col("p.root")) & _possible(F.col("n"), F.col("own"), F.col("p.n"), F.col("p.own"), percent))
     nearer = scratch.save(_hubs(toward.select(F.col("id").alias("a"), F.col("p.id").alias("b")), 4), "pairs-2")
     second = _linked(scratch, nearer, sides, agree, percent, "2")
     merged = scratch.save(components(scratch, first.unionByName(second), "middle"), "roots-2")
     # last merge: all that may still be linked
-    left = _mixed(mixed.select("id", "n", "token").join(merged, "id", "left").withColumn("root", F.coalesce("root", "id"))).join(known, "id")
+    left = _mixed(scratch, mixed.select("id", "n", "token").join(merged, "id", "left").withColumn("root", F.coalesce("root", "id")), "2").join(known, "id")
     left = scratch.save(left.filter(100 * (F.col("n") - F.col("own")) >= percent * F.col("n")).groupBy("main", "id", "n", "root").agg(F.count(F.lit(1)).alias("lists")), "mixed-2")
     third = scratch.save(_met(scratch, left, sides, percent), "links-3")
     named = scratch.save(components(scratch, first.unionByName(second).unionByName(third), "late"), "roots-3")
@@ -232,7 +234,7 @@ def _named_rows(scratch: Scratch, rows: DataFrame, width: int, percent: int, agr
     grouped = looked_up(slim.filter("key is not null"), owner, "key", "rows").select("row", "doc_id", "n_shingles", "root", "component_id")
     wordless = slim.filter("key is null").select("row", "doc_id", "n_shingles", F.lit(None).cast("long").alias("root"), F.col("doc_id").alias("component_id"))
     out = scratch.save(grouped.unionByName(wordless), "rows")
-    done = ["signed", "heads", "classes", "ranked", "mixed-1", "mixed-2", "known", "stars", "active", "in-question", "blocks", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2", "roots-3", "rooted", "owner"]
+    done = ["signed", "heads", "classes", "ranked", "mixed-1", "mixed-2", "placed-1", "placed-2", "several-1", "several-2", "weighed", "plain", "known", "stars", "active", "in-question", "blocks", "pairs-2", "links-1", "links-2", "links-3", "sides", "roots-1", "roots-2", "roots-3", "rooted", "owner"]
     scratch.drop(*done)
     return out
 
