@@ -46,7 +46,8 @@ class RunSummary:
             own = self.variables[: at + 1]
             deeper = next((self.starts[v] for v in self.variables[at + 1 :] if v in self.starts), None)
             if deeper is not None:
-                self.starts[column] = deeper.groupBy(*own).agg(F.min("start").alias("start"), F.sum("freq").alias("freq"))
+                # kept, so that the columns above this one go on from it and not from the deepest again
+                self.starts[column] = materialise(deeper.groupBy(*own).agg(F.min("start").alias("start"), F.sum("freq").alias("freq")))
             else:
                 self.starts[column] = prefix_sum(self.runs(column), own, "freq", "start").select(*own, "start", "freq")
         return self.starts[column]
