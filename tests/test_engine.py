@@ -262,3 +262,31 @@ def test_entry_lives_without_text_operators(tmp_path):
     assert subprocess.run([sys.executable, "-c", code], cwd=tmp_path / "a").returncode == 0
     blocked = "import sys; sys.modules['public_tokenizers'] = None; " + code
     assert subprocess.run([sys.executable, "-c", blocked], cwd=root).returncode == 0
+
+
+@pytest.mark.parametrize("name", ["w03", "w09"])
+def test_starts_come_from_conditionals(spark, name):
+    """The same places as by a sum over all runs; a column is placed without the levels below it."""
+    s = pipeline.summarise(w.BUILD[name](spark, SF), cut=True)
+    first = s.column(s.variables[0]).collect()
+    assert first and not s.frames
+    for v in s.variables:
+        own = s.variables[: s.variables.index(v) + 1]
+        assert bag(s.placed(v).select(*own, "start", "freq")) == bag(summary.prefix_sum(s.runs(v), own, "freq", "start").select(*own, "start", "freq"))
+
+
+def test_starts_where_groups_overflow_together(spark, monkeypatch):
+    """Groups no result holds may overflow together; nulls come first."""
+    a = spark.createDataFrame([(1, None), (1, "x"), (1, "x"), (2, "z"), (2, None)], "k int, u string")
+    q = natural({"a": a, "b": spark.createDataFrame([(1,), (2,)], "k int")}, ["k", "u"])
+    want = [(0, 1, None), (1, 2, "x"), (3, 1, None), (4, 1, "z")]
+    assert sorted(map(tuple, pipeline.summarise(q).column("u").collect()), key=lambda r: r[0]) == want
+    plain = summary.prefix_sum
+
+    def narrow(df, order, value, name):
+        if len(order) > 1:
+            raise OverflowError
+        return plain(df, order, value, name)
+
+    monkeypatch.setattr(summary, "prefix_sum", narrow)
+    assert sorted(map(tuple, pipeline.summarise(q).column("u").collect()), key=lambda r: r[0]) == want
