@@ -290,3 +290,15 @@ def test_starts_where_groups_overflow_together(spark, monkeypatch):
 
     monkeypatch.setattr(summary, "prefix_sum", narrow)
     assert sorted(map(tuple, pipeline.summarise(q).column("u").collect()), key=lambda r: r[0]) == want
+
+
+def test_bags_hold_what_the_rest_admits(spark):
+    """A hub value pairs all users in the first bag; few pairs are linked by the other tables."""
+    hub = [(k, 0) for k in range(60)]
+    q = natural({
+        "p": spark.createDataFrame(hub, "u1 int, ar int"), "f": spark.createDataFrame([(1, 2), (5, 6)], "u1 int, u2 int"), "g": spark.createDataFrame([(2, 3), (6, 7)], "u2 int, u3 int"),
+        "q": spark.createDataFrame(hub, "u3 int, ar int"),
+    }, ["u3", "u2", "u1", "ar"])
+    gen = eliminate.build_generator(q, ["ar", "u1", "u2", "u3"], reached=True)
+    assert gen.messages["ar"].count() == 2 and eliminate.build_generator(q, ["ar", "u1", "u2", "u3"]).messages["ar"].count() == 3600
+    assert bag(pipeline.join(q, order=["ar", "u1", "u2", "u3"])) == bag(baselines.binary(q))
