@@ -302,3 +302,32 @@ def test_bags_hold_what_the_rest_admits(spark):
     gen = eliminate.build_generator(q, ["ar", "u1", "u2", "u3"], reached=True)
     assert gen.messages["ar"].count() == 2 and eliminate.build_generator(q, ["ar", "u1", "u2", "u3"]).messages["ar"].count() == 3600
     assert bag(pipeline.join(q, order=["ar", "u1", "u2", "u3"])) == bag(baselines.binary(q))
+
+
+def test_measures_join_no_rows(spark):
+    """1e10 joined rows and more, told from counts."""
+    many = spark.range(100_000)
+    q = natural({"a": many.selectExpr("1 as k", "id as x"), "b": many.selectExpr("1 as k", "id as y"), "c": spark.range(1).selectExpr("2 as k")}, ["k", "x", "y"])
+    assert [r["uir"] for r in measures.uir(q, ["a", "b", "c"]).collect()] == [10**10]
+    q = natural({"a": many.selectExpr("1 as k", "id % 2 as x"), "b": many.selectExpr("1 as k", "id % 3 as y")}, ["k", "x", "y"])
+    assert measures.conditional_independence(q, "x", "y", "k").count() == 0
+
+
+def test_sampled_rows_are_told_without_the_join(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "binary", None)
+    assert [tuple(r) for r in w.QUERIES["a54_sample_w01"](spark, SF).select("members", "drawn").collect()] == [(500, 500)]
+
+
+def test_cycles_are_paired_by_least_steps():
+    """a and b meet in 360 million rows, b and c in 2.4 million."""
+    sizes = [(6e5, {"part": 2e4, "supp": 1e3}), (6e5, {"supp": 1e3, "order": 1.5e5}), (6e5, {"order": 1.5e5, "part": 2e4})]
+    assert bagjoin.paired_order(sizes) == ([1, 2, 0], 2.4e6)
+
+
+def test_large_tables_are_not_broadcast(spark, monkeypatch):
+    q = w.w10(spark, SF)
+    want = bag(baselines.binary(q))
+    monkeypatch.setattr(baselines, "BROADCAST_ROWS", 200)
+    made = baselines.binary(q, "broadcast")
+    plan = made._jdf.queryExecution().optimizedPlan().toString()
+    assert "strategy=shuffle_hash" in plan and "strategy=broadcast" in plan and bag(made) == want
