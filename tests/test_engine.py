@@ -128,6 +128,34 @@ def test_tries_agree(seed):
     assert made[0] == made[1] == sorted(want) and want
 
 
+def test_tries_go_down_in_batches(monkeypatch):
+    """Stretches longer than a batch, in both kinds of tries; a packed and a wide order of rows."""
+    monkeypatch.setattr(tries, "BATCH", 3)
+    rng = np.random.default_rng(5)
+    for scale in (1, 1 << 40):
+        a, b, c = (np.unique(rng.integers(0, 9, (60, 2)), axis=0) * scale for _ in range(3))
+        want = sorted((x, y, z, 1) for x, y in a.tolist() for y2, z in b.tolist() if y == y2 and [x, z] in c.tolist())
+        for kind in (tries.SortedTrie, tries.HashTrie):
+            made = [(list(k), kind(list(v.T), np.ones(len(v), np.int64))) for k, v in (("xy", a), ("yz", b), ("xz", c))]
+            assert want and sorted(tries.leapfrog(["x", "y", "z"], made)) == want
+            assert all(len(n) <= 3 for _, n in tries.batches(["x", "y", "z"], made))
+
+
+def test_grid_follows_the_rows(spark, monkeypatch):
+    """A cell's memory doesn't grow with the tables: their number does. Words, numbers and nulls go through the grid."""
+    monkeypatch.setattr(bagjoin, "CELL_VALUES", 300)
+    a = spark.range(900).selectExpr("id % 41 as x", "concat('w', id % 37) as y", "if(id % 5 = 0, null, id) as u", "1L as n")
+    b = spark.range(700).selectExpr("concat('w', id % 37) as y", "cast(id % 29 as int) as z", "1L as n").groupBy("y", "z").agg(F.sum("n").alias("n"))
+    c = spark.range(800).selectExpr("cast(id % 29 as int) as z", "id % 41 as x", "1L as n").groupBy("z", "x").agg(F.sum("n").alias("n"))
+    a = a.groupBy("x", "y", "u").agg(F.sum("n").alias("n"))
+    want = bag(potentials.product(a, b, c).select("x", "y", "z", "u", "n"))
+    for trie in ("sorted", "hash"):
+        got = bagjoin.potential_join([a, b, c], ["x", "y", "z", "u"], "hypercube", shares={"x": 1, "y": 2, "z": 1, "u": 1}, trie=trie)
+        assert got.rdd.getNumPartitions() > 16
+        assert want and bag(got.select("x", "y", "z", "u", "n")) == want
+    assert bagjoin.finer([36e6] * 3, [["x", "y"], ["y", "z"], ["x", "z"]], dict.fromkeys("xyz", 2))["x"] > 100
+
+
 def test_bags_take_the_fewest(spark):
     """A hub in either table: prefixes go by the part that offers them fewer values."""
     a = spark.createDataFrame([(0, k, 1) for k in range(300)] + [(k, 0, 1) for k in range(1, 300)], "x int, y int, n long")
