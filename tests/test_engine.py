@@ -87,6 +87,20 @@ def test_heavy_run_is_split(spark):
     assert expand.flatten(pipeline.summarise(q, cut=True)).groupBy(F.spark_partition_id()).count().count() == 8
 
 
+def test_few_long_runs_are_dealt_out(spark):
+    """A lazy summary of few runs would be expanded by the one task that makes them. One of many short runs stays."""
+    a = spark.range(4000).selectExpr("id % 2 as k", "id % 3 as u")
+    b = spark.range(6000).selectExpr("id % 2 as k", "if(id % 5 = 0, null, id % 5) as v")
+    q = natural({"a": a, "b": b}, ["k", "u", "v"])
+    s = pipeline.summarise(q)
+    assert summary.run_count(s.gen) == 30 and s.deepest.count() == 30
+    per_task = pipeline.join(q).groupBy(F.spark_partition_id()).count().collect()
+    assert len(per_task) == 8 and sum(r["count"] for r in per_task) == 12_000_000 and max(r["count"] for r in per_task) < 6_000_000
+    keys = natural({"a": spark.range(9).selectExpr("id as k", "id as u"), "b": spark.range(9).selectExpr("id as k", "-id as v")}, ["k", "u", "v"])
+    assert summary.run_count(pipeline.summarise(keys).gen) == 9 and pipeline.join(keys).count() == 9
+    assert summary.run_count(pipeline.summarise(natural({"a": a.limit(0), "b": b}, ["k", "u", "v"])).gen) == 0
+
+
 def test_runs_longer_than_a_block(spark, monkeypatch):
     """Blocks, pieces and chunks meet at odd borders."""
     monkeypatch.setattr(expand, "PIECE", 7)
