@@ -379,3 +379,25 @@ def test_large_tables_are_not_broadcast(spark, monkeypatch):
 def test_planning_queries_read_tables(spark, name):
     told = measures.traffic(spark, lambda: (w.QUERIES | plan_queries.QUERIES)[name](spark, SF).collect())
     assert told["input_bytes"] > 0
+
+
+def test_rows_that_fan_out_are_dealt_out_sorted(spark):
+    """Each of 5,000 rows meets 200 of the last table: once in one task and in any order, now in 8 and by key."""
+    a = spark.range(5000).selectExpr("id as k", "id % 3 as x").coalesce(1)
+    b = spark.range(5000).selectExpr("id as k", "id % 7 as g", "id % 5 as y")
+    c = spark.range(1400).selectExpr("id % 7 as g", "id as z")
+    q = natural({"a": a, "b": b, "c": c}, ["g", "x", "y", "z"])
+    want = baselines.steps(q)[-1].groupBy(*q.output).count().collect()
+    for made in (baselines.binary(q), baselines.wcoj(q)):
+        assert sorted(made.groupBy(*q.output).count().collect()) == sorted(want)
+        ordered = made.select("g", F.spark_partition_id().alias("task")).rdd.glom().map(lambda rows: (len(rows), [r["g"] for r in rows] == sorted(r["g"] for r in rows))).collect()
+        assert len(ordered) == 8 and all(n > 50_000 and in_order for n, in_order in ordered)
+
+
+def test_what_one_table_holds_alone_is_bound_last_and_at_once(spark):
+    """The table that fans out met the prefixes before two others confirmed them; now it is the last join."""
+    made = baselines.wcoj(w.w01(spark, SF))
+    assert bag(made) == bag(baselines.binary(w.w01(spark, SF)))
+    parts = [(df.withColumn("n", F.lit(1)), "n") for df in w.w01(spark, SF).tables.values()]
+    assert bagjoin._steps_of(["cust", "nation", "priority", "segment", "supp"], parts) == [["cust"], ["nation"], ["priority"], ["segment"], ["supp"]]
+    assert made._jdf.queryExecution().optimizedPlan().toString().count("Join") < 8
