@@ -60,25 +60,29 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
 
 def forward(model: dict[str, np.ndarray], ids: np.ndarray, state: np.ndarray, keep: bool = False) -> tuple[np.ndarray, tuple[np.ndarray, ...]]:
     """States after each step of a window. ids: (steps, lanes) words read; state: (lanes, HIDDEN) carried in. With ``keep``
-    also what the steps held: states before, gates, new states, products."""
-    gates_in = (model["embed"] + model["bias"])[ids]
-    shape = (*ids.shape, HIDDEN)
-    out = np.empty(shape, np.float32)
-    gates = np.empty((*ids.shape, 2 * HIDDEN), np.float32) if keep else None
-    fresh_states, agains = (np.empty(shape, np.float32) if keep else None for _ in (0, 1))
-    begin = state
-    for t in range(len(ids)):
-        again = state @ model["update"]
-        opened = _sigmoid(gates_in[t, :, : 2 * HIDDEN] + again[:, : 2 * HIDDEN])
-        z, r = opened[:, :HIDDEN], opened[:, HIDDEN:]
-        fresh_state = np.tanh(gates_in[t, :, 2 * HIDDEN :] + r * again[:, 2 * HIDDEN :])
-        out[t] = fresh_state + z * (state - fresh_state)
-        if keep:
-            gates[t], fresh_states[t], agains[t] = opened, fresh_state, again[:, 2 * HIDDEN :]
-        state = out[t]
-    if not keep:
-        return out, ()
-    return out, (np.concatenate([begin[None], out[:-1]]), gates, fresh_states, agains)
+    also what the steps held: states before, both gates, new states, products. Each lies by itself, as strided parts are slow."""
+    steps, lanes, h = *ids.shape, HIDDEN
+    read = (model["embed"] + model["bias"]).take(ids.reshape(-1), axis=0).reshape(steps, lanes, 3 * h)
+    states = np.empty((steps + 1, lanes, h), np.float32)
+    states[0] = state
+    held = steps if keep else 1
+    gates, fresh_states, agains = (np.empty((held, *x, lanes, h), np.float32) for x in ((2,), (), ()))
+    both = np.empty((lanes, 3 * h), np.float32)
+    for t in range(steps):
+        k = t if keep else 0
+        opened, new, product = gates[k], fresh_states[k], agains[k]
+        np.matmul(states[t], model["update"], out=both)
+        np.add(read[t, :, :h], both[:, :h], out=opened[0])
+        np.add(read[t, :, h : 2 * h], both[:, h : 2 * h], out=opened[1])
+        z, r = _sigmoid(opened)
+        product[:] = both[:, 2 * h :]
+        np.multiply(r, product, out=new)
+        new += read[t, :, 2 * h :]
+        np.tanh(new, out=new)
+        after = np.subtract(states[t], new, out=states[t + 1])
+        after *= z
+        after += new
+    return states[1:], (states[:-1], gates[:, 0], gates[:, 1], fresh_states, agains) if keep else ()
 
 
 _ONES = np.ones(max(CLASSES, MEMBERS), np.float32)
@@ -96,84 +100,119 @@ def _column_sums(x: np.ndarray) -> np.ndarray:
     return np.ones(len(x), np.float32) @ x
 
 
-def _by_class(kind: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-    order = np.argsort(kind.astype(np.uint8), kind="stable")
-    ends = np.cumsum(np.bincount(kind, minlength=CLASSES))
-    for c, end in enumerate(ends):
-        own = order[ends[c - 1] if c else 0 : end]
-        if len(own):
-            yield c, own
+def _by_class(kind: np.ndarray) -> Iterator[tuple[int, slice]]:
+    """The part of each class that occurs, in sorted ``kind``."""
+    ends = np.cumsum(np.bincount(kind, minlength=CLASSES)).tolist()
+    for c, (begin, end) in enumerate(zip([0, *ends], ends, strict=False)):
+        if end > begin:
+            yield c, slice(begin, end)
+
+
+def _class_order(targets: np.ndarray) -> np.ndarray:
+    return np.argsort((targets // MEMBERS).astype(np.uint8), kind="stable")
 
 
 def log_probs(model: dict[str, np.ndarray], states: np.ndarray, targets: np.ndarray) -> np.ndarray:
     """Natural log probability of each target word: its class, then itself in the class."""
-    kind, member = targets // MEMBERS, targets % MEMBERS
+    order = _class_order(targets)
+    states, goal = states[order], targets[order]
+    kind, member, row = goal // MEMBERS, goal % MEMBERS, np.arange(len(goal))
     weights, sums = _weights(states @ model["class_w"] + model["class_b"])
-    share = weights[np.arange(len(targets)), kind] / sums
+    share = weights[row, kind] / sums
     for c, own in _by_class(kind):
         weights, sums = _weights(states[own] @ model["word_w"][c] + model["word_b"][c])
-        share[own] *= weights[np.arange(len(own)), member[own]] / sums
-    return np.log(np.maximum(share, 1e-37))
+        share[own] *= weights[row[: len(weights)], member[own]] / sums
+    logs = np.empty_like(share)
+    logs[order] = np.log(np.maximum(share, 1e-37))
+    return logs
 
 
 def gradients(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, state: np.ndarray, share_of: int | None = None) -> tuple[dict[str, np.ndarray], np.ndarray, float]:
     """Gradients through one window of the loss over ``share_of`` (the words counted, if not given), the state carried
     out, and the summed loss. Targets of -1 don't count."""
-    out, (before, gates, new, again) = forward(model, ids, state, keep=True)
+    out, held = forward(model, ids, state, keep=True)
+    grads, loss = _backward(model, ids, targets, out, held, share_of or max(1, int((targets >= 0).sum())))
+    return grads, out[-1], loss
+
+
+def _backward(model: dict[str, np.ndarray], ids: np.ndarray, targets: np.ndarray, out: np.ndarray, held: tuple[np.ndarray, ...], over: int) -> tuple[dict[str, np.ndarray], float]:
+    """Gradients and summed loss of what ``forward`` gave and held; lanes may be those of several windows, side by side."""
+    before, z, r, new, again = held
     real = np.flatnonzero(targets.reshape(-1) >= 0)
+    real = real[_class_order(targets.reshape(-1)[real])]
     goal = targets.reshape(-1)[real]
     states = out.reshape(-1, HIDDEN)[real]
-    over = share_of or max(1, len(goal))
-    grads = {k: np.zeros_like(v) for k, v in model.items()}
+    grads = {"word_w": np.zeros_like(model["word_w"]), "word_b": np.zeros_like(model["word_b"]), "embed": np.zeros_like(model["embed"])}
     kind, member = goal // MEMBERS, goal % MEMBERS
     row = np.arange(len(goal))
     slope, sums = _weights(states @ model["class_w"] + model["class_b"])
     share = slope[row, kind] / sums
-    slope /= sums[:, None] * over
+    slope /= (sums * over)[:, None]
     slope[row, kind] -= 1 / over
     grads["class_w"], grads["class_b"] = states.T @ slope, _column_sums(slope)
     back = slope @ model["class_w"].T
     for c, own in _by_class(kind):
         mine = states[own]
         part, sums = _weights(mine @ model["word_w"][c] + model["word_b"][c])
-        at = np.arange(len(own)), member[own]
+        at = row[: len(mine)], member[own]
         share[own] *= part[at] / sums
-        part /= sums[:, None] * over
+        part /= (sums * over)[:, None]
         part[at] -= 1 / over
-        grads["word_w"][c], grads["word_b"][c] = mine.T @ part, _column_sums(part)
+        np.matmul(mine.T, part, out=grads["word_w"][c])
+        grads["word_b"][c] = _column_sums(part)
         back[own] += part @ model["word_w"][c].T
     loss = -float(np.log(np.maximum(share, 1e-37)).sum())
     full = np.zeros((ids.size, HIDDEN), np.float32)
     full[real] = back
     full = full.reshape(out.shape)
     # slopes of all steps at once; only what is carried back goes step by step
-    z, r = gates[..., :HIDDEN], gates[..., HIDDEN:]
-    at_new = (1 - z) * (1 - new * new)
-    at_z = (before - new) * z * (1 - z)
-    at_r = again * r * (1 - r)
-    carried = np.zeros_like(state)
-    gate_grads = np.empty((*ids.shape, 3 * HIDDEN), np.float32)
-    again_grads = np.empty_like(gate_grads)
+    shut = 1 - z
+    at_z = before - new
+    at_z *= z
+    at_z *= shut
+    at_new = new * new
+    np.subtract(1, at_new, out=at_new)
+    at_new *= shut
+    at_r = np.subtract(1, r, out=shut)
+    at_r *= r
+    at_r *= again
+    carried = np.zeros(out.shape[1:], np.float32)
+    again_grads = np.empty((*ids.shape, 3 * HIDDEN), np.float32)
+    new_grads = np.empty(out.shape, np.float32)
     back_through = np.ascontiguousarray(model["update"].T)
     for t in range(len(ids) - 1, -1, -1):
-        d = full[t] + carried
-        d_new = d * at_new[t]
-        g, a = gate_grads[t], again_grads[t]
+        d, d_new, a = full[t], new_grads[t], again_grads[t]
+        d += carried
+        np.multiply(d, at_new[t], out=d_new)
         np.multiply(d, at_z[t], out=a[:, :HIDDEN])
         np.multiply(d_new, at_r[t], out=a[:, HIDDEN : 2 * HIDDEN])
         np.multiply(d_new, r[t], out=a[:, 2 * HIDDEN :])
-        g[:, 2 * HIDDEN :] = d_new
-        carried = d * z[t] + a @ back_through
-    gate_grads[..., : 2 * HIDDEN] = again_grads[..., : 2 * HIDDEN]
+        np.matmul(a, back_through, out=carried)
+        d *= z[t]
+        carried += d
     grads["update"] = before.reshape(-1, HIDDEN).T @ again_grads.reshape(-1, 3 * HIDDEN)
-    flat = gate_grads.reshape(-1, 3 * HIDDEN)
-    words = ids.reshape(-1).astype(np.uint16)  # radix-sorted
+    again_grads[..., 2 * HIDDEN :] = new_grads
+    _add_by_word(grads["embed"], ids.reshape(-1), again_grads.reshape(-1, 3 * HIDDEN))
+    grads["bias"] = _column_sums(grads["embed"])
+    return grads, loss
+
+
+def _add_by_word(sums: np.ndarray, ids: np.ndarray, rows: np.ndarray, many: int = 64) -> None:
+    """Sums of rows by word; those of words with ``many`` rows or more as products with ones."""
+    words = ids.astype(np.uint16)  # radix-sorted
     order = np.argsort(words, kind="stable")
-    words = words[order]
+    words, rows = words[order], rows[order]
     first = np.flatnonzero(np.append(True, words[1:] != words[:-1]))
-    grads["embed"][words[first]] = np.add.reduceat(flat[order], first, axis=0)
-    grads["bias"] = _column_sums(grads["embed"])
-    return grads, out[-1], loss
+    ends = np.append(first[1:], len(words))
+    often = ends - first >= many
+    ones = np.ones(int((ends - first).max()), np.float32)
+    for a, b in zip(first[often].tolist(), ends[often].tolist(), strict=True):
+        sums[words[a]] = ones[: b - a] @ rows[a:b]
+    few = ~often
+    if few.any():
+        kept = rows[np.repeat(few, ends - first)]
+        size = (ends - first)[few]
+        sums[words[first[few]]] = np.add.reduceat(kept, np.cumsum(size) - size, axis=0)
 
 
 class Learner:
@@ -187,34 +226,43 @@ class Learner:
     def learn(self, streams: Iterable[np.ndarray], lanes: int = LANES) -> tuple[float, int]:
         """Go once through streams of word numbers; returns the summed loss and the words.
 
-        A step is taken once an eighth of a full window has been heard, so the long streams left at the end take few.
+        A step is taken once an eighth of a full window has been heard, so the long streams left at the end take few. The
+        weights stay as they are until then, so the windows of a step go forward one by one and back side by side.
         """
         total, words, heard = 0.0, 0, 0
         state = np.zeros((lanes, HIDDEN), np.float32)
-        held: dict[str, np.ndarray] = {}
+        group: list[tuple] = []
+
+        def step() -> float:
+            one = group[0] if len(group) == 1 else (*(np.concatenate(x, axis=1) for x in zip(*(g[:3] for g in group), strict=True)), tuple(np.concatenate(x, axis=1) for x in zip(*(g[3] for g in group), strict=True)))
+            grads, loss = _backward(self.model, *one, lanes * WINDOW)
+            group.clear()
+            self._step(grads)
+            return loss
+
         for live, fresh, ids, goals in windows(streams, lanes):
             state[live[fresh]] = 0
-            grads, state[live], loss = gradients(self.model, ids, goals, state[live], lanes * WINDOW)
+            out, held = forward(self.model, ids, state[live], keep=True)
+            state[live] = out[-1]
+            group.append((ids, goals, out, held))
             n = int((goals >= 0).sum())
-            total, words, heard = total + loss, words + n, heard + n
-            held = {k: g + held[k] for k, g in grads.items()} if held else grads
+            words, heard = words + n, heard + n
             if heard >= lanes * WINDOW // 8:
-                self._step(held)
-                held, heard = {}, 0
-        if held:
-            self._step(held)
+                total, heard = total + step(), 0
+        if group:
+            total += step()
         return total, words
 
     def _step(self, grads: dict[str, np.ndarray]) -> None:
         self.steps += 1
-        size = np.sqrt(sum(float((g * g).sum()) for g in grads.values()))
+        size = float(np.sqrt(sum(float(np.vdot(g, g)) for g in grads.values())))  # plain floats leave arrays at 32 bits
         scale = min(1.0, 1.0 / max(size, 1e-9))
-        rate = self.rate * np.sqrt(1 - 0.99**self.steps) / (1 - 0.9**self.steps)
+        rate = self.rate * (1 - 0.99**self.steps) ** 0.5 / (1 - 0.9**self.steps)
         for k, g in grads.items():
             g = g * scale
             self.first[k] += 0.1 * (g - self.first[k])
             self.second[k] += 0.01 * (g * g - self.second[k])
-            self.model[k] -= (rate * self.first[k] / (np.sqrt(self.second[k]) + 1e-6)).astype(np.float32)
+            self.model[k] -= rate * self.first[k] / (np.sqrt(self.second[k]) + 1e-6)
 
 
 def windows(streams: Iterable[np.ndarray], lanes: int = LANES, room: int = ROOM) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -280,6 +328,14 @@ def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray], lanes
     order = sorted(range(len(streams)), key=lambda i: -len(streams[i]))  # long ones first, so that they don't go on alone
     owner, begun = np.zeros(lanes, np.int64), 0
     state = np.zeros((lanes, HIDDEN), np.float32)
+    group: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []  # words of few lanes are looked up together
+
+    def add() -> None:
+        states, goals, owners = (np.concatenate(x) for x in zip(*group, strict=True))
+        group.clear()
+        out[:] += np.bincount(owners, weights=log_probs(model, states, goals), minlength=len(out))
+
+    heard = 0
     for live, fresh, ids, goals in windows((streams[i] for i in order), lanes):
         new = live[fresh]
         owner[new] = order[begun : begun + len(new)]
@@ -289,8 +345,13 @@ def score_streams(model: dict[str, np.ndarray], streams: list[np.ndarray], lanes
         state[live] = states[-1]
         want = goals.reshape(-1)
         real = np.flatnonzero(want >= 0)
-        logs = log_probs(model, states.reshape(-1, HIDDEN)[real], want[real])
-        out[owner[live]] += np.bincount(real % len(live), weights=logs, minlength=len(live))
+        group.append((states.reshape(-1, HIDDEN)[real], want[real], owner[live][real % len(live)]))
+        heard += len(real)
+        if heard >= lanes * WINDOW // 2:
+            add()
+            heard = 0
+    if group:
+        add()
     return out
 
 
