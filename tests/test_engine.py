@@ -114,6 +114,29 @@ def test_runs_longer_than_a_block(spark, monkeypatch):
     assert expand._repeated(column, ["value"], True).count() == 219
 
 
+def test_stored_chunks_are_dealt_out(spark, tmp_path):
+    """Few stored runs: an adaptive plan gave all chunks to one task, and Python made every row."""
+    a = spark.range(4000).selectExpr("id % 2 as k", "if(id % 3 = 0, null, concat('u', id % 3)) as u")
+    b = spark.range(600).selectExpr("id % 2 as k", "id % 5 as v")
+    q = natural({"a": a, "b": b}, ["u", "v"])
+    pipeline.summarise_to(q, f"file://{tmp_path}/s")
+    made = pipeline.reload(spark, f"file://{tmp_path}/s")
+    assert sorted(map(str, made.groupBy("u", "v").count().collect())) == sorted(map(str, pipeline.join(q).groupBy("u", "v").count().collect()))
+    per_task = made.groupBy(F.spark_partition_id()).count().collect()
+    assert len(per_task) > 4 and sum(r["count"] for r in per_task) == 1_200_000
+    plan = made._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Generate explode(sequence(1, times__") < plan.index("MapInArrow")  # Python makes pieces, not rows
+
+
+def test_deleted_variables_are_summed_out_once_for_a_stored_summary(spark, tmp_path):
+    """Each of the four placed conditionals of W01 went back to the orders."""
+    q = w.w01(spark, SF)
+    files = lambda **options: {f.rsplit("/", 1)[-1] for psi in eliminate.build_generator(q, **options).conditionals for f in psi.frame.inputFiles()}
+    assert "orders.parquet" in files() and "orders.parquet" not in files(once=True)
+    pipeline.summarise_to(q, f"file://{tmp_path}/s")
+    assert bag(pipeline.reload(spark, f"file://{tmp_path}/s")) == bag(baselines.binary(q))
+
+
 def test_leapfrog_seeks():
     """Two tries on a variable; a sparse one makes the dense one jump."""
     dense = tries.SortedTrie([np.arange(10_000)], np.ones(10_000, np.int64))
