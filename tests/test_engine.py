@@ -137,6 +137,26 @@ def test_deleted_variables_are_summed_out_once_for_a_stored_summary(spark, tmp_p
     assert bag(pipeline.reload(spark, f"file://{tmp_path}/s")) == bag(baselines.binary(q))
 
 
+def test_skipped_variables_do_not_multiply_runs(spark):
+    """Left out only when rows were written, each c multiplied the runs of s, and the task of its g made all of its rows."""
+    a = spark.range(3000).selectExpr("id as c", "id % 3 as x")
+    b = spark.range(3000).selectExpr("id as c", "id % 2 as g", "if(id % 5 = 0, null, id % 5) as y")
+    d = spark.range(3200).selectExpr("id % 2 as g", "id as s")
+    q = natural({"a": a, "b": b, "d": d}, ["g", "s", "y", "x"])
+    made = pipeline.summarise(q, project="skip")
+    runs = summary.skipped(made.gen)
+    assert "c" in made.variables and runs.count() == 48_000 and runs.agg(F.sum("freq")).first()[0] == 4_800_000
+    rows = expand.flatten(made).select(*q.output)
+    assert sorted(map(str, rows.groupBy(*q.output).count().collect())) == sorted(map(str, baselines.binary(q).groupBy(*q.output).count().collect()))
+    per_task = rows.groupBy(F.spark_partition_id()).count().collect()
+    assert len(per_task) == 8 and max(r["count"] for r in per_task) < 2_400_000
+    for output in (["x"], ["c", "x"], ["s"], ["g"]):
+        few = natural({"a": a.filter("c < 40"), "b": b, "d": d.filter("s < 30")}, output)
+        assert bag(expand.flatten(pipeline.summarise(few, project="skip")).select(*output)) == bag(baselines.binary(few))
+    none = natural({"a": a.limit(0), "b": b, "d": d}, ["s"])
+    assert expand.flatten(pipeline.summarise(none, project="skip")).count() == 0
+
+
 def test_leapfrog_seeks():
     """Two tries on a variable; a sparse one makes the dense one jump."""
     dense = tries.SortedTrie([np.arange(10_000)], np.ones(10_000, np.int64))
